@@ -66,7 +66,7 @@ def selectit_sentence(df: DataFrame, alpha: float = 0.2, by: tuple[str, ...] = (
 
 def selectit_model(df: DataFrame, sizes: dict[str, float], key: str = "sample_id") -> DataFrame:
     """Mean over models, weighted by their parameter counts."""
-    table = df.sparkSession.createDataFrame(list(sizes.items()), "model string, size double")
+    table = df.sparkSession.createDataFrame([(m, float(n)) for m, n in sizes.items()], "model string, size double")
     return df.join(F.broadcast(table), "model").groupBy(key).agg((F.sum(F.col("sentence") * F.col("size")) / F.sum("size")).alias("score"))
 
 

@@ -48,11 +48,14 @@ def rules(policy: Policy, stored_length: bool = False) -> list[tuple[str, Column
 
 
 def compile_policy(policy: Policy, stored_length: bool = False) -> Column:
-    """The conjunction, cheap rules first, so that later ones are not evaluated for rejected rows."""
+    """The conjunction, cheap rules first, so that later ones are not evaluated for rejected rows; null where a rule is.
+
+    It is left a plain conjunction, so that the scan takes over what it can.
+    """
     test = None
     for _, rule in rules(policy, stored_length):
         test = rule if test is None else test & rule
-    return F.coalesce(test, F.lit(False))
+    return test
 
 
 def match(samples: DataFrame, policy: Policy, stored_length: bool = False) -> DataFrame:

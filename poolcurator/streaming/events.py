@@ -67,7 +67,7 @@ def running_top_k(stream: DataFrame, path: str, k: int, score: str = "score", ke
 
 def pass_rate_alarm(samples: DataFrame, policy: Policy, frozen: float, tolerance: float = 0.05) -> DataFrame:
     """Share of passing rows per source, and whether it left the frozen rate."""
-    ok = F.avg(characteristic.compile_policy(policy).cast("double"))
+    ok = F.avg(F.coalesce(characteristic.compile_policy(policy), F.lit(False)).cast("double"))
     return samples.groupBy("source").agg(F.round(ok, 6).alias("rate")).withColumn("alarm", F.abs(F.col("rate") - frozen) > tolerance)
 
 
