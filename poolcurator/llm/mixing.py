@@ -28,7 +28,7 @@ BINS = 4096
 
 def water_fill(sizes: Sequence[float], weights: Sequence[float], budget: float, max_epochs: float) -> list[float]:
     """Targets by weight, none above max_epochs times its size."""
-    caps = [max_epochs * s for s in sizes]
+    caps = [float(max_epochs * s) for s in sizes]
     target = [0.0] * len(sizes)
     free = [i for i in range(len(sizes)) if sizes[i] > 0]
     left = float(budget)
