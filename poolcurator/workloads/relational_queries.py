@@ -283,21 +283,21 @@ def join_salted(spark, d):
 def win(name: str, expr, sql: str, col: str = "v"):
     @query(name, f"SELECT doc_id, {sql} OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id) AS {col} FROM documents")
     def run(spark, d):
-        return documents(spark, d).select("doc_id", expr.over(W.partitionBy("lang").orderBy(F.desc("n_chars"), "doc_id")).alias(col))
+        return documents(spark, d).select("doc_id", expr().over(W.partitionBy("lang").orderBy(F.desc("n_chars"), "doc_id")).alias(col))
 
 
 def win_ties(name: str, expr, sql: str):
     @query(name, f"SELECT doc_id, {sql} OVER (PARTITION BY lang ORDER BY n_chars // 100 DESC) AS v FROM documents")
     def run(spark, d):
-        return documents(spark, d).select("doc_id", expr.over(W.partitionBy("lang").orderBy(F.desc(F.floor(F.col("n_chars") / 100)))).alias("v"))
+        return documents(spark, d).select("doc_id", expr().over(W.partitionBy("lang").orderBy(F.desc(F.floor(F.col("n_chars") / 100)))).alias("v"))
 
 
-win("win_row_number", F.row_number(), "row_number()")
-win_ties("win_rank", F.rank(), "rank()")
-win_ties("win_dense_rank", F.dense_rank(), "dense_rank()")
-win_ties("win_percent_rank", F.percent_rank(), "percent_rank()")
-win_ties("win_cume_dist", F.cume_dist(), "cume_dist()")
-win("win_ntile", F.ntile(5), "ntile(5)")
+win("win_row_number", F.row_number, "row_number()")
+win_ties("win_rank", F.rank, "rank()")
+win_ties("win_dense_rank", F.dense_rank, "dense_rank()")
+win_ties("win_percent_rank", F.percent_rank, "percent_rank()")
+win_ties("win_cume_dist", F.cume_dist, "cume_dist()")
+win("win_ntile", lambda: F.ntile(5), "ntile(5)")
 
 
 @query("win_lag_lead", "SELECT conv_id, turn, lag(role) OVER w AS before, lead(role) OVER w AS after FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)")

@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import udtf
 
 from poolcurator.functions import text as X
@@ -162,7 +163,7 @@ def udf_sql(spark, d):
     return spark.sql("SELECT doc_id, round(en_ratio(text), 6) AS en, round(noise_ratio(text), 6) AS noise FROM pc_documents")
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(T.LongType())
 def _longest_word(s: pd.Series) -> pd.Series:
     return s.map(lambda t: max(map(len, t.split()), default=0))
 
@@ -183,7 +184,7 @@ def udf_pandas_grouped(spark, d):
     return means.groupBy("label").applyInPandas(norm, "label int, n long, norm double")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def _geometric_mean(v: pd.Series) -> float:
     return float(np.exp(np.log(v).mean()))
 
@@ -193,7 +194,7 @@ def udaf_pandas(spark, d):
     return docs(spark, d).groupBy("lang").agg(F.round(_geometric_mean("n_chars"), 4).alias("g"))
 
 
-@udtf(returnType="pos int, shingle string")
+@udtf(returnType=T.StructType().add("pos", T.IntegerType()).add("shingle", T.StringType()))
 class Shingles:
     """Runs of n words of a text."""
 
@@ -203,7 +204,7 @@ class Shingles:
             yield i, " ".join(words[i : i + n])
 
 
-@udtf(returnType="step int, body string")
+@udtf(returnType=T.StructType().add("step", T.IntegerType()).add("body", T.StringType()))
 class SplitSteps:
     """Non-empty lines of a text as numbered steps."""
 

@@ -248,3 +248,12 @@ PARITY = "policy_filter metric_nll metric_drift kmeans_assign cluster_sample qua
 @pytest.mark.parametrize("name", PARITY)
 def test_parity(spark, small, name):
     assert difference(registry.queries()[name](spark, small), connect(small), registry.oracle_sql()[name]) == ""
+
+
+def test_registry_needs_no_session():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    out = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()), set(e.oracle_sql()) <= set(e.queries()))"], cwd=Path(__file__).parents[1], capture_output=True, text=True)
+    assert out.stdout.split()[-1] == "True", out.stderr
