@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from poolcurator.functions import text as X
+from poolcurator.operators.relational import running_total
 from poolcurator.operators.topk import gumbel, rehydrate, top_k
 
 
@@ -314,10 +315,8 @@ def kde_mass(near: DataFrame, candidates: DataFrame, bandwidth: float = 0.5, kde
 def categorical_draw(mass: DataFrame, k: int, seed: int = 42) -> DataFrame:
     """(draw, vec_id): k draws with replacement, each to the row whose running mass covers its seeded uniform."""
     total = mass.groupBy("vec_id").agg(F.round(F.sum("mass"), 6).alias("m"))
-    w = Window.orderBy("vec_id")
-    hi = F.sum("m").over(w)
-    all_of = F.sum("m").over(Window.partitionBy())
-    cells = total.select("vec_id", F.round((hi - F.col("m")) / all_of, 9).alias("lo"), F.round(hi / all_of, 9).alias("hi"))
+    whole = total.agg(F.sum("m")).first()[0] or 1.0
+    cells = running_total(total, "m", "vec_id").select("vec_id", F.round((F.col("total") - F.col("m")) / whole, 9).alias("lo"), F.round(F.col("total") / whole, 9).alias("hi"))
     draws = mass.sparkSession.range(k).select(F.col("id").alias("draw")).withColumn("u", X.seeded_uniform("draw", f"draw{seed}"))
     # Cells and draws meet in tenths of a hundredth, an equi-join key for the range condition.
     bins = cells.select("vec_id", "lo", "hi", F.explode(F.sequence(F.floor(F.col("lo") * 1000), F.floor(F.col("hi") * 1000))).alias("bin"))

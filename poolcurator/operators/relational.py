@@ -25,7 +25,8 @@ def running_total(df: DataFrame, value: str, order: str, parts: int | None = Non
     for r in dealt.groupBy("_p").agg(F.sum(value).alias("s")).orderBy("_p").collect():
         before.append((r["_p"], total))
         total += r["s"] or 0
-    offsets = df.sparkSession.createDataFrame(before or [(0, 0)], "_p int, _off long")
+    kind = "double" if dict(df.dtypes)[value] in ("double", "float") else "long"
+    offsets = df.sparkSession.createDataFrame([(p, float(t) if kind == "double" else t) for p, t in before or [(0, 0)]], f"_p int, _off {kind}")
     inside = F.sum(value).over(Window.partitionBy("_p").orderBy(order))
     return dealt.join(F.broadcast(offsets), "_p").withColumn("total", inside + F.col("_off")).drop("_p", "_off")
 

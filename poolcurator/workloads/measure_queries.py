@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from poolcurator.config import PUBLISHED_WEIGHTS
 from poolcurator.evaluate import scores as S
 from poolcurator.evaluate import standin
 from poolcurator.functions import text as X
@@ -169,3 +170,16 @@ def eval_overlap(spark, d):
 @query("eval_diversity", "WITH e AS (SELECT embedding::double[] AS e FROM embeddings WHERE vec_id < 100), u AS (SELECT i, sum(x / n) AS s FROM (SELECT unnest(range(64)) AS i, unnest(e) AS x, sqrt(list_inner_product(e, e)) AS n FROM e) GROUP BY i) SELECT round((sum(s * s) - 100) / (100 * 99), 6) AS mean_cosine FROM u")
 def eval_diversity(spark, d):
     return standin.mean_cosine(read_table(spark, d, "embeddings").where("vec_id < 100"))
+
+
+@query("weights_sum", "SELECT * FROM (VALUES " + ", ".join(f"('{s}', '{p}', 1.0::double)" for s, p, *_ in PUBLISHED_WEIGHTS) + ") t(setting, pool, total)")
+def weights_sum(spark, d):
+    """The published weight vectors each sum to 1."""
+    return spark.createDataFrame([(s, p, round(sum(w), 6)) for s, p, *w in PUBLISHED_WEIGHTS], "setting string, pool string, total double")
+
+
+@query("subset_report", f"WITH s AS (SELECT doc_id, text, lang FROM documents ORDER BY {key_sql('doc_id')}, doc_id LIMIT 200) SELECT count(*) AS n, count(DISTINCT text) AS texts, count(DISTINCT lang) AS langs, round(avg(length(text)), 6) AS mean_chars FROM s")
+def subset_report(spark, d):
+    """Size, redundancy and spread of a subset."""
+    s = random_k(samples(spark, d), 200)
+    return s.agg(F.count(F.lit(1)).alias("n"), F.count_distinct(F.md5("text")).alias("texts"), F.count_distinct("lang").alias("langs"), r6(F.avg(F.length("text"))).alias("mean_chars"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from poolcurator.baselines.selectors import categorical_draw
 from poolcurator.functions.text import seeded_key
 from poolcurator.operators import relational as R
 from poolcurator.operators.topk import gumbel, per_group, random_k, threshold_top_k, top_k
@@ -385,6 +386,16 @@ def sample_gumbel(spark, d):
     return top_k(documents(spark, d).select("doc_id", r6(F.log("n_chars") + gumbel("doc_id")).alias("score")), "score", 50, "doc_id")
 
 
+@query(
+    "sample_with_replacement",
+    f"""WITH ce AS (SELECT doc_id AS vec_id, round((sum(n_chars) OVER (ORDER BY doc_id) - n_chars) / sum(n_chars) OVER (), 9) AS lo, round(sum(n_chars) OVER (ORDER BY doc_id) / sum(n_chars) OVER (), 9) AS hi FROM documents),
+    dr AS (SELECT i AS draw, {uniform_sql('i', 'draw42')} AS u FROM (SELECT unnest(range(200)) AS i)) SELECT draw, vec_id FROM dr JOIN ce ON u >= lo AND u < hi""",
+)
+def sample_with_replacement(spark, d):
+    """Documents drawn with replacement in proportion to their length."""
+    return categorical_draw(documents(spark, d).select(F.col("doc_id").alias("vec_id"), F.col("n_chars").cast("double").alias("mass")), 200)
+
+
 @query("sample_bernoulli")
 def sample_bernoulli(spark, d):
     return documents(spark, d).select("doc_id").sample(0.1, seed=42)
