@@ -81,16 +81,23 @@ class BigramTarget:
         return s.select(key, (F.aggregate(F.slice("nll", F.lit(1), k), F.lit(0.0), lambda a, b: a + b) / k).alias("knowledge"))
 
     def generate(self, samples: DataFrame, length: int = 20, key: str = "sample_id") -> DataFrame:
-        """(key, generated): the likeliest continuation of the prompt's last token, step by step.
+        """(key, generated): the likeliest continuation of the prompt's last token, or of the start where that is unknown.
 
-        The likeliest successor of every context is one table, joined `length` times on the current token.
+        A continuation depends on its first context only, so chains are built once per context, by
+        doubling: a chain followed by the chain of its last token; samples then join their chain.
         """
-        best = self.pairs.groupBy("h").agg(F.max_by("w", F.struct(F.col("n"), F.col("w"))).alias("next"))
-        at = samples.select(key, F.coalesce(F.try_element_at(X.tokens("instruction"), F.lit(-1)), F.lit(BOS)).alias("h"), F.array().cast("array<string>").alias("out"))
-        for _ in range(length):
-            step = at.join(best, "h", "left")
-            at = step.select(key, F.coalesce("next", F.lit(BOS)).alias("h"), F.when(F.col("next").isNull(), F.col("out")).otherwise(F.concat("out", F.array("next"))).alias("out"))
-        return at.select(key, F.array_join("out", " ").alias("generated"))
+        chain = self.pairs.groupBy("h").agg(F.max_by("w", F.struct(F.col("n"), F.col("w"))).alias("last"))
+        chain = chain.select("h", "last", F.array("last").alias("out"))
+        steps = 1
+        while steps < length:
+            then = chain.select(F.col("h").alias("last"), F.col("last").alias("end"), F.col("out").alias("more"))
+            joined = chain.join(then, "last", "left")
+            chain = joined.select("h", F.coalesce("end", "last").alias("last"), F.slice(F.when(F.col("more").isNull(), F.col("out")).otherwise(F.concat("out", "more")), 1, length).alias("out"))
+            steps *= 2
+        chain = chain.select("h", F.array_join("out", " ").alias("generated")).persist()
+        start = chain.where(F.col("h") == BOS).agg(F.coalesce(F.max("generated"), F.lit("")).alias("fallback"))  # one row
+        at = samples.select(key, F.coalesce(F.try_element_at(X.tokens("instruction"), F.lit(-1)), F.lit(BOS)).alias("h"))
+        return at.join(chain, "h", "left").crossJoin(F.broadcast(start)).select(key, F.coalesce("generated", "fallback").alias("generated"))
 
 
 @dataclass
