@@ -7,6 +7,7 @@ the segment and not the text.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,7 +15,8 @@ import pyarrow as pa
 
 U = np.uint64
 SEGMENT = 1 << 18
-SLICE = 1 << 22
+#: Bytes of texts that are worked on at once.
+SLICE = 1 << 20
 _BASE = 0x9E3779B97F4A7C15
 _LOWER = np.zeros(256, dtype=U)
 for _c in [*range(0x30, 0x3A), *range(0x61, 0x7B), *range(0x80, 0x100)]:
@@ -62,6 +64,15 @@ def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[off[0] : off[-1]], off - off[0]
 
 
+def release() -> None:
+    """Gives freed memory back to the system: workers live on after a task, and an executor's share is small."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def slices(batch: pa.RecordBatch, column: str, most: int = SLICE) -> Iterator[pa.RecordBatch]:
     """The batch in runs of rows whose texts have about `most` bytes together."""
     _, off = utf8(batch.column(batch.schema.get_field_index(column)))
@@ -71,6 +82,7 @@ def slices(batch: pa.RecordBatch, column: str, most: int = SLICE) -> Iterator[pa
         j = min(max(j, i + 1), batch.num_rows)
         yield batch.slice(i, j - i)
         i = j
+    release()
 
 
 def words(raw: np.ndarray, off: np.ndarray, prefixes: tuple[int, ...] = ()) -> tuple[np.ndarray, np.ndarray, dict[int, np.ndarray]]:
