@@ -120,7 +120,7 @@ def _label_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
             u, inv = np.unique(h[new], return_inverse=True)
             held.append((u, np.bincount(inv).astype(float), np.bincount(inv, label[r[new]])))
             size += len(u)
-            if size > 1_500_000:
+            if size > 500_000:
                 out = flush()
                 yield out
                 held, size = [], 0
@@ -244,8 +244,14 @@ def score(docs: DataFrame, model: ToxicityModel, id_col: str = "doc_id", text_co
     return out.select(F.col("_id").alias(id_col), *[F.col("text").alias(c) if c == text_col else F.col(f"k_{c}").alias(c) for c in keep], "score")
 
 
-def train_on_labels(docs: DataFrame, labels: DataFrame, **options) -> ToxicityModel:
-    """A model from documents joined with their labels, without the held-out rows (crc32 of the id mod 4 is 2)."""
+def train_on_labels(docs: DataFrame, labels: DataFrame, max_rows: int = 16_384, seed: int = 42, **options) -> ToxicityModel:
+    """A model from documents joined with their labels, without the held-out rows (crc32 of the id mod 4 is 2).
+
+    Labels are thinned to about max_rows before the join, so that side is bounded and no text is shuffled.
+    """
     known = pick(labels, "doc_id", "toxic").where(F.col("toxic").isin(0, 1) & (F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(4)) != 2))
     known = known.groupBy("doc_id").agg(F.max("toxic").alias("label"))
-    return train(pick(docs, "doc_id", "text").join(known, "doc_id"), **options)
+    n = known.count()
+    if n > max_rows:
+        known = known.where(F.shiftrightunsigned(F.xxhash64(F.lit(seed), "doc_id"), 32) < int(max_rows / n * 2**32))
+    return train(pick(docs, "doc_id", "text").join(F.broadcast(known), "doc_id"), 2 * max_rows, seed=seed, **options)
