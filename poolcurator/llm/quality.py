@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from poolcurator.llm import wordhash as wh
-from poolcurator.llm.store import pick, write_table
+from poolcurator.llm.store import pick, small_side, write_table
 
 ORDER, BITS = 4, 6
 QUANTILE = 0.995
@@ -74,7 +74,7 @@ def grams(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held: list[tuple[np.ndarray, np.ndarray]] = []
     for batch in batches:
-        for part in wh.slices(batch, "text", 1 << 21):
+        for part in wh.slices(batch, "text"):
             code, _ = grams(*wh.utf8(part.column("text")))
             held.append(np.unique(code, return_counts=True))
             if len(held) == 8:
@@ -169,7 +169,7 @@ def perplexity(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         information = None
         for batch in batches:
-            for part in wh.slices(batch, "text", 1 << 21):
+            for part in wh.slices(batch, "text"):
                 if information is None:
                     information, mean = shared.value.dense(), shared.value.mean
                 raw, off = wh.utf8(part.column("text"))
@@ -187,11 +187,12 @@ def perplexity(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col:
 def quality_filter(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, least: int = LEAST_TRUSTED, slack: float = SLACK) -> DataFrame:
     """One row per row of docs: id, lang, symbols, perplexity, threshold, kept. trusted has the ids of trusted documents."""
     ids, _ = write_table(pick(trusted, id_col).select(F.col(id_col).alias("_t")).where("_t is not null").distinct(), "trusted")
-    good = pick(docs, id_col, text_col).join(ids, F.col(id_col) == F.col("_t"), "left_semi").select(F.col(text_col).alias("text"))
     n = ids.count()
+    side = small_side(ids, n)  # beyond the limit the texts are shuffled
+    good = pick(docs, id_col, text_col).join(side, F.col(id_col) == F.col("_t"), "left_semi").select(F.col(text_col).alias("text"))
     model = train(good if n else pick(docs, text_col).select(F.col(text_col).alias("text")))
     scored, _ = write_table(perplexity(docs, model, id_col, text_col, keep=(lang_col,)), "perplexity")
-    known = scored.join(ids, F.col(id_col) == F.col("_t"), "left_semi") if n else scored
+    known = scored.join(side, F.col(id_col) == F.col("_t"), "left_semi") if n else scored
     at = F.percentile_approx("perplexity", F.lit(quantile), F.lit(20_000))
     everywhere = known.agg(at.alias("overall")).first()[0]
     per = known.groupBy(lang_col).agg(at.alias("own"), F.count(F.lit(1)).alias("n"))
