@@ -195,3 +195,23 @@ def test_secret_scan(spark):
         got[r.doc_id].append(r.secret)
     assert all(any(got[i]) for i in (0, 1, 2)) and not any(any(got[i]) for i in (3, 4, 5, 6, 7, 8))
     assert secret_scan.scan_secrets(docs(spark, []), model).count() == 0
+
+
+def test_quality_tells_letters_of_one_class_apart(spark):
+    names = ["LONDON", "PARIS", "BERLIN", "MADRID", "VIENNA"]
+    good = [" ".join(names[(i + j * (i % 4 + 1)) % 5] for j in range(30)) for i in range(60)]
+    turned = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "QWXZKJVUYGHFCBTMPSNLAEDORI")
+    bad = [t.translate(turned) for t in good[:5]]
+    assert (quality._CLASS[list(good[0].encode())] == quality._CLASS[list(bad[0].encode())]).all()
+    kept = {r.doc_id: r.kept for r in quality.quality_filter(docs(spark, good + bad), spark.createDataFrame([(i,) for i in range(60)], "doc_id long")).collect()}
+    assert all(kept[i] for i in range(60)) and not any(kept[i] for i in range(60, 65))
+
+
+def test_byte_probabilities_sum_to_one(spark):
+    texts = ["the cat sat on the mat", "The dog sat", "a cat ran Ä", None, ""] * 3
+    counts = quality.count_grams(docs(spark, texts), quality.BYTE_ORDER, quality.BYTE_BITS)
+    tables = quality.smoothed(counts, quality.BYTE_ORDER, quality.BYTE_BITS)
+    asked = spark.range(0, 256).selectExpr(*[f"{int.from_bytes(head)}L * 256 + id gram_{i}" for i, head in enumerate((b"e ca", b"zzzz", b"zz c"))]).selectExpr("stack(3, gram_0, gram_1, gram_2) gram")
+    # What lies below order 1 is spread over all bytes.
+    below = quality.gram_probabilities(asked, *tables).groupBy(F.shiftright("gram", 8)).agg((F.sum("p") + F.sum("rest") / 256).alias("all")).collect()
+    assert len(below) == 3 and all(abs(r["all"] - 1) < 1e-9 for r in below)
