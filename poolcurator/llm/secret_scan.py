@@ -1,7 +1,9 @@
 """Secrets in documents: rules find candidates, a random forest removes false findings.
 
-A candidate is a white-space separated token that looks like a credential: a run of 16 or more key
-characters with a digit, or a value assigned to a name such as password or token. The forest sees the
+A candidate is a value in a white-space separated token that looks like a credential: a run of 16 or
+more key characters, or a value of any length assigned to a name such as password or token, in the
+same token or in the one after `=` or `:`. Every different value of a token is a candidate of its own.
+The forest sees the
 value's length, its character transitions (changes between lower case, upper case, digits and signs,
 and how word-like its letter pairs are), the share of it that dictionary words cover, path signs in
 the token and the words beside it. It is trained on labelled findings; where the caller has none, on
@@ -35,37 +37,40 @@ DIGEST_WORDS = "commit|sha1|sha256|md5|checksum|digest|etag|revision|uuid|hash|i
 
 NAMED = rf"(?i)({NAMES})[\"']?\s*[=:]"
 RUN = r"[A-Za-z0-9+/_\-]{16,}"
+#: A value may hold the next assignment: the look-ahead lets matches overlap, and the second form ends at the signs that part assignments.
+ASSIGNED = rf"(?i)(?:{NAMES})[\"']?[=:](?=[\"']?([^\s\"',;]+))"
+ASSIGNED_PART = rf"(?i)(?:{NAMES})[\"']?[=:](?=[\"']?([^\s\"',;&|?#}}]+))"
 FEATURES = ("n", "digits", "upper", "lower", "signs", "kinds", "changes", "vowels", "hex", "distinct", "covered", "slashes", "dots", "named", "named_before", "digest_before", "quoted", "prefixed")
 
 
 def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, word, token, before, before2, after, value) of every candidate; word counts white-space separated tokens from 0."""
+    """(id, word, token, before, before2, after, value, at) of every candidate.
+
+    word counts white-space separated tokens from 0; at is the value's first place in its token, from 1.
+    """
     tokens = F.split(F.coalesce(F.col(text_col), F.lit("")), r"[\x20\x09-\x0D]+")
     rows = pick(docs, id_col, text_col).select(F.col(id_col).alias("id"), tokens.alias("t"))
 
+    def near(i, k: int) -> F.Column:
+        return F.when(i > k, F.try_element_at("t", F.greatest(i - k, F.lit(1)))).otherwise("")
+
     def looks(i) -> F.Column:
-        x = F.try_element_at("t", i)
-        before = F.concat_ws(" ", F.try_element_at("t", F.greatest(i - 2, F.lit(1))), F.try_element_at("t", F.greatest(i - 1, F.lit(1))))
-        run = x.rlike(RUN) & x.rlike("[0-9]")
-        own = x.rlike(NAMED + r"[\"']?[^\s\"']{6,}")
-        return (F.length(x) >= 8) & (run | own | (x.rlike("[0-9]") & (i > 1) & before.rlike(NAMED + "$")))
+        x, last = F.try_element_at("t", i), near(i, 1)
+        apart = (F.endswith(last, F.lit("=")) | F.endswith(last, F.lit(":"))) & F.concat_ws(" ", near(i, 2), last).rlike(NAMED + "$")
+        return (F.length(x) > 0) & (((F.length(x) >= 16) & x.rlike(RUN)) | x.rlike(ASSIGNED) | apart)
 
     places = F.filter(F.sequence(F.lit(1), F.size("t")), looks)
     found = F.transform(
         places,
-        lambda i: F.struct(
-            (i - 1).alias("word"),
-            F.try_element_at("t", i).alias("token"),
-            F.when(i > 1, F.try_element_at("t", F.greatest(i - 1, F.lit(1)))).otherwise("").alias("before"),
-            F.when(i > 2, F.try_element_at("t", F.greatest(i - 2, F.lit(1)))).otherwise("").alias("before2"),
-            F.coalesce(F.try_element_at("t", i + 1), F.lit("")).alias("after"),
-        ),
+        lambda i: F.struct((i - 1).alias("word"), F.try_element_at("t", i).alias("token"), near(i, 1).alias("before"), near(i, 2).alias("before2"), F.coalesce(F.try_element_at("t", i + 1), F.lit("")).alias("after")),
     )
     out = rows.select("id", F.explode(found).alias("c")).select("id", "c.*")
-    after_name = F.regexp_extract("token", rf"(?i)(?:{NAMES})[\"']?[=:][\"']?([^\s\"',;]+)", 1)
-    run = F.regexp_extract("token", r"([A-Za-z0-9+/_\-]{16,}={0,2})", 1)
-    value = F.when(after_name != "", after_name).when(run != "", run).otherwise(F.regexp_replace("token", "[\"',;]", ""))
-    return out.withColumn("value", value)
+    every = [F.regexp_extract_all("token", F.lit(x), F.lit(1)) for x in (ASSIGNED, ASSIGNED_PART, rf"({RUN}={{0,2}})")]
+    # Of a token after a name, what its opening quote holds, or all of it.
+    own = F.when(F.col("token").rlike("^[\"']"), F.regexp_extract("token", "^([\"'])(.*?)(?:\\1|$)", 2)).otherwise(F.regexp_replace("token", "[\"',;]", ""))
+    apart = F.when(F.concat_ws(" ", "before2", "before").rlike(NAMED + "$"), F.array(own)).otherwise(F.array().cast("array<string>"))
+    values = F.array_distinct(F.filter(F.concat(*every, apart), lambda v: v != ""))
+    return out.withColumn("value", F.explode(values)).withColumn("at", F.expr("greatest(locate(value, token), 1)"))
 
 
 def with_features(found: DataFrame) -> DataFrame:
@@ -93,7 +98,7 @@ def with_features(found: DataFrame) -> DataFrame:
             "covered": 1 - F.length(F.regexp_replace(low, DICTIONARY, "")) / n,
             "slashes": F.regexp_count("token", F.lit("[/\\\\]")) / n,
             "dots": F.regexp_count("token", F.lit(r"\.|://|@")) / n,
-            "named": flag(F.col("token").rlike(NAMED)),
+            "named": flag(F.expr("left(token, locate(value, token) - 1)").rlike(NAMED + "[\"']?$")),
             "named_before": flag(beside.rlike(rf"(?i)({NAMES})")),
             "digest_before": flag(beside.rlike(rf"(?i)\b({DIGEST_WORDS})\b")),
             "quoted": flag(F.col("token").rlike("[\"']")),
