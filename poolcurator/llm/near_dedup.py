@@ -6,6 +6,8 @@ slots and a slot keeps the shingle that arrived first. A shingle stops once its
 than all slots' first ones, so the work barely depends on the sketch's length. Two documents agree in
 a slot with the probability Jaccard similarity of their weights. Documents with the same word
 sequence are one representative; representatives that agree in a whole band of slots are candidates.
+Texts that repeat a shingle have a second sketch with all weights 1, whose slots agree with the plain
+Jaccard similarity, so that either similarity finds its pairs with the chance of the bands.
 
 All candidates are verified exactly, without a row for every pair: components of the candidate graph
 go to tasks that hold all members (large components: all pairs of blocks of members) and compare the
@@ -106,7 +108,14 @@ def _sketches(bands: int, band_rows: int, k: int):
                     k1[i], k2[i] = np.frombuffer(d, dtype=np.uint64)
                 r, item, c = weighted_shingles(word, row, n, k)
                 keys = band_keys(sketch(r, item, 1 + np.log(c), n, bands * band_rows), bands, band_rows)
-                lists = pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(np.where(count > 0, bands, 0))).astype(np.int32)), pa.array(keys[count > 0].ravel().view(np.int64)))
+                # Rows that repeat a shingle are sketched again with all weights 1; for the others both sketches are the same.
+                again = np.unique(r[c > 1])
+                mine = np.isin(r, again)
+                flat = band_keys(sketch(np.searchsorted(again, r[mine]), item[mine], np.ones(int(mine.sum())), len(again), bands * band_rows), bands, band_rows)
+                owner = np.concatenate([np.repeat(np.flatnonzero(count > 0), bands), np.repeat(again, bands)])
+                order = np.argsort(owner, kind="stable")
+                values = np.concatenate([keys[count > 0].ravel(), flat.ravel()])[order]
+                lists = pa.ListArray.from_arrays(pa.array(np.append(0, np.cumsum(np.bincount(owner, minlength=n))).astype(np.int32)), pa.array(values.view(np.int64)))
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array(k1.view(np.int64)), pa.array(k2.view(np.int64)), pa.array(count.astype(np.int64)), lists], names=["id", "k1", "k2", "words", "bands"])
 
     return run
@@ -244,7 +253,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     total = reps.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     # The band keys of one row of each representative (an id may be repeated).
     first = signed.where("words > 0").join(reps.select(F.col("k1").alias("r1"), F.col("k2").alias("r2"), "rep"), (F.col("id") == F.col("rep")) & (F.col("k1") == F.col("r1")) & (F.col("k2") == F.col("r2")))
-    keyed = first.select("rep", "words", F.explode("bands").alias("key"))
+    keyed = first.select("rep", "words", F.explode(F.array_distinct("bands")).alias("key"))
     shared, shared_path = write_table(keyed.groupBy("key").agg(F.min("rep").alias("lead"), F.max("rep").alias("last")).where("lead <> last").select("key", "lead"), "buckets")
     stars = keyed.join(small_side(shared, shared.count()), "key").where("rep <> lead").select(F.col("rep").alias("a"), F.col("lead").alias("b")).distinct()
     groups, groups_path = connected_components(stars)

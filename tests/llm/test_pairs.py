@@ -193,3 +193,17 @@ def test_contained_items(spark):
 def test_tables_are_written_to_the_shared_folder(spark):
     df, path = write_table(spark.range(3).toDF("id"), "t")
     assert path.startswith(spark.conf.get("spark.checkpoint.dir")) and df.count() == 3
+
+
+def test_near_copies_of_which_one_repeats_a_line(spark):
+    texts, pairs = [], 60
+    for i in range(pairs):
+        rng = random.Random(i)
+        body = [f"w{i}x{rng.randrange(10**9)}" for _ in range(64)]
+        line = body[-10:]
+        texts += [" ".join(body), " ".join(body + line * 200)]
+    for i in range(pairs):  # plain Jaccard is at least 0.8
+        a, b = ({tuple(w[j : j + 5]) for j in range(len(w) - 4)} for w in (t.split() for t in texts[2 * i : 2 * i + 2]))
+        assert len(a & b) / len(a | b) >= 0.8
+    got = {r.doc_id: r.class_id for r in near_dedup.near_duplicates(docs(spark, texts)).collect()}
+    assert all(got[2 * i] == got[2 * i + 1] for i in range(pairs))
