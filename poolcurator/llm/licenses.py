@@ -1,15 +1,16 @@
 """Licence texts in documents by diagonal voting, with DataFrame functions only.
 
-Every rolling pair of words of every document is hashed and joined to the places of the same pair in
-the templates. A match at word i of a document and word j of a template votes for the diagonal i - j;
-votes are added up per document, template and diagonal. Neighbouring diagonals, which insertions and
-deletions cause, are merged into one span when they lie within `drift` words of each other. A span is
-verified by its coverage: the share of the template's pairs that the span's diagonals hold, without
+Every rolling pair of words of every document is hashed; pairs that some template has are joined, word
+by word, to the places of the pair in the templates. A match at word i of a document and word j of a
+template votes for the diagonal i - j; votes are added up per document, template and diagonal.
+Neighbouring diagonals, which insertions and deletions cause, are merged into one span when they lie
+within `drift` words of each other. A span is verified by its coverage: the share of the template's pairs that the span's diagonals hold, without
 counting a template place twice. Short phrases must be held whole on one diagonal, which is exact
 consecutive occurrence; longer notices need a share of `min_cover`.
 
-The template pairs are few literals, so the join needs no shuffle of documents; only voting rows,
-which are rare, are shuffled, already added up per task.
+Texts are read and cut into words once. What is kept of a row, its number of words and its template
+pairs, is a table of the shared folder with a number per row. The template pairs are few literals, so
+the join needs no shuffle of documents; only votes, which are rare, are shuffled, already added up per task.
 
 Defined cases: null counts as empty; texts without words have n_words 0 and no labels; repeated rows
 are rows of their own; an empty table gives an empty result; other
@@ -20,12 +21,13 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from poolcurator.llm.store import pick
+from poolcurator.llm.store import pick, write_table
 
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: Runs of a-z, 0-9 and characters beyond ASCII. Java looks single characters up in a table, but asks ranges one after another.
+WORD = "[^" + "".join(f"\\x{c:02X}" for c in range(128) if not chr(c).isdigit() and not chr(c).islower()) + "]+"
 
 # Base phrases and their labels.
 BASE = (
@@ -76,45 +78,52 @@ def templates(base=BASE, notices=NOTICES) -> list[Template]:
     return [Template(i, tuple(t.split()), label, is_base, len(t.split()) <= PHRASE_WORDS) for i, (t, label, is_base) in enumerate(listed)]
 
 
-def template_pairs(spark: SparkSession, listed: list[Template]) -> DataFrame:
-    """(pair, template, place): as many rows as the templates have words."""
-    rows = [(t.words[j], t.words[j + 1], t.number, j) for t in listed for j in range(len(t.words) - 1)]
-    return spark.createDataFrame(rows, "a string, b string, template int, place int").select(F.xxhash64("a", "b").alias("pair"), "template", "place")
+def template_pairs(listed: list[Template]) -> list[tuple[str, str, int, int]]:
+    """(first word, second word, template, place): as many as the templates have words."""
+    return [(t.words[j], t.words[j + 1], t.number, j) for t in listed for j in range(len(t.words) - 1)]
 
 
-def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", listed: list[Template] | None = None, min_cover: float = 0.6, drift: int = 3) -> tuple[DataFrame, DataFrame]:
-    """(rows, spans): rows of docs as (id, key, n_words), and verified spans (key, label, base, start, n_places, cover).
+def ascii_lower(text) -> F.Column:
+    """Lower case; the one sign beyond ASCII whose lower case is a letter of ASCII, the Kelvin sign, stays beyond it."""
+    return F.lower(F.replace(text, F.lit("\u212a"), F.lit("\u0138")))
+
+
+def word_facts(text, pairs: list[tuple[str, str, int, int]]) -> F.Column:
+    """(n_words, hits) of a text; hits are the word pairs, with the first one's number, that a template may have."""
+    wanted = [F.xxhash64(F.lit(a), F.lit(b)) for a, b in sorted({p[:2] for p in pairs})]  # folded to constants, so looked up in a set
+    words = F.regexp_extract_all(ascii_lower(text), F.lit(WORD), F.lit(0))
+
+    def facts(w) -> F.Column:
+        at = F.filter(F.sequence(F.lit(0), F.size(w) - 2), lambda i: F.xxhash64(F.get(w, i), F.get(w, i + 1)).isin(wanted))
+        hits = F.transform(at, lambda i: F.struct(i.alias("i"), F.get(w, i).alias("a"), F.get(w, i + 1).alias("b")))
+        return F.struct(F.size(w).cast("long").alias("n_words"), F.when(F.size(w) > 1, hits).alias("hits"))
 
-    The key stands for a row's id and text, so rows that repeat both share their spans.
-    """
+    # The one-element array binds the words to a name, so that they are extracted once.
+    return F.get(F.transform(F.array(words), facts), F.lit(0))
+
+
+def scan_licenses(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", listed: list[Template] | None = None, min_cover: float = 0.6, drift: int = 3) -> tuple[DataFrame, DataFrame]:
+    """(rows, spans): rows of docs as (key, id, n_words), and verified spans (key, label, base, start, n_places, cover)."""
     spark = docs.sparkSession
     listed = listed or templates()
+    places = template_pairs(listed)
     # Both are bounded by the templates' words, which are literals of the caller.
-    pairs = F.broadcast(template_pairs(spark, listed))
+    pairs = F.broadcast(spark.createDataFrame(places, "a string, b string, template int, place int"))
     facts = F.broadcast(spark.createDataFrame([(t.number, t.label, t.base, t.whole, len(t.words) - 1) for t in listed], "template int, label string, base boolean, whole boolean, n_pairs int"))
     text = F.coalesce(F.col(text_col), F.lit(""))
-    rows = pick(docs, id_col, text_col).select(F.col(id_col).alias("id"), F.xxhash64(id_col, text).alias("key"), F.lower(text).alias("body"))
-    words = rows.select("key", F.regexp_extract_all("body", F.lit(WORD), F.lit(0)).alias("w"))
-    last = F.greatest(F.size("w") - 1, F.lit(0))
-    grams = F.zip_with(F.slice("w", F.lit(1), last), F.slice("w", F.lit(2), last), lambda a, b: F.xxhash64(a, b))
-    hits = words.select("key", F.posexplode(grams).alias("i", "pair")).join(pairs, "pair")
+    rows = pick(docs, id_col, text_col).select(F.monotonically_increasing_id().alias("key"), F.col(id_col).alias("id"), word_facts(text, places).alias("f"))
+    rows, _ = write_table(rows, "license-words")
+    hits = rows.select("key", F.explode("f.hits").alias("h")).select("key", "h.*").join(pairs, ["a", "b"])
     votes = hits.groupBy("key", "template", (F.col("i") - F.col("place")).alias("diagonal")).agg(F.collect_set("place").alias("places")).join(facts, "template")
     phrases = votes.where("whole AND size(places) = n_pairs").select("key", "label", "base", F.col("diagonal").alias("start"), F.col("n_pairs").alias("n_places"), F.lit(1.0).alias("cover"))
-    strong = votes.where("NOT whole AND size(places) * 10 >= n_pairs").groupBy("key", "template", "label", "base", "n_pairs").agg(F.sort_array(F.collect_list(F.struct("diagonal", "places"))).alias("lines"))
     # Diagonals within `drift` of the one before belong to one span, which holds the union of their places.
-    start = F.expr("cast(array() as array<struct<last:int,first:int,places:array<int>>>)")
-
-    def extend(runs, line):
-        end = F.try_element_at(runs, F.lit(-1))
-        grown = F.struct(line["diagonal"].alias("last"), end["first"].alias("first"), F.array_union(end["places"], line["places"]).alias("places"))
-        fresh = F.struct(line["diagonal"].alias("last"), (line["diagonal"] + F.array_min(line["places"])).alias("first"), line["places"].alias("places"))
-        joins = (F.size(runs) > 0) & (line["diagonal"] - end["last"] <= drift)
-        return F.when(joins, F.concat(F.slice(runs, F.lit(1), F.size(runs) - 1), F.array(grown))).otherwise(F.concat(runs, F.array(fresh)))
-
-    merged = strong.select("key", "label", "base", "n_pairs", F.explode(F.aggregate("lines", start, extend)).alias("run"))
-    notices = merged.select("key", "label", "base", F.col("run.first").alias("start"), F.size("run.places").alias("n_places"), (F.size("run.places") / F.col("n_pairs")).alias("cover")).where(F.col("cover") >= min_cover)
-    counted = rows.select("id", "key", F.regexp_count("body", F.lit(WORD)).cast("long").alias("n_words"))
-    return counted, phrases.unionByName(notices)
+    along = Window.partitionBy("key", "template").orderBy("diagonal")
+    apart = F.coalesce(F.col("diagonal") - F.lag("diagonal").over(along) > drift, F.lit(True))
+    lines = votes.where("NOT whole AND size(places) * 10 >= n_pairs").withColumn("apart", apart.cast("int")).withColumn("run", F.sum("apart").over(along))
+    merged = lines.select("key", "template", "label", "base", "n_pairs", "run", "diagonal", F.explode("places").alias("place")).groupBy("key", "template", "label", "base", "n_pairs", "run")
+    merged = merged.agg(F.min(F.struct("diagonal", "place")).alias("first"), F.size(F.collect_set("place")).alias("n_places"))
+    notices = merged.select("key", "label", "base", (F.col("first.diagonal") + F.col("first.place")).alias("start"), "n_places", (F.col("n_places") / F.col("n_pairs")).alias("cover")).where(F.col("cover") >= min_cover)
+    return rows.select("key", "id", "f.n_words"), phrases.unionByName(notices)
 
 
 def license_digest(rows: DataFrame, spans: DataFrame, id_col: str = "doc_id") -> DataFrame:

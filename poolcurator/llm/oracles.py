@@ -1,5 +1,7 @@
 """DuckDB SQL for the queries that SQL can express."""
 
+from poolcurator.llm import licenses
+
 OP2 = r"""
 WITH d AS (SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS body FROM documents)
 SELECT doc_id, min(doc_id) OVER w AS keep_id, count(*) OVER w AS group_size,
@@ -19,5 +21,35 @@ GROUP BY doc_id, item_id, item_shingles HAVING count(*) >= 0.8 * item_shingles
 """
 
 
+WORDS = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+
+
+def op3() -> str:
+    """Votes by diagonal over all word pairs, merged within three diagonals; the templates are the operator's own list."""
+    listed = licenses.templates()
+    places = ", ".join(f"('{a}', '{b}', {t}, {j})" for a, b, t, j in licenses.template_pairs(listed))
+    facts = ", ".join(f"({t.number}, '{t.label}', {t.base}, {t.whole}, {len(t.words) - 1})" for t in listed)
+    return f"""
+WITH d AS (SELECT doc_id, row_number() OVER () AS key, {WORDS} AS w FROM documents),
+p(a, b, template, place) AS (VALUES {places}),
+f(template, label, base, whole, n_pairs) AS (VALUES {facts}),
+pairs AS (SELECT key, i, w[i] AS a, w[i + 1] AS b FROM (SELECT key, w, unnest(range(1, len(w))) AS i FROM d)),
+hits AS (SELECT DISTINCT key, template, place, i - 1 - place AS diagonal FROM pairs JOIN p USING (a, b)),
+votes AS (SELECT key, template, diagonal, count(*) AS n, min(place) AS least FROM hits GROUP BY ALL),
+weak AS (SELECT v.*, label, base, n_pairs FROM votes v JOIN f USING (template) WHERE NOT whole AND n * 10 >= n_pairs),
+runs AS (SELECT *, sum(fresh) OVER (PARTITION BY key, template ORDER BY diagonal) AS run
+  FROM (SELECT *, CASE WHEN diagonal - lag(diagonal) OVER (PARTITION BY key, template ORDER BY diagonal) <= 3 THEN 0 ELSE 1 END AS fresh FROM weak)),
+merged AS (SELECT r.key, label, base, min(r.diagonal + CASE WHEN fresh = 1 THEN r.least ELSE 1000000000 END) AS start, count(DISTINCT h.place) / any_value(n_pairs) AS cover
+  FROM runs r JOIN hits h ON h.key = r.key AND h.template = r.template AND h.diagonal = r.diagonal GROUP BY r.key, r.template, label, base, run),
+spans AS (SELECT key, label, base, diagonal AS start, 1.0::double AS cover FROM votes JOIN f USING (template) WHERE whole AND n = n_pairs
+  UNION ALL SELECT key, label, base, start, cover FROM merged WHERE cover >= 0.6)
+SELECT doc_id, len(any_value(w))::bigint AS n_words, count(*) FILTER (WHERE base) AS n_base,
+  min(start) FILTER (WHERE base) AS first_word, max(start) FILTER (WHERE base) AS last_word,
+  coalesce(string_agg(DISTINCT label, ',' ORDER BY label) FILTER (WHERE base), '') AS base_labels,
+  coalesce(string_agg(DISTINCT label, ',' ORDER BY label), '') AS labels, coalesce(max(cover), 0.0)::double AS score
+FROM d LEFT JOIN spans USING (key) GROUP BY key, doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_exact_dedup": OP2, "op10_decontamination": OP10}
+    return {"op2_exact_dedup": OP2, "op3_licenses": op3(), "op10_decontamination": OP10}
