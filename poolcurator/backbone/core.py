@@ -39,6 +39,11 @@ class CostLedger:
         for i, v in enumerate((1, rough_tokens(prompt), rough_tokens(reply), int(retry), int(failed))):
             row[i] += v
 
+    def add_many(self, stage: int, kind: str, calls: int, tokens_in: int, tokens_out: int, retries: int = 0, failures: int = 0) -> None:
+        row = self.rows.setdefault((stage, kind), [0, 0, 0, 0, 0])
+        for i, v in enumerate((calls, tokens_in, tokens_out, retries, failures)):
+            row[i] += v
+
     def table(self) -> list[tuple]:
         return [(self.run_id, s, k, c, i, o, r, f, (self.price_in * i + self.price_out * o) / 1_000_000) for (s, k), (c, i, o, r, f) in sorted(self.rows.items())]
 
@@ -47,10 +52,10 @@ class CostLedger:
         return {"calls": sum(x[3] for x in t), "tokens_in": sum(x[4] for x in t), "tokens_out": sum(x[5] for x in t), "retries": sum(x[6] for x in t), "failures": sum(x[7] for x in t), "usd": sum((x[8] for x in t), Decimal(0))}
 
 
-STAGE_OF = {"mode": 1, "label": 1, "match": 1, "policy": 2, "weights": 3, "rubric": 4, "judge": 4}
+STAGE_OF = {"inspect": 2, "mode": 1, "label": 1, "match": 1, "policy": 2, "weights": 3, "rubric": 4, "judge": 4}
 
 
-def ask(backbone: Backbone, kind: str, slots: Mapping[str, Any], parse: Callable[[Any], Any], max_retries: int = 3, ledger: CostLedger | None = None) -> Any:
+def ask(backbone: Backbone, kind: str, slots: Mapping[str, Any], parse: Callable[[Any], Any], max_retries: int = 3, ledger: CostLedger | None = None, stage: int | None = None) -> Any:
     """The parsed reply; malformed or out-of-range replies are asked for again until the budget is used up."""
     prompt = render(kind, **{k: v if isinstance(v, str) else json.dumps(v, ensure_ascii=False, default=str) for k, v in slots.items()})
     error: Exception | None = None
@@ -62,10 +67,10 @@ def ask(backbone: Backbone, kind: str, slots: Mapping[str, Any], parse: Callable
             error = e
         else:
             if ledger:
-                ledger.add(STAGE_OF[kind], kind, prompt, reply, retry=attempt > 0)
+                ledger.add(stage or STAGE_OF[kind], kind, prompt, reply, retry=attempt > 0)
             return value
         if ledger:
-            ledger.add(STAGE_OF[kind], kind, prompt, reply, failed=True, retry=attempt > 0)
+            ledger.add(stage or STAGE_OF[kind], kind, prompt, reply, failed=True, retry=attempt > 0)
     raise ConfigRejected(f"{kind}: no valid reply in {max_retries + 1} calls: {error}")
 
 

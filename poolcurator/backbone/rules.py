@@ -53,6 +53,15 @@ class RuleBackbone:
     def __init__(self, parents: Mapping[str, str] | None = None, temperature: float = 0.01):
         self.matcher, self.temperature = TaxonomyMatcher(parents), temperature
 
+    inspects = True
+
+    def _inspect(self, s) -> str:
+        """Looks closer where the request's words or the first facts call for it."""
+        asked = s["request"].lower()
+        probes = ["charset"] if any(c in asked for c in ("junk", "clean", "tidy")) else ["lengths"]
+        queries = ["SELECT lang, count(*) AS n FROM pool GROUP BY lang ORDER BY n DESC LIMIT 5"] if int(s["stage"]) == 2 else []
+        return json.dumps({"probes": probes, "queries": queries})
+
     def complete(self, kind: str, prompt: str, slots: Mapping[str, Any]) -> str:
         return getattr(self, f"_{kind}")(slots)
 
@@ -77,13 +86,18 @@ class RuleBackbone:
         return json.dumps({"matching_cluster_ids": self.matcher.match(self.wanted(s["request"]), clusters)})
 
     def _policy(self, s) -> str:
-        asked = s["request"].lower()
+        asked, seen = s["request"].lower(), s.get("observations") or {}
         policy = Policy().to_dict()
         if "junk" in asked or "clean" in asked:
             policy["max_noise_ratio"] = 0.02
             policy["noise_regex"] = policy["noise_regex"].replace("!", "", 1).replace("！", "", 1)
         if any(f" {x}" in asked for x in ("french", "german", "spanish")) or "mix" in asked:
             policy["require_en"] = False
+        stats = seen.get("stats") or {}
+        if stats.get("latin") is not None and stats["latin"] < policy["min_en_ratio"]:
+            policy["require_en"] = False  # the pool is written in another script
+        if stats.get("n") and stats.get("empty_output") == stats["n"]:
+            policy["min_out_len"], policy["out_inst_ratio_min"] = 0, 0.0  # no sample has an answer to measure
         return json.dumps(policy)
 
     def _weights(self, s) -> str:

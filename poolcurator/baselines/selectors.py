@@ -150,7 +150,7 @@ def mig_greedy(tags: DataFrame, edges: DataFrame, k: int, power: float = 0.8, ke
 def tfidf_tags(samples: DataFrame, per_sample: int = 3, key: str = "sample_id") -> DataFrame:
     """(key, tag, weight): each sample's tokens with the highest tf-idf."""
     n = samples.count()
-    tf = samples.select(key, F.explode(X.tokens("text")).alias("tag")).groupBy(key, "tag").agg(F.count(F.lit(1)).alias("tf"))
+    tf = X.explode_rows(samples, [key], X.tokens("text"), "tag").groupBy(key, "tag").agg(F.count(F.lit(1)).alias("tf"))
     df = tf.groupBy("tag").agg(F.count(F.lit(1)).alias("df"))
     w = tf.join(df, "tag").select(key, "tag", F.round(F.col("tf") * F.log(F.lit(float(n)) / F.col("df")), 6).alias("weight"))
     rank = F.row_number().over(Window.partitionBy(key).orderBy(F.desc("weight"), "tag"))
@@ -258,12 +258,11 @@ def greedy_diverse(df: DataFrame, k: int, tau: float = 0.9, block: int = 512, ke
 
 def ngram_buckets(df: DataFrame, key: str, text: str = "text", buckets: int = 10_000) -> DataFrame:
     """(key, bucket, n): unigrams and bigrams by md5 bucket."""
-    t = X.tokens(text)
-    rows = df.select(key, t.alias("t"))
-    pairs = F.zip_with(F.slice("t", F.lit(1), F.greatest(F.size("t") - 1, F.lit(0))), F.slice("t", F.lit(2), F.greatest(F.size("t") - 1, F.lit(0))), lambda a, b: F.concat_ws(" ", a, b))
-    grams = rows.select(key, F.explode(F.concat("t", pairs)).alias("g"))
+    both = X.once(X.tokens(text), lambda t: F.concat(t, F.filter(F.transform(t, lambda w, i: F.concat(w, F.lit(" "), F.get(t, i + 1))), lambda g: g.isNotNull())))
+    # Equal grams of a text are added up before they are hashed.
+    grams = X.explode_rows(df, [key], both, "g").groupBy(key, "g").agg(F.count(F.lit(1)).alias("c"))
     bucket = F.pmod(F.conv(F.substring(F.md5("g"), 1, 8), 16, 10).cast("long"), F.lit(buckets)).cast("int")
-    return grams.groupBy(key, bucket.alias("bucket")).agg(F.count(F.lit(1)).alias("n"))
+    return grams.groupBy(key, bucket.alias("bucket")).agg(F.sum("c").alias("n"))
 
 
 def dsir_logratio(raw: DataFrame, target: DataFrame, key: str = "sample_id", target_key: str = "item_id", buckets: int = 10_000, smooth: float = 1.0) -> DataFrame:

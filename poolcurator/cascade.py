@@ -5,14 +5,15 @@ from __future__ import annotations
 from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from poolcurator.backbone.core import Backbone, CostLedger
 from poolcurator.backbone.rules import RuleBackbone
-from poolcurator.config import CascadeConfig, SelectionRequest
+from poolcurator.config import CascadeConfig, Rubric, SelectionRequest
 from poolcurator.inspect import inspect_pool
-from poolcurator.operators.topk import random_k, rehydrate, top_k
+from poolcurator.operators.topk import random_k, rehydrate, top_k, with_rank
+from poolcurator.sources.files import drop_durable, durable
 from poolcurator.stages import characteristic, domain, informativeness, quality
 
 
@@ -24,10 +25,16 @@ class CascadeResult:
     survivors: dict[int, DataFrame]
     configs: dict[str, object] = field(default_factory=dict)
     ledger: CostLedger = field(default_factory=CostLedger)
+    tables: list[DataFrame] = field(default_factory=list)
 
     def funnel(self) -> list[tuple[int, int]]:
         return [(s, df.count()) for s, df in sorted(self.survivors.items())]
 
+    def release(self) -> None:
+        """Removes the run's tables from the shared folder; the result can no longer be read then."""
+        while self.tables:
+            drop_durable(self.tables.pop())
+
 
 def run_cascade(
     pool: DataFrame,
@@ -36,43 +43,55 @@ def run_cascade(
     cfg: CascadeConfig = CascadeConfig(),
     backbone: Backbone | None = None,
     stages: Sequence[int] = (1, 2, 3, 4),
-    judge: Callable[[str, list[dict]], str] | None = None,
+    judge: Callable[[Rubric], Callable[[str, list[dict]], str]] | None = None,
     key: str = "sample_id",
-    durable: Callable[[DataFrame, str], DataFrame] | None = None,
+    optimizer: str = "adamw",
+    ledger: CostLedger | None = None,
 ) -> CascadeResult:
     """The best k samples for the request; stages may be any sub-sequence, also in another order.
 
-    Stage outputs carry rows of survivors only. `durable` writes an intermediate table and returns it
-    read back (the shared folder's writer on a cluster); without it tables are cached.
+    What a stage keeps is written to the shared folder before the next one looks at it, so no plan is longer
+    than a stage, texts are filtered once, and the next stage reads only the columns it needs. `judge` makes the
+    judge for a rubric; without one the offline judge scores natively and costs nothing.
     """
-    backbone = backbone or RuleBackbone()
-    ledger = CostLedger()
-    keep = durable or (lambda df, name: df.persist())
+    backbone = backbone or RuleBackbone(temperature=cfg.temperature)
+    ledger = ledger or CostLedger()
+    tables: list[DataFrame] = []
+
+    def keep(df: DataFrame, name: str) -> DataFrame:
+        tables.append(durable(df, name))
+        return tables[-1]
+
     now, survivors, configs = pool, {0: pool}, {}
     scores: DataFrame | None = None
     ranked = False
     for stage in stages:
         if stage == 1:
             now = domain.select_domain(now, request, backbone, cfg, key, ledger)
+            if now is not pool:
+                now = keep(now, "domain")
         elif stage == 2:
-            policy = characteristic.propose_policy(request, inspect_pool(now, 2), backbone, cfg.max_retries, ledger)
+            policy = characteristic.propose_policy(request, inspect_pool(now, 2, backbone, request, ledger), backbone, cfg.max_retries, ledger)
             configs["policy"] = policy
-            now = characteristic.match(now, policy)
+            now = keep(characteristic.match(now, policy), "matched")
         elif stage == 3:
-            weights = informativeness.propose_weights(request, inspect_pool(now, 3), backbone, cfg.max_retries, ledger)
+            weights = informativeness.propose_weights(request, inspect_pool(now, 3, backbone, request, ledger), backbone, cfg.max_retries, ledger)
             configs["weights"] = weights
-            metrics = keep(informativeness.measure(now, target, lr=cfg.lr, key=key), "metrics")
+            metrics = keep(informativeness.measure(now, target, optimizer=optimizer, lr=cfg.lr, key=key), "metrics")
             k = cfg.k_star if stage != stages[-1] else cfg.k
             scores = keep(informativeness.informative(metrics, weights, k, key).select(key, "score"), "informative")
-            now, ranked = rehydrate(now, scores, key), True
+            now, ranked = keep(rehydrate(now, scores, key), "top"), True
         elif stage == 4:
-            rubric = quality.propose_rubric(request, inspect_pool(now, 4), backbone, cfg.max_retries, ledger)
+            rubric = quality.propose_rubric(request, inspect_pool(now, 4, backbone, request, ledger), backbone, cfg.max_retries, ledger)
             configs["rubric"] = rubric
-            batched = quality.assign_batches(now, cfg.batch, cfg.seed, key, quality.batch_ranges(now.count(), cfg.batch))
-            if judge is None:
+            n = now.count()
+            batched = keep(quality.assign_batches(now, cfg.batch, cfg.seed, key, quality.batch_ranges(n, cfg.batch)), "batches")
+            judge_now = judge(rubric) if judge else None
+            if judge_now is None:
                 verdicts = quality.rule_verdicts(batched, list(rubric.weights), key)
             else:
-                raw = keep(quality.score_batches(batched, rubric, judge, cfg, key), "verdicts")
+                raw = keep(quality.score_batches(batched, rubric, judge_now, cfg, key), "verdicts")
+                quality.bill(raw, ledger)
                 verdicts = quality.parse_verdicts(raw)
             q = quality.quality_score(quality.apply_flags(verdicts, cfg.drop_flagged), rubric.weights, key)
             joined = now.select(key).join(q, key, "left")
@@ -84,9 +103,9 @@ def run_cascade(
     if not ranked:
         now = random_k(now, cfg.k, cfg.seed, key)
         scores = now.select(key, F.lit(None).cast("double").alias("score"))
-    best = top_k(scores, "score", cfg.k, key)
-    order = F.row_number().over(Window.orderBy(F.desc_nulls_last("score"), key))
-    return CascadeResult(best.select(F.col(key), F.lit(stages[-1]).alias("stage"), "score", order.alias("rank")), survivors, configs, ledger)
+    best = with_rank(top_k(scores, "score", cfg.k, key), "score", cfg.k, key)
+    selected = keep(best.select(F.col(key), F.lit(stages[-1]).alias("stage"), "score", "rank"), "selected")
+    return CascadeResult(selected, survivors, configs, ledger, tables)
 
 
 def select_subset(pool: DataFrame, request: SelectionRequest, target, cfg: CascadeConfig = CascadeConfig(), backbone: Backbone | None = None) -> CascadeResult:

@@ -36,24 +36,26 @@ def request(name: str) -> SelectionRequest:
     return SelectionRequest(name, REQUESTS[name])
 
 
+#: Smoothing of the proxy: a flatter model of the same tokens than the targets.
+PROXY_SMOOTHING = 1.0
+
+
 def target_for(spark: SparkSession, sf_dir: str, name: str):
-    """The stand-in model, fitted on its own third of the documents."""
+    """The stand-in model by name, fitted on all documents."""
     docs = pool_of(spark, sf_dir, "MD-1")
-    fit = docs.where(F.pmod("sample_id", F.lit(3)) == TARGETS.index(name))
     if name == "unigram":
-        return UnigramTarget.fit(fit)
-    base = BigramTarget.fit(fit)
+        return UnigramTarget.fit(docs)
+    base = BigramTarget.fit(docs)
     return base if name == "bigram" else PromptCacheTarget(base)
 
 
 def proxy_for(spark: SparkSession, sf_dir: str) -> BigramTarget:
-    """The small proxy of the difficulty score: another fit slice than the bigram target's."""
-    return BigramTarget.fit(pool_of(spark, sf_dir, "MD-1").where(F.pmod("sample_id", F.lit(3)) == 2))
+    """The small proxy of the difficulty score, which is none of the targets."""
+    return BigramTarget.fit(pool_of(spark, sf_dir, "MD-1"), PROXY_SMOOTHING)
 
 
 def config(pool: DataFrame, **changes) -> CascadeConfig:
-    n = pool.count()
-    return CascadeConfig(k=budget_for(n), n_c=changes.pop("n_c", 500), **changes)
+    return CascadeConfig(k=budget_for(pool.count()), **changes)
 
 
 def cascade(spark: SparkSession, sf_dir: str, pool_name: str, request_name: str, target: str = "bigram", stages=(1, 2, 3, 4), **changes):

@@ -37,9 +37,8 @@ def surplus_copies(df: DataFrame) -> DataFrame:
 
 def word_shingles(df: DataFrame, key: str, n: int = 8, text: str = "text") -> DataFrame:
     """(key, s): every run of n tokens, hashed."""
-    rows = df.select(key, X.tokens(text).alias("t")).where(F.size("t") >= n)
-    runs = F.transform(F.sequence(F.lit(1), F.size("t") - n + 1), lambda i: F.xxhash64(F.slice("t", i, F.lit(n))))
-    return rows.select(key, F.explode(runs).alias("s"))
+    runs = X.once(X.tokens(text), lambda t: F.when(F.size(t) >= n, F.transform(F.sequence(F.lit(1), F.size(t) - n + 1), lambda i: F.xxhash64(F.slice(t, i, F.lit(n))))))
+    return X.explode_rows(df, [key], runs, "s")
 
 
 def contaminated(docs: DataFrame, items: DataFrame, n: int = 8, most: int = 5_000_000) -> DataFrame:

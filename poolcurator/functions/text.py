@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 TOKEN = r"[\p{L}\p{N}]+"
@@ -20,6 +20,20 @@ def tokens(c: str | Column) -> Column:
     return F.regexp_extract_all(F.lower(col(c)), F.lit(TOKEN), F.lit(0))
 
 
+def once(value: Column, use) -> Column:
+    """use(value) with value evaluated once, however often it is used: it is bound to a variable of a higher-order function."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def explode_rows(df: DataFrame, keep: list, items: Column, name: str) -> DataFrame:
+    """(*keep, name): one row per non-null item.
+
+    An inner explode lets the optimiser test the array's size below it, which evaluates a costly array twice; the
+    outer form does not.
+    """
+    return df.select(*keep, F.explode_outer(items).alias(name)).where(F.col(name).isNotNull())
+
+
 def seeded_key(c: str | Column, seed: int | str = 42) -> Column:
     """A sort key that shuffles ids the same way on every engine."""
     return F.md5(F.concat(F.lit(f"{seed}:"), col(c).cast("string")))

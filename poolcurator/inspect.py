@@ -4,9 +4,12 @@ from __future__ import annotations
 
 import re
 
+from pyspark.errors import PySparkException
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from poolcurator.backbone.core import Backbone, CostLedger, ask
+from poolcurator.config import SelectionRequest
 from poolcurator.functions import text as X
 from poolcurator.operators.topk import random_k
 
@@ -55,7 +58,7 @@ def duplicates(df: DataFrame) -> DataFrame:
 
 
 def vocabulary(df: DataFrame, n: int = 20) -> DataFrame:
-    rows = df.select(F.explode(X.tokens("text")).alias("token")).groupBy("token").agg(F.count(F.lit(1)).alias("n"))
+    rows = X.explode_rows(df, [], X.tokens("text"), "token").groupBy("token").agg(F.count(F.lit(1)).alias("n"))
     return rows.orderBy(F.desc("n"), "token").limit(n)
 
 
@@ -90,10 +93,43 @@ def guarded_select(df: DataFrame, query: str, limit: int = 100) -> DataFrame:
     return df.sparkSession.sql(f"SELECT * FROM ({body.replace('{', '{{').replace('}', '}}')}) LIMIT {int(limit)}".replace("FROM pool", "FROM {pool}").replace("from pool", "from {pool}"), pool=df)
 
 
-def inspect_pool(df: DataFrame, stage: int) -> dict:
-    """Default probes as compact facts for a prompt: one fused aggregate and a preview."""
+#: Probes that a model may ask for, each a bounded number of rows.
+PROBES = {
+    "nulls": nulls,
+    "lengths": lengths,
+    "charset": charset,
+    "languages": lambda df: value_counts(df, "lang").orderBy(F.desc("n"), "lang").limit(20),
+    "sources": lambda df: value_counts(df, "source").orderBy(F.desc("n"), "source").limit(20),
+    "duplicates": lambda df: duplicates(df).agg(F.count(F.lit(1)).alias("groups"), F.coalesce(F.sum("n"), F.lit(0)).alias("rows")),
+    "vocabulary": vocabulary,
+}
+
+
+def inspect_pool(df: DataFrame, stage: int, backbone: Backbone | None = None, request: SelectionRequest | None = None, ledger: CostLedger | None = None) -> dict:
+    """Compact facts for a prompt: one fused aggregate and a preview; then the probes and guarded queries that the backbone asks for.
+
+    A query that is refused or fails is answered by the reason, and the run goes on.
+    """
     row = stats(df).first().asDict()
-    return {"stage": stage, "schema": [f"{f.name} {f.dataType.simpleString()}" for f in df.schema.fields], "stats": row, "preview": [r.asDict() for r in preview(df, 3).collect()]}
+    facts = {"stage": stage, "schema": [f"{f.name} {f.dataType.simpleString()}" for f in df.schema.fields], "stats": row, "preview": [r.asDict() for r in preview(df, 3).collect()]}
+    if backbone is None or request is None or not getattr(backbone, "inspects", False):
+        return facts
+
+    def parse(reply) -> tuple[list[str], list[str]]:
+        probes, queries = list(reply["probes"]), list(reply["queries"])
+        if not set(probes) <= set(PROBES) or not all(isinstance(q, str) for q in queries):
+            raise ValueError("unknown probe")
+        return probes, queries
+
+    probes, queries = ask(backbone, "inspect", {"request": request.text, "stage": stage, "observations": facts, "probes": ", ".join(PROBES)}, parse, ledger=ledger, stage=stage)
+    facts["probes"] = {p: [r.asDict() for r in PROBES[p](df).collect()] for p in probes}
+    facts["queries"] = {}
+    for q in queries:
+        try:
+            facts["queries"][q] = [r.asDict() for r in guarded_select(df, q).collect()]
+        except (UnsafeQuery, PySparkException) as e:
+            facts["queries"][q] = f"refused: {str(e).splitlines()[0][:200]}"
+    return facts
 
 
 def observations(df: DataFrame, stage: int) -> DataFrame:

@@ -9,6 +9,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from poolcurator.functions import text as X
+
 DIMENSIONS = 256
 
 
@@ -21,7 +23,7 @@ def bigram_buckets(df: DataFrame, key: str = "sample_id", text: str = "text") ->
     # Pairs from the first character on and from the second on: every bigram once, in linear time.
     pair = F.lit("(?s)..")
     grams = F.concat(F.regexp_extract_all(low, pair, F.lit(0)), F.regexp_extract_all(F.substring(low, 2, 2_000_000_000), pair, F.lit(0)))
-    rows = df.where(F.length(low) >= 2).select(key, F.explode(grams).alias("g")).groupBy(key, "g").agg(F.count(F.lit(1)).alias("c"))
+    rows = X.explode_rows(df.where(F.length(low) >= 2), [key], grams, "g").groupBy(key, "g").agg(F.count(F.lit(1)).alias("c"))
     bucket = F.pmod(F.conv(F.substring(F.md5("g"), 1, 4), 16, 10).cast("int"), F.lit(DIMENSIONS))
     return rows.groupBy(key, bucket.alias("bucket")).agg(F.sum("c").alias("n"))
 

@@ -16,6 +16,16 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return reader.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def read_spread(spark: SparkSession, sf_dir: str, name: str, key: str) -> DataFrame:
+    """The table, dealt by key to all cores if it comes in too few splits to keep half of them busy.
+
+    A small table is often one file of one row group, which one task would work through; large ones are left as
+    they are. Aggregates by the key need no further shuffle then.
+    """
+    df, cores = read_table(spark, sf_dir, name), spark.sparkContext.defaultParallelism
+    return df if 2 * df.rdd.getNumPartitions() > cores else df.repartition(cores, key)
+
+
 def as_samples(df: DataFrame, pool: str) -> DataFrame:
     """df in the sample layout; columns that it lacks are null."""
     have = set(df.columns)
@@ -94,7 +104,7 @@ def from_pages(pages: DataFrame, pool: str = "pages") -> DataFrame:
 
 def pool_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """The pools of the experiments by name."""
-    docs = from_documents(read_table(spark, sf_dir, "documents"))
+    docs = from_documents(read_spread(spark, sf_dir, "documents", "doc_id"))
     if name == "SD-1":
         return docs.where("lang = 'en'")
     if name == "SD-2":
@@ -111,5 +121,6 @@ def pool_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     if name == "SD-6":
         return chat_pairs(chats, first_only=True)
     if name == "MD-2":
-        return docs.unionByName(chat_pairs(chats))
+        # Chat ids are turned negative, so that they never meet a document's.
+        return docs.unionByName(chat_pairs(chats).withColumn("sample_id", -F.col("sample_id") - 1))
     raise KeyError(name)

@@ -29,13 +29,23 @@ def drift(samples: DataFrame, said: str = "generated", wanted: str = "output", k
 
 
 def measure(samples: DataFrame, target, generate: bool = True, optimizer: str = "adamw", lr: float = 1e-5, key: str = "sample_id") -> DataFrame:
-    """(key, loss, entropy, drift, mean_diff) of every sample."""
+    """(key, loss, entropy, drift, mean_diff) of every sample.
+
+    The parameter shift is the model's own where it brings one (`shift`), that of its count table with
+    optimizer "table", else that of the probe. A model that cannot generate is judged by the prompt.
+    """
     out = samples.select(key).join(target.metrics(samples, key), key, "left")
     if generate and hasattr(target, "generate"):
-        said = samples.join(target.generate(samples, key=key), key)
-    else:  # models that do not generate: the prompt stands for the answer
-        said = samples.withColumn("generated", F.col("instruction"))
-    return out.join(drift(said, key=key), key).join(mean_diff(samples, optimizer, lr, key=key), key)
+        said = samples.select(key, "output").join(target.generate(samples, key=key), key)
+    else:
+        said = samples.select(key, "output", F.col("instruction").alias("generated"))
+    if hasattr(target, "shift"):
+        moved = target.shift(samples, lr, key)
+    elif optimizer == "table":
+        moved = target.table_shift(samples, lr, key)
+    else:
+        moved = mean_diff(samples, optimizer, lr, key=key)
+    return out.join(drift(said, key=key), key).join(moved, key, "left")
 
 
 def minmax(df: DataFrame, columns: tuple[str, ...] = METRICS, bounds: dict | None = None) -> DataFrame:

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from poolcurator import schema
-from poolcurator.backbone.core import Backbone, CostLedger, ask
+from poolcurator.backbone.core import Backbone, CostLedger, ask, rough_tokens
 from poolcurator.backbone.prompts import render
 from poolcurator.config import CascadeConfig, Rubric, SelectionRequest
 from poolcurator.functions import text as X
@@ -49,36 +49,68 @@ def render_judge_prompt(rubric: Rubric, batch: list[dict]) -> str:
 
 
 def score_batches(df: DataFrame, rubric: Rubric, judge: Callable[[str, list[dict]], str], cfg: CascadeConfig = CascadeConfig(), key: str = "sample_id") -> DataFrame:
-    """(batch_id, members, raw): the judge's reply to every batch, some calls at a time in each task.
+    """(batch_id, members, raw, tokens_in, tokens_out): the judge's reply to every batch.
 
-    A failed call gives a null reply and is not repeated. Write the result before parsing: a task
+    A task works in rounds of `samples_per_round` samples, at most `concurrency` batches at a time. A failed call gives a null reply and is not repeated. Write the result before parsing: a task
     that is run again must not pay again for batches that are already written.
     """
     whole = df.groupBy("batch_id").agg(F.sort_array(F.collect_list(F.struct(F.col(key).alias("sample_id"), "instruction", "input", "output"))).alias("rows"))
-    at_once = cfg.concurrency
+    at_once = max(1, min(cfg.concurrency, cfg.samples_per_round // cfg.batch))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        def one(rows) -> str | None:
+        def one(rows) -> tuple[list[int], str | None, int, int]:
             batch = [{k: (int(v) if k == "sample_id" else v) for k, v in r.items()} if isinstance(r, dict) else r.asDict() for r in rows]
+            prompt, reply = render_judge_prompt(rubric, batch), None
             try:
-                return judge(render_judge_prompt(rubric, batch), batch)
+                reply = judge(prompt, batch)
             except Exception:  # noqa: BLE001  the round goes on without this batch
-                return None
+                pass
+            return [r["sample_id"] for r in batch], reply, rough_tokens(prompt), rough_tokens(reply or "")
 
         with ThreadPoolExecutor(at_once) as pool:
             for b in batches:
-                raw = list(pool.map(one, b["rows"]))
-                yield pd.DataFrame({"batch_id": b["batch_id"], "members": [[int(r["sample_id"]) for r in rows] for rows in b["rows"]], "raw": raw})
+                said = []
+                for first in range(0, len(b), at_once):  # one round
+                    said += pool.map(one, b["rows"].iloc[first : first + at_once])
+                yield pd.DataFrame({"batch_id": b["batch_id"].to_numpy(), **dict(zip(("members", "raw", "tokens_in", "tokens_out"), map(list, zip(*said, strict=True)), strict=True))})
 
-    return whole.mapInPandas(run, "batch_id long, members array<long>, raw string")
+    return whole.mapInPandas(run, "batch_id long, members array<long>, raw string, tokens_in long, tokens_out long")
+
+
+def bill(raw: DataFrame, ledger: CostLedger) -> None:
+    """Adds the judge's calls to the ledger: one a batch, failed ones counted, tokens as sent and received."""
+    calls, tokens_in, tokens_out, failed = raw.agg(F.count(F.lit(1)), F.coalesce(F.sum("tokens_in"), F.lit(0)), F.coalesce(F.sum("tokens_out"), F.lit(0)), F.count_if(F.col("raw").isNull())).first()
+    ledger.add_many(4, "judge", calls, tokens_in, tokens_out, failures=failed)
+
+
+def rule_judge(names: list[str]) -> Callable[[str, list[dict]], str]:
+    """The offline judge as a callable: replies in JSON with each feature's fifth of the batch, dealt to the dimensions in turn."""
+
+    def judge(prompt: str, batch: list[dict]) -> str:
+        texts = [f"{r['instruction'] or ''} {r['output'] or ''}" for r in batch]
+        words = [t.lower().split() for t in texts]
+        features = [
+            [len(set(w)) / len(w) if w else 0.0 for w in words],
+            [sum(c.isalnum() or c.isspace() or c in ".,;!?()/" for c in t) / max(1, len(t)) for t in texts],
+            [len(t) for t in texts],
+        ]
+        fifths = []
+        for line in features:
+            place = {i: p for p, i in enumerate(sorted(range(len(line)), key=lambda i: (line[i], batch[i]["sample_id"])))}
+            fifths.append([1 + 5 * place[i] // len(line) for i in range(len(line))])
+        return json.dumps([{"sample_id": r["sample_id"], "scores": {n: fifths[j % 3][i] for j, n in enumerate(names)}, "reasoning": "", "flagged": False} for i, r in enumerate(batch)])
+
+    return judge
 
 
 def parse_verdicts(raw: DataFrame) -> DataFrame:
-    """(batch_id, sample_id, dim, q, flagged): replies that do not parse give no rows; what is not in the batch or not 1 to 5 goes."""
+    """(batch_id, sample_id, dim, q, flagged). A reply has one object per member of its batch, each once; any other gives no rows. Scores that are not 1 to 5 go."""
     v = F.from_json("raw", schema.VERDICT, {"mode": "PERMISSIVE"})
-    rows = raw.withColumn("v", v).select("batch_id", "members", F.explode("v").alias("v"))
+    rows = raw.withColumn("v", v).withColumn("ids", F.col("v.sample_id"))
+    whole = (F.size("ids") == F.size("members")) & (F.size(F.array_distinct("ids")) == F.size("ids")) & (F.size(F.array_except("ids", "members")) == 0)
+    rows = rows.where(whole).select("batch_id", "members", F.explode("v").alias("v"))
     dims = rows.select("batch_id", "members", F.col("v.sample_id").alias("sample_id"), F.coalesce("v.flagged", F.lit(False)).alias("flagged"), F.explode("v.scores").alias("dim", "q"))
-    return dims.where(F.array_contains("members", F.col("sample_id")) & F.col("q").between(1, 5)).select("batch_id", "sample_id", "dim", "q", "flagged")
+    return dims.where(F.col("q").between(1, 5)).select("batch_id", "sample_id", "dim", "q", "flagged")
 
 
 def apply_flags(df: DataFrame, drop_flagged: bool = False) -> DataFrame:

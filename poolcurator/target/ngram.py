@@ -1,26 +1,45 @@
-"""Target models whose token probabilities are count tables: unigram, bigram, bigram with a prompt cache."""
+"""Target models whose token probabilities are count tables: unigram, bigram, bigram with a prompt cache.
+
+Count tables and chains of likeliest tokens are tables of the shared folder, so a plan that scores or
+generates starts from them. Each is joined by broadcast while its counted rows allow that, else by a
+shuffle whose hot keys the engine splits.
+"""
 
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from poolcurator.functions import text as X
+from poolcurator.sources.files import durable
 
 BOS = "<s>"
+#: Rows of a count table that may be broadcast, and of one shuffled part that may be hashed in memory.
+BROADCAST_ROWS, PART_ROWS = 500_000, 1_000_000
 
 
 def token_rows(samples: DataFrame, conditional: bool = True, key: str = "sample_id") -> DataFrame:
     """(key, pos, h, w): every output token with the token before it; the first one's is the prompt's last token, or the start."""
-    y = X.tokens("output")
-    x = X.tokens("instruction")
-    first = F.coalesce(F.try_element_at(x, F.lit(-1)), F.lit(BOS)) if conditional else F.lit(BOS)
-    rows = samples.select(key, y.alias("y"), first.alias("first")).where(F.size("y") > 0)
-    h = F.concat(F.array("first"), F.slice("y", F.lit(1), F.size("y") - 1))
-    return rows.select(key, F.posexplode(F.arrays_zip(h.alias("h"), F.col("y").alias("w"))).alias("pos", "t")).select(key, "pos", F.col("t.h").alias("h"), F.col("t.w").alias("w"))
+    first = last_token() if conditional else F.lit(BOS)
+    rows = samples.select(key, first.alias("first"), "output")
+    tokens = X.once(X.tokens("output"), lambda y: F.transform(y, lambda w, i: F.struct(F.get(y, i - 1).alias("h"), w.alias("w"))))
+    out = rows.select(key, "first", F.posexplode_outer(tokens).alias("pos", "t")).where("pos IS NOT NULL")
+    return out.select(key, "pos", F.coalesce("t.h", "first").alias("h"), F.col("t.w").alias("w"))
+
+
+def last_token(c: str = "instruction") -> F.Column:
+    return F.coalesce(F.try_element_at(X.tokens(c), F.lit(-1)), F.lit(BOS))
+
+
+def side(df: DataFrame, rows: int) -> DataFrame:
+    """df marked for broadcast, or for hash tables of its shuffled parts, as far as its counted rows allow."""
+    if rows <= BROADCAST_ROWS:
+        return F.broadcast(df)
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return df.hint("shuffle_hash") if rows // parts <= PART_ROWS else df
 
 
 @dataclass
@@ -31,22 +50,31 @@ class BigramTarget:
     contexts: DataFrame  # h, total, kinds, entropy
     v: int
     smoothing: float = 0.1
+    _sizes: tuple[int, int] | None = None
+    _chains: dict[int, DataFrame] = field(default_factory=dict)
+    _best: DataFrame | None = None
 
     @classmethod
     def fit(cls, samples: DataFrame, smoothing: float = 0.1) -> BigramTarget:
-        pairs = token_rows(samples, conditional=False).groupBy("h", "w").agg(F.count(F.lit(1)).alias("n"))
-        pairs = pairs.persist()
+        pairs = durable(token_rows(samples, conditional=False).groupBy("h", "w").agg(F.count(F.lit(1)).alias("n")), "bigram-pairs")
         v = pairs.select("w").distinct().count() + 1
         p = (F.col("n") + smoothing) / (F.col("total") + smoothing * v)
         totals = pairs.groupBy("h").agg(F.sum("n").alias("total"), F.count(F.lit(1)).alias("kinds"))
         p0 = smoothing / (F.col("total") + smoothing * v)
         seen = pairs.join(totals, "h").groupBy("h", "total", "kinds").agg(F.sum(-p * F.log(p)).alias("seen"))
         contexts = seen.select("h", "total", "kinds", (F.col("seen") - (v - F.col("kinds")) * p0 * F.log(p0)).alias("entropy"))
-        return cls(pairs, contexts, v, smoothing)
+        return cls(pairs, durable(contexts, "bigram-contexts"), v, smoothing)
+
+    def sides(self) -> tuple[DataFrame, DataFrame]:
+        """Contexts and pairs, each marked for broadcast if its counted rows allow."""
+        if self._sizes is None:
+            self._sizes = self.contexts.count(), self.pairs.count()
+        return side(self.contexts.select("h", "total", "entropy"), self._sizes[0]), side(self.pairs, self._sizes[1])
 
     def scored(self, rows: DataFrame) -> DataFrame:
         """rows with p and entropy of every token."""
-        out = rows.join(self.contexts.select("h", "total", "entropy"), "h", "left").join(self.pairs, ["h", "w"], "left")
+        contexts, pairs = self.sides()
+        out = rows.join(contexts, "h", "left").join(pairs, ["h", "w"], "left")
         p = (F.coalesce("n", F.lit(0)) + self.smoothing) / (F.coalesce("total", F.lit(0)) + self.smoothing * self.v)
         return out.withColumns({"p": p, "h_entropy": F.coalesce("entropy", F.lit(1.0) * F.log(F.lit(float(self.v))))}).drop("n", "total", "entropy")
 
@@ -60,44 +88,90 @@ class BigramTarget:
 
         Only the first token's context differs between the two.
         """
-        y, x = X.tokens("output"), X.tokens("instruction")
+        y = X.tokens("output")
         rows = token_rows(samples, key=key)
-        bare = samples.select(key, F.get(y, F.lit(0)).alias("w"), F.coalesce(F.try_element_at(x, F.lit(-1)), F.lit(BOS)).alias("last")).where("w IS NOT NULL")
+        bare = samples.select(key, F.get(y, F.lit(0)).alias("w")).where("w IS NOT NULL")
         both = rows.withColumn("kind", F.lit(0)).unionByName(bare.select(key, F.lit(0).alias("pos"), F.lit(BOS).alias("h"), "w", F.lit(1).alias("kind")))
-        s = self.scored(both).withColumn("nll", -F.log("p"))
-        agg = s.groupBy(key).agg(
-            F.avg(F.when(F.col("kind") == 0, F.col("nll"))).alias("given"),
-            F.count_if(F.col("kind") == 0).alias("n"),
-            F.sum(F.when(F.col("kind") == 1, F.col("nll"))).alias("bare"),
-            F.sum(F.when((F.col("kind") == 0) & (F.col("pos") == 0), F.col("nll"))).alias("first"),
-        )
-        alone = F.col("given") + (F.col("bare") - F.col("first")) / F.col("n")
-        return agg.select(key, "given", alone.alias("alone"), (F.col("given") / alone).alias("ifd"))
+        return ratio_of(self.scored(both).withColumn("nll", -F.log("p")), key)
 
     def min_k(self, samples: DataFrame, frac: float = 0.2, key: str = "sample_id") -> DataFrame:
         """(key, knowledge): mean loss of the share of tokens that the model finds least likely."""
-        s = self.scored(token_rows(samples, key=key)).groupBy(key).agg(F.sort_array(F.collect_list(-F.log("p")), asc=False).alias("nll"))
-        k = F.ceil(F.size("nll") * F.lit(frac)).cast("int")
-        return s.select(key, (F.aggregate(F.slice("nll", F.lit(1), k), F.lit(0.0), lambda a, b: a + b) / k).alias("knowledge"))
+        return least_likely(self.scored(token_rows(samples, key=key)), frac, key)
+
+    def table_shift(self, samples: DataFrame, lr: float = 1e-5, key: str = "sample_id") -> DataFrame:
+        """(key, mean_diff): mean absolute change of the model's own logits after one plain gradient step on the sample.
+
+        The logit of (h, w) moves by lr times its share of the loss's gradient, (c(h) p(w | h) - c(h, w)) / n
+        with the sample's counts c. Tokens that do not follow h in the sample add up in closed form,
+        so the table of contexts times vocabulary is never made.
+        """
+        self.sides()
+        n_contexts = self._sizes[0]
+        c = token_rows(samples, key=key).groupBy(key, "h", "w").agg(F.count(F.lit(1)).alias("c"))
+        per = self.scored(c).withColumn("c_h", F.sum("c").over(Window.partitionBy(key, "h")))
+        moved = F.sum(F.abs(F.col("c_h") * F.col("p") - F.col("c")) - F.col("c_h") * F.col("p"))
+        rest = per.groupBy(key, "h").agg(moved.alias("moved"), F.max("c_h").alias("c_h"))
+        return rest.groupBy(key).agg((lr * F.sum(F.col("moved") + F.col("c_h")) / F.sum("c_h") / (n_contexts * self.v)).alias("mean_diff"))
+
+    def best(self) -> DataFrame:
+        """(h, last): the likeliest token after every context, the last by code point of equals."""
+        return self.pairs.groupBy("h").agg(F.max_by("w", F.struct(F.col("n"), F.col("w"))).alias("last"))
+
+    def chains(self, length: int) -> DataFrame:
+        """(h, generated): the likeliest continuation of every context, by doubling: a chain followed by that of its last token."""
+        if length not in self._chains:
+            self.sides()
+            n = self._sizes[0]
+            chain = durable(self.best().select("h", "last", F.array("last").alias("out")), "chain")
+            steps = 1
+            while steps < length:
+                then = chain.select(F.col("h").alias("last"), F.col("last").alias("end"), F.col("out").alias("more"))
+                joined = chain.join(side(then, n), "last", "left")
+                out = F.slice(F.when(F.col("more").isNull(), F.col("out")).otherwise(F.concat("out", "more")), 1, length)
+                chain = durable(joined.select("h", F.coalesce("end", "last").alias("last"), out.alias("out")), "chain")
+                steps *= 2
+            self._chains[length] = durable(chain.select("h", F.array_join("out", " ").alias("generated")), "chain")
+        return self._chains[length]
 
     def generate(self, samples: DataFrame, length: int = 20, key: str = "sample_id") -> DataFrame:
         """(key, generated): the likeliest continuation of the prompt's last token, or of the start where that is unknown.
 
-        A continuation depends on its first context only, so chains are built once per context, by
-        doubling: a chain followed by the chain of its last token; samples then join their chain.
+        While the table of likeliest tokens may be broadcast, samples walk it step by step without a shuffle; beyond
+        that the chains of all contexts are built by doubling and joined once. Both say the same.
         """
-        chain = self.pairs.groupBy("h").agg(F.max_by("w", F.struct(F.col("n"), F.col("w"))).alias("last"))
-        chain = chain.select("h", "last", F.array("last").alias("out"))
-        steps = 1
-        while steps < length:
-            then = chain.select(F.col("h").alias("last"), F.col("last").alias("end"), F.col("out").alias("more"))
-            joined = chain.join(then, "last", "left")
-            chain = joined.select("h", F.coalesce("end", "last").alias("last"), F.slice(F.when(F.col("more").isNull(), F.col("out")).otherwise(F.concat("out", "more")), 1, length).alias("out"))
-            steps *= 2
-        chain = chain.select("h", F.array_join("out", " ").alias("generated")).persist()
-        start = chain.where(F.col("h") == BOS).agg(F.coalesce(F.max("generated"), F.lit("")).alias("fallback"))  # one row
-        at = samples.select(key, F.coalesce(F.try_element_at(X.tokens("instruction"), F.lit(-1)), F.lit(BOS)).alias("h"))
-        return at.join(chain, "h", "left").crossJoin(F.broadcast(start)).select(key, F.coalesce("generated", "fallback").alias("generated"))
+        self.sides()
+        at = samples.select(key, last_token().alias("h"))
+        if self._sizes[0] > BROADCAST_ROWS:
+            chain = self.chains(length)
+            start = chain.where(F.col("h") == BOS).agg(F.coalesce(F.max("generated"), F.lit("")).alias("fallback"))  # one row
+            return at.join(side(chain, self._sizes[0]), "h", "left").crossJoin(F.broadcast(start)).select(key, F.coalesce("generated", "fallback").alias("generated"))
+        if self._best is None:
+            self._best = durable(self.best(), "best")
+        likely = F.broadcast(self._best.select(F.col("h").alias("_h"), F.col("last").alias("_next")))
+        known = likely.select(F.col("_h").alias("_k"))
+        now = at.join(F.broadcast(known), F.col("h") == F.col("_k"), "left").select(key, F.coalesce("_k", F.lit(BOS)).alias("s0"))
+        for i in range(length):
+            now = now.join(likely, F.col(f"s{i}") == F.col("_h"), "left").drop("_h").withColumnRenamed("_next", f"s{i + 1}")
+        return now.select(key, F.concat_ws(" ", *[f"s{i}" for i in range(1, length + 1)]).alias("generated"))
+
+
+def ratio_of(scored: DataFrame, key: str) -> DataFrame:
+    """(key, given, alone, ifd) from token rows with nll: kind 0 given the prompt, kind 1 the first token without it."""
+    agg = scored.groupBy(key).agg(
+        F.avg(F.when(F.col("kind") == 0, F.col("nll"))).alias("given"),
+        F.count_if(F.col("kind") == 0).alias("n"),
+        F.sum(F.when(F.col("kind") == 1, F.col("nll"))).alias("bare"),
+        F.sum(F.when((F.col("kind") == 0) & (F.col("pos") == 0), F.col("nll"))).alias("first"),
+    )
+    alone = F.col("given") + (F.col("bare") - F.col("first")) / F.col("n")
+    return agg.select(key, "given", alone.alias("alone"), (F.col("given") / alone).alias("ifd"))
+
+
+def least_likely(scored: DataFrame, frac: float, key: str) -> DataFrame:
+    """(key, knowledge): mean loss of the least likely share of a sample's tokens."""
+    s = scored.groupBy(key).agg(F.sort_array(F.collect_list(-F.log("p")), asc=False).alias("nll"))
+    k = F.ceil(F.size("nll") * F.lit(frac)).cast("int")
+    return s.select(key, (F.aggregate(F.slice("nll", F.lit(1), k), F.lit(0.0), lambda a, b: a + b) / k).alias("knowledge"))
 
 
 @dataclass
@@ -111,20 +185,37 @@ class UnigramTarget:
 
     @classmethod
     def fit(cls, samples: DataFrame, smoothing: float = 0.1) -> UnigramTarget:
-        counts = token_rows(samples, conditional=False).groupBy("w").agg(F.count(F.lit(1)).alias("n")).persist()
+        counts = durable(token_rows(samples, conditional=False).groupBy("w").agg(F.count(F.lit(1)).alias("n")), "unigram")
         total, kinds = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
         return cls(counts, int(total), kinds + 1, smoothing)
 
+    @property
+    def z(self) -> float:
+        return self.total + self.smoothing * self.v
+
+    def scored(self, rows: DataFrame) -> DataFrame:
+        return rows.join(side(self.counts, self.v), "w", "left").withColumn("p", (F.coalesce("n", F.lit(0)) + self.smoothing) / self.z).drop("n")
+
     def metrics(self, samples: DataFrame, key: str = "sample_id") -> DataFrame:
-        z = self.total + self.smoothing * self.v
-        p = (F.col("n") + self.smoothing) / z
-        p0 = self.smoothing / z
+        """(key, loss, entropy); the entropy is the model's own, the same everywhere."""
+        p = (F.col("n") + self.smoothing) / self.z
+        p0 = self.smoothing / self.z
         seen = self.counts.agg(F.coalesce(F.sum(-p * F.log(p)), F.lit(0.0)), F.count(F.lit(1))).first()
+        entropy = seen[0] - (self.v - seen[1]) * p0 * math.log(p0)
+        return self.scored(token_rows(samples, key=key)).groupBy(key).agg(F.avg(-F.log("p")).alias("loss"), F.lit(entropy).alias("entropy"))
 
+    def ifd(self, samples: DataFrame, key: str = "sample_id") -> DataFrame:
+        """(key, given, alone, ifd); the prompt is no help to a model without context, so the ratio is 1."""
+        loss = self.metrics(samples, key).select(key, F.col("loss").alias("given"))
+        return loss.select(key, "given", F.col("given").alias("alone"), F.lit(1.0).alias("ifd"))
 
-        entropy = seen[0] - (self.v - seen[1]) * p0 * math.log(p0)
-        rows = token_rows(samples, key=key).join(self.counts, "w", "left")
-        return rows.groupBy(key).agg(F.avg(-F.log((F.coalesce("n", F.lit(0)) + self.smoothing) / z)).alias("loss"), F.lit(entropy).alias("entropy"))
+    def min_k(self, samples: DataFrame, frac: float = 0.2, key: str = "sample_id") -> DataFrame:
+        return least_likely(self.scored(token_rows(samples, key=key)), frac, key)
+
+    def generate(self, samples: DataFrame, length: int = 20, key: str = "sample_id") -> DataFrame:
+        """(key, generated): the likeliest token, over and over."""
+        top = self.counts.agg(F.max_by("w", F.struct(F.col("n"), F.col("w")))).first()[0]
+        return samples.select(key, F.lit(" ".join([top or ""] * length).strip()).alias("generated"))
 
 
 @dataclass
@@ -134,34 +225,70 @@ class PromptCacheTarget:
     base: BigramTarget
     beta: float = 0.2
 
+    def cache(self, samples: DataFrame, key: str) -> DataFrame:
+        """(key, w, q): shares of the prompt's tokens."""
+        counts = X.explode_rows(samples, [key], X.tokens("instruction"), "w").groupBy(key, "w").agg(F.count(F.lit(1)).alias("c"))
+        return counts.withColumn("q", F.col("c") / F.sum("c").over(Window.partitionBy(key))).drop("c")
+
+    def scored(self, rows: DataFrame, samples: DataFrame, key: str) -> DataFrame:
+        """rows with the mixture's p, the bigram's entropy, and whether the prompt has tokens."""
+        cache = self.cache(samples, key)
+        has = cache.select(key).distinct().withColumn("has", F.lit(True))
+        out = self.base.scored(rows).join(cache, [key, "w"], "left").join(has, key, "left")
+        beta = F.when(F.col("has"), F.lit(self.beta)).otherwise(F.lit(0.0))
+        return out.withColumn("p", (1 - beta) * F.col("p") + beta * F.coalesce("q", F.lit(0.0))).drop("q")
+
     def metrics(self, samples: DataFrame, key: str = "sample_id") -> DataFrame:
         """(key, loss, entropy). The entropy corrects the bigram's closed form on the prompt's different tokens only."""
         b = self.base
-        cache = samples.select(key, F.explode(X.tokens("instruction")).alias("w")).groupBy(key, "w").agg(F.count(F.lit(1)).alias("c"))
-        cache = cache.withColumn("q", F.col("c") / F.sum("c").over(Window.partitionBy(key))).drop("c")
-        rows = b.scored(token_rows(samples, key=key))
-        has = cache.select(key).distinct().withColumn("has", F.lit(True))
-        rows = rows.join(cache, [key, "w"], "left").join(has, key, "left")
-        beta = F.when(F.col("has"), F.lit(self.beta)).otherwise(F.lit(0.0))
-        mixed = (1 - beta) * F.col("p") + beta * F.coalesce("q", F.lit(0.0))
-        loss = rows.groupBy(key).agg(F.avg(-F.log(mixed)).alias("loss"))
+        rows = self.scored(token_rows(samples, key=key), samples, key)
+        loss = rows.groupBy(key).agg(F.avg(-F.log("p")).alias("loss"))
         # entropy: all tokens outside the prompt have (1-beta) p; add the prompt's tokens as they are.
         spots = token_rows(samples, key=key).select(key, "pos", "h")
-        inside = b.scored(spots.join(cache, key)).withColumn("m", (1 - self.beta) * F.col("p") + self.beta * F.col("q"))
+        inside = b.scored(spots.join(self.cache(samples, key), key)).withColumn("m", (1 - self.beta) * F.col("p") + self.beta * F.col("q"))
         fix = inside.groupBy(key, "pos").agg(F.sum(-F.col("m") * F.log("m") + (1 - self.beta) * F.col("p") * F.log((1 - self.beta) * F.col("p"))).alias("fix"))
         base = rows.select(key, "pos", "h_entropy", "has").join(fix, [key, "pos"], "left")
-
-
         scaled = (1 - self.beta) * F.col("h_entropy") - (1 - self.beta) * math.log(1 - self.beta)
         value = F.when(F.col("has"), scaled + F.coalesce("fix", F.lit(0.0))).otherwise(F.col("h_entropy"))
         return loss.join(base.groupBy(key).agg(F.avg(value).alias("entropy")), key)
 
+    def ifd(self, samples: DataFrame, key: str = "sample_id") -> DataFrame:
+        """(key, given, alone, ifd); without the prompt the mixture is the bigram model."""
+        given = self.scored(token_rows(samples, key=key), samples, key).groupBy(key).agg(F.avg(-F.log("p")).alias("given"))
+        alone = self.base.ifd(samples, key).select(key, "alone")
+        return given.join(alone, key).select(key, "given", "alone", (F.col("given") / F.col("alone")).alias("ifd"))
+
+    def min_k(self, samples: DataFrame, frac: float = 0.2, key: str = "sample_id") -> DataFrame:
+        return least_likely(self.scored(token_rows(samples, key=key), samples, key), frac, key)
+
+    def generate(self, samples: DataFrame, length: int = 20, key: str = "sample_id") -> DataFrame:
+        """(key, generated): greedy, one token a round, as every choice depends on the prompt; rounds are tables of the shared folder.
+
+        The likeliest token is the bigram's own best or one of the prompt's, so only those are compared.
+        """
+        b = self.base
+        cache = durable(self.cache(samples, key), "prompt-words")
+        likely = durable(b.scored(b.best().select("h", F.col("last").alias("w"))).select("h", "w", "p"), "best")
+        b.sides()
+        now = durable(samples.select(key, last_token().alias("h"), F.array().cast("array<string>").alias("out")), "said")
+        for _ in range(length):
+            at = now.select(key, "h")
+            own = at.join(side(likely, b._sizes[0]), "h").select(key, "w", ((1 - self.beta) * F.col("p")).alias("m"))
+            said = b.scored(at.join(cache, key)).select(key, "w", ((1 - self.beta) * F.col("p") + self.beta * F.col("q")).alias("m"))
+            pick = own.unionByName(said).groupBy(key).agg(F.max_by("w", F.struct(F.round("m", 12), F.col("w"))).alias("w"))
+            now = durable(now.join(pick, key, "left").select(key, F.coalesce("w", "h").alias("h"), F.concat("out", F.when(F.col("w").isNull(), F.array().cast("array<string>")).otherwise(F.array("w"))).alias("out")), "said")
+        return now.select(key, F.array_join("out", " ").alias("generated"))
+
 
 class PrecomputedTarget:
-    """Metrics of a real model from a table: token log-probabilities, token entropies, its answer, its shift."""
+    """Metrics of a real model from a table: token log-probabilities (lps), token entropies (ents), its answer (generated), its parameter shift (shift)."""
 
     def __init__(self, table: DataFrame):
         self.table = table
+        if "generated" in table.columns:
+            self.generate = lambda samples, key="sample_id": samples.select(key).join(table, key).select(key, "generated")
+        if "shift" in table.columns:
+            self.shift = lambda samples, lr=0.0, key="sample_id": samples.select(key).join(table, key).select(key, F.col("shift").alias("mean_diff"))
 
     def metrics(self, samples: DataFrame, key: str = "sample_id") -> DataFrame:
         mean = lambda c: F.when(F.size(c) > 0, F.aggregate(c, F.lit(0.0), lambda a, x: a + x) / F.size(c))

@@ -21,7 +21,7 @@ def token_vectors(samples: DataFrame, columns: tuple[str, ...], buckets: int = B
     Tokens are counted by bucket in the tasks before the one shuffle.
     """
     sides = F.array(*[F.struct(F.lit(c).alias("side"), X.tokens(c).alias("t")) for c in columns])
-    words = samples.select(key, F.explode(sides).alias("s")).select(key, "s.side", F.explode("s.t").alias("w"))
+    words = X.explode_rows(X.explode_rows(samples, [key], sides, "s"), [key, F.col("s.side").alias("side")], F.col("s.t"), "w")
     bucket = F.pmod(F.conv(F.substring(F.md5("w"), 1, 4), 16, 10).cast("int"), F.lit(buckets))
     counts = words.groupBy(key, "side", bucket.alias("b")).agg(F.count(F.lit(1)).alias("n"))
     maps = counts.groupBy(key).agg(*[F.map_from_entries(F.collect_list(F.when(F.col("side") == c, F.struct("b", "n")))).alias(f"_{c}") for c in columns])

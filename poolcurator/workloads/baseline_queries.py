@@ -9,7 +9,7 @@ from poolcurator.functions import text as X
 from poolcurator.operators.embed import embed
 from poolcurator.operators.topk import random_k, top_k
 from poolcurator.registry import query
-from poolcurator.workloads.common import FDOC, LM, NOISE_SQL, key_sql, r6, read_table, samples, share_sql, tokens_sql, uniform_sql, unique_sql
+from poolcurator.workloads.common import FDOC, LM, NOISE_SQL, key_sql, r6, read_spread, read_table, samples, share_sql, spread_samples, tokens_sql, uniform_sql, unique_sql
 from poolcurator.workloads.stage_queries import bigram
 
 
@@ -25,7 +25,7 @@ def base_random(spark, d):
 
 IFD = (
     LM
-    + f""", bare AS (SELECT sample_id, y[1] AS w FROM tok WHERE len(y) > 0 AND sample_id % 3 <> 0),
+    + f""", bare AS (SELECT sample_id, y[1] AS w FROM tok WHERE len(y) > 0),
 bs AS (SELECT sample_id, -ln((coalesce(n, 0) + 0.1) / (coalesce(total, 0) + 0.1 * v)) AS bare FROM bare LEFT JOIN pairs ON pairs.h = '<s>' AND pairs.w = bare.w LEFT JOIN tot ON tot.h = '<s>', vv),
 gv AS (SELECT sample_id, avg(-ln(p)) AS given, count(*) AS n, sum(-ln(p)) FILTER (pos = 0) AS first FROM scored GROUP BY sample_id),
 ifd AS (SELECT sample_id, round(given / (given + (bare - first) / n), 6) AS ifd FROM gv JOIN bs USING (sample_id))"""
@@ -150,7 +150,7 @@ def base_mig(spark, d):
     SELECT * FROM w QUALIFY row_number() OVER (PARTITION BY sample_id ORDER BY weight DESC, tag) <= 3""",
 )
 def tags_tfidf(spark, d):
-    return B.tfidf_tags(samples(spark, d))
+    return B.tfidf_tags(spread_samples(spark, d))
 
 
 ROLL = f"""ro AS (SELECT doc_id AS sample_id, t, {uniform_sql("(doc_id::varchar || '|' || t::varchar)", 'rollout')} < 1.0 / (1 + n_chars / 2000.0) AS correct FROM documents, (SELECT unnest(range(8)) AS t))"""
@@ -252,13 +252,13 @@ lr AS (SELECT id AS doc_id, sum(n * r) AS value FROM mine JOIN rr USING (bucket)
 
 @query("dsir_logratio", f"WITH {DSIR} SELECT doc_id, round(value, 6) AS value FROM lr")
 def dsir_logratio(spark, d):
-    v = B.dsir_logratio(read_table(spark, d, "documents"), read_table(spark, d, "benchmark"), "doc_id")
+    v = B.dsir_logratio(read_spread(spark, d, "documents", "doc_id"), read_table(spark, d, "benchmark"), "doc_id")
     return v.select("doc_id", r6("value").alias("value"))
 
 
 @query("base_dsir", f"WITH {DSIR} SELECT doc_id, round(value - ln(-ln(greatest(1e-9, least(1 - 1e-9, {uniform_sql('doc_id', 'gumbel')})))), 6) AS score FROM lr ORDER BY score DESC, doc_id LIMIT 100")
 def base_dsir(spark, d):
-    return B.dsir(read_table(spark, d, "documents"), read_table(spark, d, "benchmark"), 100, "doc_id")
+    return B.dsir(read_spread(spark, d, "documents", "doc_id"), read_table(spark, d, "benchmark"), 100, "doc_id")
 
 
 KNN = """vs AS (SELECT vec_id, embedding::double[] AS e FROM embeddings),
@@ -305,7 +305,7 @@ def base_tsds(spark, d):
     SELECT sample_id, round(variety - noise + least(n / 2000, 1.0), 6) AS score FROM f WHERE noise <= 0.02 AND n >= 15 ORDER BY score DESC, sample_id LIMIT 100""",
 )
 def base_single_pass(spark, d):
-    return B.single_pass(samples(spark, d), 100)
+    return B.single_pass(spread_samples(spark, d), 100)
 
 
 @query("embed_arrow")

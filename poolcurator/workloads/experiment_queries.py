@@ -6,27 +6,38 @@ from pyspark.sql import functions as F
 
 from poolcurator.evaluate import runner as R
 from poolcurator.registry import query
+from poolcurator.workloads.cascade_sql import cascade_sql, funnel_sql
 from poolcurator.workloads.common import read_table
 
 
-def cascade_query(name: str, pool: str, request: str, stages=(1, 2, 3, 4), target: str = "bigram"):
-    @query(name)
+EN = "SELECT * FROM fdoc WHERE lang = 'en'"
+FR = "SELECT * FROM fdoc WHERE lang = 'fr'"
+CHAT = """SELECT conv_id * 1000 + turn AS sample_id, text AS instruction, said AS output, concat_ws(chr(10), text, said) AS text
+  FROM (SELECT *, lead(role) OVER w AS next_role, lead(text) OVER w AS said FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND next_role = 'assistant'"""
+
+
+def cascade_query(name: str, pool: str, request: str, stages=(1, 2, 3, 4), target: str = "bigram", rows: str | None = None):
+    """Registers a run; with the pool's rows in SQL also its twin."""
+
     def run(spark, d):
         out = R.cascade(spark, d, pool, request, target, stages).selected
         return out.select("sample_id", "stage", F.round("score", 4).alias("score"), "rank")
 
+    query(name, cascade_sql(rows, R.REQUESTS[request], stages, target) if rows else None)(run)
+
 
-cascade_query("cascade_full", "SD-1", "R-en")
-cascade_query("cascade_depth2", "SD-1", "R-en", (2,))
-cascade_query("cascade_depth23", "SD-1", "R-en", (2, 3))
-cascade_query("cascade_depth234", "SD-1", "R-en", (2, 3, 4))
+cascade_query("cascade_full", "SD-1", "R-en", rows=EN)
+cascade_query("cascade_depth2", "SD-1", "R-en", (2,), rows=EN)
+cascade_query("cascade_depth23", "SD-1", "R-en", (2, 3), rows=EN)
+cascade_query("cascade_depth234", "SD-1", "R-en", (2, 3, 4), rows=EN)
 cascade_query("cascade_multi", "MD-1", "R-mix-de")
-cascade_query("cascade_chat", "SD-5", "R-chat")
-cascade_query("cascade_unigram", "SD-3", "R-fr", (2, 3, 4), "unigram")
+cascade_query("cascade_chat", "SD-5", "R-chat", rows=CHAT)
+cascade_query("cascade_unigram", "SD-3", "R-fr", (2, 3, 4), "unigram", FR)
+cascade_query("cascade_bigram_fr", "SD-3", "R-fr", (2, 3, 4), "bigram", FR)
 cascade_query("cascade_cache", "SD-3", "R-fr", (2, 3, 4), "cache")
 
 
-@query("funnel_counts")
+@query("funnel_counts", funnel_sql(EN, R.REQUESTS["R-en"]))
 def funnel_counts(spark, d):
     """Survivors after every stage."""
     f = R.cascade(spark, d, "SD-1", "R-en").funnel()

@@ -16,7 +16,8 @@ from poolcurator.stages import informativeness as N
 from poolcurator.stages import quality as Q
 from poolcurator.target import probe
 from poolcurator.target.ngram import BigramTarget
-from poolcurator.workloads.common import FDOC, LM, NOISE_SQL, SEED, key_sql, r6, read_table, samples, share_sql, third, tokens_sql, uniform_sql, unique_sql
+from poolcurator.workloads.cascade_sql import ADAMW_SQL, GENERATED
+from poolcurator.workloads.common import BUCKETS_SQL, FDOC, LM, NOISE_SQL, SEED, VEC_SQL, key_sql, r6, read_spread, read_table, samples, share_sql, spread_samples, tokens_sql, uniform_sql, unique_sql
 
 # ---- stage 2 -------------------------------------------------------------------------------------
 
@@ -73,8 +74,9 @@ def policy_reject_counts(spark, d):
 
 
 def bigram(spark, d) -> tuple[BigramTarget, object]:
-    pool = samples(spark, d)
-    return BigramTarget.fit(third(pool, 0)), pool.where("sample_id % 3 <> 0")
+    """The bigram model of all documents, and all documents."""
+    pool = spread_samples(spark, d)
+    return BigramTarget.fit(pool), pool
 
 
 @query("metric_nll", f"WITH {LM} SELECT sample_id, round(avg(-ln(p)), 6) AS value FROM scored GROUP BY sample_id")
@@ -89,27 +91,31 @@ def metric_entropy(spark, d):
     return model.metrics(rest).select("sample_id", r6("entropy").alias("value"))
 
 
-BUCKETS_SQL = """SELECT {id} AS id, ('0x' || substr(md5(g), 1, 4))::int % 256 AS bucket, count(*) AS n
-  FROM (SELECT {id}, unnest(list_concat(regexp_extract_all(lower({c}), '(?s)..'), regexp_extract_all(substr(lower({c}), 2), '(?s)..'))) AS g FROM {t} WHERE length({c}) >= 2) GROUP BY ALL"""
-
-
 @query("embed_hash", f"SELECT id AS doc_id, bucket, n FROM ({BUCKETS_SQL.format(id='doc_id', c='text', t='documents')})")
 def embed_hash(spark, d):
-    return bigram_buckets(read_table(spark, d, "documents"), "doc_id").select("doc_id", "bucket", F.col("n").cast("long").alias("n"))
+    return bigram_buckets(read_spread(spark, d, "documents", "doc_id"), "doc_id").select("doc_id", "bucket", F.col("n").cast("long").alias("n"))
+
+
+DRIFT_SQL = """u AS (SELECT id, bucket, sum(a) AS a, sum(b) AS b FROM (SELECT id, bucket, n AS a, 0 AS b FROM a UNION ALL SELECT id, bucket, 0, n FROM b) GROUP BY ALL),
+    s AS (SELECT id, sum(a * b)::double AS ab, sum(a * a)::double AS aa, sum(b * b)::double AS bb FROM u GROUP BY id)
+    SELECT sample_id, round(1 - coalesce(CASE WHEN aa > 0 AND bb > 0 THEN ab / sqrt(aa * bb) ELSE 0 END, 0), 6) AS drift FROM fdoc LEFT JOIN s ON sample_id = id"""
 
 
 @query(
     "metric_drift",
-    f"""WITH {FDOC}, a AS ({BUCKETS_SQL.format(id='sample_id', c='instruction', t='fdoc')}), b AS ({BUCKETS_SQL.format(id='sample_id', c='output', t='fdoc')}),
-    u AS (SELECT id, bucket, sum(a) AS a, sum(b) AS b FROM (SELECT id, bucket, n AS a, 0 AS b FROM a UNION ALL SELECT id, bucket, 0, n FROM b) GROUP BY ALL),
-    s AS (SELECT id, sum(a * b)::double AS ab, sum(a * a)::double AS aa, sum(b * b)::double AS bb FROM u GROUP BY id)
-    SELECT sample_id, round(1 - coalesce(CASE WHEN aa > 0 AND bb > 0 THEN ab / sqrt(aa * bb) ELSE 0 END, 0), 6) AS drift FROM fdoc LEFT JOIN s ON sample_id = id""",
+    f"""WITH RECURSIVE {FDOC}, {LM[len(FDOC) + 2:LM.index("\nrows AS (")]} matched AS (SELECT * FROM fdoc), {GENERATED["bigram"].format(x=tokens_sql("instruction"))},
+    a AS ({BUCKETS_SQL.format(id='sample_id', c='generated', t='spoken')}), b AS ({BUCKETS_SQL.format(id='sample_id', c='output', t='spoken')}), {DRIFT_SQL}""",
 )
 def metric_drift(spark, d):
-    return N.drift(samples(spark, d), "instruction", "output").select("sample_id", r6("drift").alias("drift"))
+    """What the bigram model says to every prompt against the sample's answer."""
+    model, pool = bigram(spark, d)
+    return N.drift(pool.join(model.generate(pool), "sample_id")).select("sample_id", r6("drift").alias("drift"))
 
 
-VEC_SQL = """list_transform(range(16), lambda i: CASE WHEN len({t}) > 0 THEN len(list_filter(list_transform({t}, lambda w: ('0x' || substr(md5(w), 1, 4))::int % 16), lambda b: b = i)) / len({t}) ELSE 0.0 END)"""
+@query("text_drift", f"WITH {FDOC}, a AS ({BUCKETS_SQL.format(id='sample_id', c='instruction', t='fdoc')}), b AS ({BUCKETS_SQL.format(id='sample_id', c='output', t='fdoc')}), {DRIFT_SQL}")
+def text_drift(spark, d):
+    """The drift formula between prompt and answer, which needs no model."""
+    return N.drift(spread_samples(spark, d), "instruction", "output").select("sample_id", r6("drift").alias("drift"))
 
 
 @query(
@@ -118,12 +124,28 @@ VEC_SQL = """list_transform(range(16), lambda i: CASE WHEN len({t}) > 0 THEN len
     SELECT sample_id, round(1e6 * 1e-5 * list_sum(list_transform(range(1, 17), lambda i: abs(0.5 * x[i] - y[i]))) / 16 * list_sum(list_transform(x, lambda e: abs(e))) / 16, 6) AS value FROM v""",
 )
 def metric_meandiff_sgd(spark, d):
-    return probe.mean_diff(samples(spark, d), "sgd").select("sample_id", r6(1e6 * F.col("mean_diff")).alias("value"))
+    return probe.mean_diff(spread_samples(spark, d), "sgd").select("sample_id", r6(1e6 * F.col("mean_diff")).alias("value"))
 
 
-@query("metric_meandiff_adamw")
+@query(
+    "metric_shift_table",
+    f"""WITH {LM}, c AS (SELECT sample_id, h, w, count(*) AS c, any_value(p) AS p FROM scored GROUP BY ALL), g AS (SELECT *, sum(c) OVER (PARTITION BY sample_id, h) AS ch FROM c),
+    t AS (SELECT sample_id, h, sum(abs(ch * p - c) - ch * p) AS moved, any_value(ch) AS ch FROM g GROUP BY ALL)
+    SELECT sample_id, round(1e12 * 1e-5 * sum(moved + ch) / sum(ch) / ((SELECT count(*) FROM tot) * (SELECT v FROM vv)), 4) AS value FROM t GROUP BY sample_id""",
+)
+def metric_shift_table(spark, d):
+    """Shift of the bigram model's own logits after one plain gradient step."""
+    model, pool = bigram(spark, d)
+    return model.table_shift(pool).select("sample_id", F.round(1e12 * F.col("mean_diff"), 4).alias("value"))
+
+
+@query(
+    "metric_meandiff_adamw",
+    f"""WITH {FDOC}, v AS (SELECT sample_id, {VEC_SQL.format(t=tokens_sql('instruction'))} AS x, {VEC_SQL.format(t=tokens_sql('output'))} AS y FROM fdoc)
+    SELECT sample_id, round(1e6 * {ADAMW_SQL}, 4) AS value FROM v""",
+)
 def metric_meandiff_adamw(spark, d):
-    return probe.mean_diff(samples(spark, d), "adamw").select("sample_id", F.round(1e6 * F.col("mean_diff"), 4).alias("value"))
+    return probe.mean_diff(spread_samples(spark, d), "adamw").select("sample_id", F.round(1e6 * F.col("mean_diff"), 4).alias("value"))
 
 
 GIVEN = "given AS (SELECT doc_id AS sample_id, " + ", ".join(f"{uniform_sql('doc_id', m)} AS {m}" for m in METRICS) + " FROM documents)"
@@ -256,16 +278,16 @@ RUBRIC = {"d1": 0.5, "d2": 0.3, "d3": 0.2}
 
 @query("judge_batches", f"WITH {BATCHED} SELECT sample_id, batch_id FROM bt")
 def judge_batches(spark, d):
-    return Q.assign_batches(samples(spark, d), 10).select("sample_id", "batch_id")
+    return Q.assign_batches(spread_samples(spark, d), 10).select("sample_id", "batch_id")
 
 
 @query("judge_rule", f"WITH {RULED} SELECT sample_id, d1, d2, d3 FROM rs")
 def judge_rule(spark, d):
-    return Q.rule_scores(Q.assign_batches(samples(spark, d), 10)).select("sample_id", "d1", "d2", "d3")
+    return Q.rule_scores(Q.assign_batches(spread_samples(spark, d), 10)).select("sample_id", "d1", "d2", "d3")
 
 
 def judged(spark, d):
-    v = Q.rule_verdicts(Q.assign_batches(samples(spark, d), 10), list(RUBRIC))
+    v = Q.rule_verdicts(Q.assign_batches(spread_samples(spark, d), 10), list(RUBRIC))
     return Q.quality_score(v, RUBRIC).withColumn("q", r6("q"))
 
 

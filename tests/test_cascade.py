@@ -1,6 +1,7 @@
 """Control plane, stages, clustering, streaming, plans and parity on the smallest tables."""
 
 import json
+from decimal import Decimal
 
 import numpy as np
 import pytest
@@ -14,13 +15,15 @@ from poolcurator.cascade import explain_cascade, run_cascade
 from poolcurator.config import CascadeConfig, ConfigRejected, Policy, Rubric, SelectionRequest, Weights
 from poolcurator.evaluate import runner
 from poolcurator.functions import text as X
-from poolcurator.operators import cluster
+from poolcurator.operators import cluster, topk
 from poolcurator.operators import relational as R
 from poolcurator.sources import files
 from poolcurator.sources.adapters import from_documents, read_table
 from poolcurator.stages import characteristic as C
 from poolcurator.stages import domain, quality
+from poolcurator.stages import informativeness as N
 from poolcurator.streaming import events as E
+from poolcurator.target import ngram
 from tests.parity import connect, difference
 
 
@@ -94,17 +97,28 @@ def test_unicode_words():
 
 def test_verdict_contract(spark):
     rubric = Rubric.parse({"a": {"description": "d", "weight": 1.0}})
-    rows = spark.createDataFrame([(i, "x", "", "y", i // 3) for i in range(9)], "sample_id long, instruction string, input string, output string, batch_id long")
+    rows = spark.createDataFrame([(i, "x", "", "y", i // 3) for i in range(18)], "sample_id long, instruction string, input string, output string, batch_id long")
 
     def judge(prompt, batch):
         if batch[0]["sample_id"] == 3:
             return "garbage"
         if batch[0]["sample_id"] == 6:
             raise RuntimeError("down")
-        return json.dumps([{"sample_id": b["sample_id"], "scores": {"a": 1 + 2 * b["sample_id"]}, "reasoning": "", "flagged": False} for b in batch] + [{"sample_id": 99, "scores": {"a": 3}}])
-
-    got = quality.parse_verdicts(quality.score_batches(rows, rubric, judge)).collect()
+        out = [{"sample_id": b["sample_id"], "scores": {"a": 1 + 2 * b["sample_id"]}, "reasoning": "", "flagged": False} for b in batch]
+        if batch[0]["sample_id"] == 9:  # one object too many
+            out.append({"sample_id": 99, "scores": {"a": 3}})
+        if batch[0]["sample_id"] == 12:  # one sample twice
+            out[1] = dict(out[0], scores={"a": 2})
+        if batch[0]["sample_id"] == 15:  # one too few
+            out.pop()
+        return json.dumps(out)
+
+    raw = quality.score_batches(rows, rubric, judge)
+    got = quality.parse_verdicts(raw).collect()
     assert sorted((r.sample_id, r.q) for r in got) == [(0, 1), (1, 3), (2, 5)]
+    ledger = CostLedger(price_in=Decimal(3), price_out=Decimal(15))
+    quality.bill(raw, ledger)
+    assert ledger.summary()["calls"] == 6 and ledger.summary()["failures"] == 1 and ledger.summary()["usd"] > 0
 
 
 def test_guarded_select(spark, small):
@@ -122,11 +136,59 @@ def test_cascade_is_nested_and_exact(spark, small):
     ids = [{x[0] for x in r.survivors[s].select("sample_id").collect()} for s in (0, 1, 2, 3, 4)]
     assert all(b <= a for a, b in zip(ids, ids[1:])) and len(ids[3]) == min(60, len(ids[2])) and len(ids[4]) == 20
     assert [x.rank for x in r.selected.orderBy("rank").collect()] == list(range(1, 21))
-    assert explain_cascade(1000, cfg)["judge_calls"] == 6 and r.ledger.summary()["calls"] == 3
+    assert explain_cascade(1000, cfg)["judge_calls"] == 6 and r.ledger.summary()["calls"] == 6  # three looks, three configurations
     again = run_cascade(pool.repartition(9), runner.request("R-en"), runner.target_for(spark, small, "bigram"), cfg)
     assert {x.sample_id for x in again.selected.collect()} == ids[4]
 
 
+def test_ties_are_kept_by_both_ways_to_the_top(spark):
+    rows = [(i, 1.0 if i < 40 else float(i % 3), float(i * 7 % 11)) for i in range(120)]
+    df = spark.createDataFrame(rows, "sample_id long, q double, score double")
+    for k in (5, 30, 60, 100):
+        heap = topk.top_k(df, "q", k, ties=("score",))
+        assert {r[0] for r in heap.collect()} == {r[0] for r in topk.threshold_top_k(df, "q", k, ties=("score",)).collect()}
+        one = {(r.sample_id, r["rank"]) for r in topk.with_rank(heap, "q", k).collect()}
+        assert one == {(r.sample_id, r["rank"]) for r in topk.with_rank(heap, "q", k, heap_rows=7).collect()}
+
+
+def test_generation_walks_and_doubles_alike(spark, small, monkeypatch):
+    pool = runner.pool_of(spark, small, "MD-1")
+    target = runner.target_for(spark, small, "bigram")
+    walked = {(r.sample_id, r.generated) for r in target.generate(pool).collect()}
+    monkeypatch.setattr(ngram, "BROADCAST_ROWS", 0)
+    assert walked == {(r.sample_id, r.generated) for r in target.generate(pool).collect()} and len(walked) == 200
+
+
+def test_metrics_do_not_depend_on_the_order_of_samples(spark, small):
+    pool = runner.pool_of(spark, small, "SD-3")
+    target = runner.target_for(spark, small, "bigram")
+    whole = {r.sample_id: (r.loss, r.mean_diff) for r in N.measure(pool, target).collect()}
+    part = N.measure(pool.where("sample_id > 60").orderBy(F.desc("sample_id")).repartition(3), target).collect()
+    assert part and all(whole[r.sample_id] == pytest.approx((r.loss, r.mean_diff)) for r in part if r.loss is not None)
+
+
+def test_every_target_generates(spark, small):
+    rows = spark.createDataFrame([(1, "a b", "", "c d c d"), (2, "q", "", "c c")], "sample_id long, instruction string, input string, output string")
+    base = ngram.BigramTarget.fit(rows)
+    said = {r.sample_id: r.generated for r in ngram.PromptCacheTarget(base, 0.9).generate(rows, 4).collect()}
+    assert said[2] == "q q q q" and set(said[1].split()) <= {"a", "b", "c", "d"} and len(said[1].split()) == 4
+    assert {r.generated for r in ngram.UnigramTarget.fit(rows).generate(rows, 3).collect()} == {"c c c"}
+    table = spark.createDataFrame([(1, [-1.0], [0.5], "c d", 0.25)], "sample_id long, lps array<double>, ents array<double>, generated string, shift double")
+    got = N.measure(rows.where("sample_id = 1"), ngram.PrecomputedTarget(table)).first()
+    assert got.loss == 1.0 and got.mean_diff == 0.25 and 0 < got.drift < 0.5
+
+
+def test_backbone_chooses_what_to_look_at(spark, small):
+    s = from_documents(read_table(spark, small, "documents"))
+    reply = json.dumps({"probes": ["languages"], "queries": ["SELECT count(*) AS n FROM pool", "DROP TABLE pool"]})
+    canned = ReplayBackbone({"inspect": [reply]})
+    canned.inspects = True
+    ledger = CostLedger()
+    got = I.inspect_pool(s, 3, canned, runner.request("R-en"), ledger)
+    assert len(got["probes"]["languages"]) == 4 and got["queries"]["SELECT count(*) AS n FROM pool"] == [{"n": 200}]
+    assert got["queries"]["DROP TABLE pool"].startswith("refused") and ledger.table()[0][1:3] == (3, "inspect")
+
+
 def test_boundary_of_clusterers():
     assert cluster.choose_clusterer(50_000) == "hdbscan" and cluster.choose_clusterer(50_001) == "kmeans"
 
