@@ -1,6 +1,7 @@
 """Operators that score or place single rows, against brute force, contracts and held-out labels."""
 
 import hashlib
+import random
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -72,14 +73,53 @@ def test_shards(spark):
     assert sharding.shard(docs(spark, []), 8).count() == 0
 
 
-def test_best_fit_enters_the_tightest_bin():
-    items = sorted([(7, "a"), (6, "b"), (3, "c"), (2, "d"), (2, "e")], reverse=True)
-    assert [sorted(b) for b in sharding.best_fit(items, 10)] == [["a", "c"], ["b", "d", "e"]]
-    placed = sharding.pack({i: 10 + i % 7 for i in range(500)}, 24)
-    loads = Counter()
-    for i, s in placed.items():
-        loads[s] += 10 + i % 7
-    assert max(loads.values()) - min(loads.values()) <= 30 and len(loads) == 24
+def one_by_one(items, capacity):
+    """Best fit of single groups, by looking at every bin."""
+    rooms, out = [], []
+    for size in items:
+        fits = [(room, i) for i, room in enumerate(rooms) if room >= size]
+        at = min(fits)[1] if fits else len(rooms)
+        if not fits:
+            rooms.append(capacity)
+        rooms[at] = max(0, rooms[at] - size)
+        out.append((size, at))
+    return out
+
+
+def test_runs_of_equal_sizes_are_packed_as_one_by_one():
+    rng = random.Random(3)
+    for _ in range(40):
+        sizes = {s: rng.randint(1, 9) for s in rng.sample(range(1, 60), rng.randint(1, 20))}
+        capacity = rng.randint(20, 120)
+        got = sharding.best_fit(sorted(sizes.items(), reverse=True), capacity)
+        flat = [(s, at) for s, n, at in got for _ in range(n)]
+        assert Counter(flat) == Counter(one_by_one([s for s in sorted(sizes, reverse=True) for _ in range(sizes[s])], capacity))
+
+
+def test_packing_knows_every_group():
+    sizes = {10 + i: 70 + i for i in range(7)}
+    loads, placed = Counter(), Counter()
+    for size, n, at in sharding.pack(sizes, 24):
+        loads[at] += size * n
+        placed[size] += n
+    assert placed == Counter(sizes) and len(loads) == 24 and max(loads.values()) - min(loads.values()) <= 30
+    # Groups that no bundle could part: three of 6 and three of 4 fill three bins of 10 without a gap.
+    assert Counter(at for s, n, at in sharding.pack({6: 3, 4: 3}, 3) for _ in range(n * s)) == Counter({0: 10, 1: 10, 2: 10})
+    assert sharding.pack({}, 3) == []
+
+
+def test_room_tree_against_a_sorted_list():
+    rng, tree, line = random.Random(1), sharding.RoomTree(), []
+    for i in range(600):
+        if rng.random() < 0.6:
+            key = (rng.randint(0, 50), i)
+            tree.add(key)
+            line = sorted([*line, key])
+        else:
+            least = (rng.randint(0, 55), -1)
+            want = next((k for k in line if k >= least), None)
+            assert tree.take(least) == want
+            line = [k for k in line if k != want]
 
 
 def test_water_filling():
