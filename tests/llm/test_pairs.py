@@ -35,25 +35,59 @@ def test_exact_classes(spark):
         assert got[i].text_sha256 == hashlib.sha256(normal(t).encode()).hexdigest()
 
 
+def weak_hash(c):
+    return F.pmod(F.xxhash64(c), F.lit(7)).cast("long") * F.lit(1 << 58)
+
+
 def test_colliding_hashes_are_chained_and_directory_splits(spark):
-    texts = [f"text {i % 40}" for i in range(200)]
-    weak = lambda c: F.pmod(F.xxhash64(c), F.lit(7)).cast("long") * F.lit(1 << 58)
-    d = docs(spark, texts)
-    index = exact_dedup.build_index(d, bucket_entries=5, max_depth=6, hash_column=weak)
-    assert index.entries.count() == 40
-    cells = index.directory.select("bucket", "local_depth", "bits").distinct().collect()
-    assert len(cells) > 1 and index.directory.count() == 2**index.global_depth
-    found = {r.id: r.keep_id for r in exact_dedup.lookup(d, index, hash_column=weak).collect()}
+    d = docs(spark, [f"text {i % 40}" for i in range(200)])
+    index = exact_dedup.build_index(d, bucket_entries=5, max_depth=6, hash_column=weak_hash)
+    entries = index.entries.collect()
+    assert len(entries) == 40 and len({e.bucket for e in entries}) > 1 and index.directory.depth > 1
+    for h in {e.h for e in entries}:
+        chain = sorted((e.chain, e.sha) for e in entries if e.h == h)
+        assert [c for c, _ in chain] == list(range(len(chain))) and [s for _, s in chain] == sorted(s for _, s in chain)
+    found = {r.id: r.keep_id for r in exact_dedup.lookup(d, index).collect()}
     assert found == {i: i % 40 for i in range(200)}
 
 
-def test_split_directory_is_a_partition():
+def test_lookups_go_through_directory_and_bucket(spark):
+    d = docs(spark, [f"text {i % 40}" for i in range(200)])
+    index = exact_dedup.build_index(d, bucket_entries=5, max_depth=6)
+    other = index.directory.cells[0]
+    lost = {r.keep_id for r in index.entries.where(F.col("bucket") == other).collect()}
+    assert lost
+    index.directory.cells = [1 if b == other == 0 else 0 if b == other else b for b in index.directory.cells]  # a wrong directory
+    found = {r.id: r.keep_id for r in exact_dedup.lookup(d, index).collect()}
+    assert set(found) == {i for i in range(200) if i % 40 not in lost}
+
+
+def test_a_batch_added_gives_the_index_of_all(spark):
+    texts = [f"text {i % 70}" for i in range(300)]
+    first, then = docs(spark, texts[:100]), docs(spark, texts[100:], list(range(100, 300)))
+    index = exact_dedup.build_index(first, bucket_entries=8, max_depth=8)
+    depth = index.directory.depth
+    index = exact_dedup.add(index, then)
+    whole = exact_dedup.build_index(docs(spark, texts), bucket_entries=8, max_depth=8)
+    rows = lambda x: sorted(tuple(r) for r in x.entries.select("h", "sha", "keep_id", "group_size", "chain").collect())
+    assert rows(index) == rows(whole) and index.n_rows == 300 and index.directory.depth >= depth
+    assert {r.id: r.keep_id for r in exact_dedup.lookup(docs(spark, texts), index).collect()} == {i: i % 70 for i in range(300)}
+
+
+def test_directory_doubles_and_covers_every_prefix():
     counts = {p: (100 if p == 5 else p) for p in range(64)}
-    cells = exact_dedup.split_directory(counts, 60, 6)
-    covered = [x for c in cells for x in range(c.bits << (6 - c.depth), (c.bits + 1) << (6 - c.depth))]
-    assert covered == list(range(64))
-    assert all(c.entries <= 60 or c.depth == 6 for c in cells)
-    assert sum(c.entries for c in cells) == sum(counts.values())
+    at_once, piecewise = exact_dedup.Directory(60, 6), exact_dedup.Directory(60, 6)
+    at_once.add(counts)
+    for p, n in counts.items():
+        piecewise.add({p: n})
+    for d in (at_once, piecewise):
+        assert len(d.cells) == 2**d.depth
+        assert sum(map(lambda f: sum(f.values()), d.fill)) == sum(counts.values())
+        for p in range(64):
+            b = d.cells[p >> (6 - d.depth)]
+            assert p >> (6 - d.local[b]) == d.bits[b]
+        assert all(sum(f.values()) <= 60 or d.local[b] == 6 for b, f in enumerate(d.fill))
+    assert {(d, b) for d, b in zip(at_once.local, at_once.bits)} == {(d, b) for d, b in zip(piecewise.local, piecewise.bits)}
 
 
 @pytest.mark.parametrize("operator", [exact_dedup.exact_duplicates, near_dedup.near_duplicates])
