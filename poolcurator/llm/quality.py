@@ -1,23 +1,25 @@
 """Perplexity filter: an interpolated modified Kneser-Ney model of whole bytes over one of byte classes.
 
-The outer model counts runs of five UTF-8 bytes as they are, so its tables grow with the trusted text;
-they stay tables of the shared folder, dealt out by the hash of gram or context. Below its shortest
-run lies a model of 64 byte classes, order 4, whose tables are bounded and which the tasks hold as a
-dense array. Continuation counts of the lower orders, context totals and discounts come from the count
-tables by joins on the context.
-
-Scoring copies the texts to the shared folder in blocks and lists each block's different runs once.
-The different runs of all blocks get their probabilities by joins in which a key has at most 256 rows,
-and go back to their blocks as one file each; tasks add up the information of every position of every
-whole text. A document's perplexity is per byte, drawn a little towards the mean of the trusted
-documents for short texts; documents above a high quantile of trusted documents of their language, with
-some slack, are dropped. Texts that the model has counted look better than new ones of their kind, so
-one in `HELD_OUT` trusted documents is left out of the counts, and the quantile is that of those.
-
-Defined cases: null and empty texts have the mean perplexity and stay; a language with few
-trusted documents uses the higher of its own and the overall quantile, one with none, or null, the overall; repeated rows are rows of their own;
-with too few trusted documents to hold any out, the quantile is that of the counted ones; without
-trusted documents the model is trained on all texts; an empty table gives an empty result; other
+The outer model counts runs of five UTF-8 bytes as they are, so its tables grow with the trusted text; they
+stay tables of the shared folder, dealt out by the hash of gram or context. Below its shortest run lies a
+model of 64 byte classes, order 4, whose tables are bounded and which the tasks hold as a dense array.
+Continuation counts of the lower orders, context totals and discounts come from the count tables by joins on
+the context.
+
+Scoring copies the texts to the shared folder in blocks and lists each block's different runs once. The
+different runs of all blocks get their probabilities by joins in which a key has at most 256 rows, and go back
+to their blocks as one file each; tasks add up the information of every position of every whole text. Before
+every word but a text's first the model emits a flag that tells whether the word repeats the one before it, at
+the rate of the trusted texts: runs of bytes are too short to notice that a text stutters. A document's
+perplexity is per byte, drawn a little towards the mean of the trusted documents for short texts; documents
+above a high quantile of trusted documents of their language are dropped. Texts that the model has counted
+look better than new ones of their kind, so one in `HELD_OUT` trusted documents is left out of the counts, and
+the quantile is that of those.
+
+Defined cases: null and empty texts have the mean perplexity and stay; a language with few trusted documents
+uses the higher of its own and the overall quantile, one with none, or null, the overall; repeated rows are
+rows of their own; with too few trusted documents to hold any out, the quantile is that of the counted ones;
+without trusted documents the model is trained on all texts; an empty table gives an empty result; other
 columns are ignored.
 """
 
@@ -48,8 +50,6 @@ QUANTILE = 0.995
 #: Symbols of the model's mean that every text is taken to have besides its own.
 PRIOR_SYMBOLS = 64
 LEAST_TRUSTED = 20
-#: A threshold lies this share above the quantile.
-SLACK = 0.1
 
 
 def _classes() -> np.ndarray:
@@ -114,6 +114,31 @@ def count_grams(texts: DataFrame, order: int = ORDER, bits: int = BITS) -> DataF
     return texts.select(F.coalesce("text", F.lit("")).alias("text")).mapInArrow(_count(order, bits), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
 
 
+def repeats(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Per row the words that repeat the word before, and the other words that have one before."""
+    word, row, _ = wh.words(raw, off)
+    follows = row[1:] == row[:-1]
+    same = follows & (word[1:] == word[:-1])
+    n = len(off) - 1
+    again = np.bincount(row[1:][same], minlength=n) if len(word) else np.zeros(n, np.int64)
+    return again, (np.bincount(row[1:][follows], minlength=n) if len(word) else np.zeros(n, np.int64)) - again
+
+
+def repeat_rate(texts: DataFrame) -> float:
+    """Share of words that repeat the word before, over all rows of a column `text`; add-one smoothed."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(2, dtype=np.int64)
+        for batch in batches:
+            for part in wh.slices(batch, "text"):
+                total += [x.sum() for x in repeats(*wh.utf8(part.column("text")))]
+        yield pa.RecordBatch.from_arrays([pa.array(total[:1]), pa.array(total[1:])], names=["again", "other"])
+
+    counted = texts.select(F.coalesce("text", F.lit("")).alias("text")).mapInArrow(run, "again long, other long")
+    again, other = counted.agg(F.coalesce(F.sum("again"), F.lit(0)), F.coalesce(F.sum("other"), F.lit(0))).first()
+    return (again + 1) / (again + other + 2)
+
+
 def smoothed(counts: DataFrame, order: int = ORDER, bits: int = BITS) -> tuple[list[DataFrame], list[DataFrame]]:
     """Per order from 1: (gram, p, rest) of the seen grams, and (context, back) mass left for the order below.
 
@@ -255,8 +280,8 @@ def gram_probabilities(wanted: DataFrame, probs: list[DataFrame], backs: list[Da
     return lower
 
 
-def information(docs: DataFrame, model: Model, counts: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
-    """(id, *keep, symbols, total) for every row of docs: bytes, and their information under the byte counts over the model of classes."""
+def information(docs: DataFrame, model: Model, counts: DataFrame, rate: float, id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
+    """(id, *keep, symbols, total) for every row of docs: bytes, and their information under the byte counts over the model of classes, with the flags of repeated words."""
     spark = docs.sparkSession
     rows = docs.select(F.col(f"`{id_col}`").alias("_id"), *[F.col(f"`{c}`").alias(f"k_{c}") for c in keep], F.coalesce(F.col(f"`{text_col}`"), F.lit("")).alias("text"))
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields)
@@ -296,7 +321,8 @@ def information(docs: DataFrame, model: Model, counts: DataFrame, id_col: str =
                         if spot[-1] >= len(gram) or (gram[spot] != here).any():
                             raise ValueError(f"block {now} lacks runs of its texts")
                         value = p[spot][inv] + rest[spot][inv] * base[grams(raw, off)[0]]
-                        total = np.bincount(row, -np.log(value), minlength=some.num_rows)
+                        again, other = repeats(raw, off)
+                        total = np.bincount(row, -np.log(value), minlength=some.num_rows) - again * np.log(rate) - other * np.log1p(-rate)
                     yield pa.RecordBatch.from_arrays([*some.columns[:-2], pa.array(np.diff(off).astype(np.int64)), pa.array(total)], names=[*some.schema.names[:-2], "symbols", "total"])
 
     texts = copy.where("grams is null").drop("grams")
@@ -308,7 +334,7 @@ def information(docs: DataFrame, model: Model, counts: DataFrame, id_col: str =
     return done
 
 
-def quality_filter(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, least: int = LEAST_TRUSTED, slack: float = SLACK) -> DataFrame:
+def quality_filter(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", quantile: float = QUANTILE, least: int = LEAST_TRUSTED) -> DataFrame:
     """One row per row of docs: id, lang, symbols, perplexity, threshold, kept. trusted has the ids of trusted documents."""
     ids, _ = write_table(pick(trusted, id_col).select(F.col(id_col).alias("_t")).where("_t is not null").distinct(), "trusted")
     n = ids.count()
@@ -320,7 +346,7 @@ def quality_filter(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id",
     mine = F.col(id_col) == F.col("_t")
     good = pick(docs, id_col, text_col).join(seen, mine, "left_semi").select(F.col(text_col).alias("text")) if n else pick(docs, text_col).select(F.col(text_col).alias("text"))
     counts, _ = write_table(count_grams(good, BYTE_ORDER, BYTE_BITS), "byte-grams")
-    scored = information(docs, train(good), counts, id_col, text_col, keep=(lang_col,))
+    scored = information(docs, train(good), counts, repeat_rate(good), id_col, text_col, keep=(lang_col,))
     known = scored.join(judged, mine, "left_semi") if n else scored
     mean = known.agg(F.sum("total") / F.sum("symbols")).first()[0] or 0.0
     value = F.exp((F.col("total") + PRIOR_SYMBOLS * mean) / (F.col("symbols") + PRIOR_SYMBOLS)).alias("perplexity")
@@ -329,6 +355,6 @@ def quality_filter(docs: DataFrame, trusted: DataFrame, id_col: str = "doc_id",
     everywhere = known.agg(at.alias("overall")).first()[0]
     per = known.groupBy(lang_col).agg(at.alias("own"), F.count(F.lit(1)).alias("n"))
     per = per.select(F.col(lang_col).alias("_lang"), F.when(F.col("n") >= least, F.col("own")).otherwise(F.greatest("own", F.lit(everywhere))).alias("limit"))
-    limit = F.coalesce("limit", F.lit(everywhere), F.lit(float("inf"))) * (1 + slack)
+    limit = F.coalesce("limit", F.lit(everywhere), F.lit(float("inf")))
     # One row per language.
     return scored.join(F.broadcast(per), F.col(lang_col) == F.col("_lang"), "left").select(id_col, lang_col, "symbols", F.round("perplexity", 6).alias("perplexity"), F.round(limit, 6).alias("threshold"), (F.col("perplexity") <= limit).alias("kept"))
