@@ -57,6 +57,47 @@ def test_url_rules_and_reputation(spark):
     assert url_filter.filter_urls(pages.limit(0)).count() == 0
 
 
+def test_reputation_against_plain_sums(spark):
+    rng = random.Random(2)
+    hosts = ["a.x.co.uk", "b.x.co.uk", "c.y.co.uk", "a.z.com", "b.z.com", "solo.org", "", "z.com"]
+    rate = dict(zip(hosts, (0.9, 0.95, 0.1, 0.2, 0.1, 0.5, 0.0, 0.3)))
+    rows = [(i, f"http://{h}/p{i}", int(rng.random() < rate[h]) if rng.random() < 0.7 else None) for i, h in enumerate(rng.choice(hosts) for _ in range(600))]
+    rows.append((600, "http://new.x.co.uk/", None))
+    got = {r.host: r for r in url_filter.filter_urls(spark.createDataFrame(rows, "page_id long, url string, bad int"), rules=(), label_col="bad").collect()}
+    domain = {"a.x.co.uk": "x.co.uk", "b.x.co.uk": "x.co.uk", "new.x.co.uk": "x.co.uk", "c.y.co.uk": "y.co.uk", "a.z.com": "z.com", "b.z.com": "z.com", "z.com": "z.com", "solo.org": "solo.org", "": ""}
+    suffix = {"x.co.uk": "co.uk", "y.co.uk": "co.uk", "z.com": "com", "solo.org": "org", "": ""}
+    n, bad = Counter(), Counter()
+    for _, url, label in rows:
+        if label is not None:
+            h = url[7:].split("/")[0]
+            for unit in (("h", h), ("d", domain[h]), ("s", suffix[domain[h]]), ("all", "")):
+                n[unit] += 1
+                bad[unit] += label
+
+    def level(kind, units, above):
+        used = [u for u in units if n[kind, u]]
+        v = sum(n[kind, u] * (bad[kind, u] / n[kind, u] - above[u]) ** 2 for u in used)
+        b = sum(n[kind, u] * above[u] * (1 - above[u]) for u in used)
+        s = max(1, min(1000, b / v - 1)) if v else 1000
+        return {u: (bad[kind, u] + s * above[u]) / (n[kind, u] + s) for u in units}, s
+
+    whole = bad["all", ""] / n["all", ""]
+    s_mean, _ = level("s", set(suffix.values()), {u: whole for u in suffix.values()})
+    d_mean, _ = level("d", set(suffix), {d: s_mean[s] for d, s in suffix.items()})
+    h_mean, s = level("h", set(domain), {h: d_mean[d] for h, d in domain.items()})
+    for h, m in h_mean.items():
+        bound = max(0.0, m - 1.64 * (m * (1 - m) / (n["h", h] + s + 1)) ** 0.5)
+        assert got[h].reputation == pytest.approx(m, abs=2e-6) and got[h].lower_bound == pytest.approx(bound, abs=2e-6)
+        assert got[h].verdict == ("block" if bound > 0.5 else "allow")
+    assert got["a.x.co.uk"].verdict == "block" and got["c.y.co.uk"].verdict == "allow"
+
+
+def test_hosts_that_name_what_to_keep_out_are_blocked(spark):
+    got = queries.op6_url_filter(spark, "/root/testdata/sf0.1").where("rule IS NULL")
+    bad = got.where(url_filter.names_bad(F.col("host"))).groupBy("verdict").count().collect()
+    assert [r.verdict for r in bad] == ["block"] and got.where(~url_filter.names_bad(F.col("host"))).where("verdict = 'block'").count() == 0
+
+
 def test_shards(spark):
     texts = EDGES + [f"text {i} " * (i % 90) for i in range(600)] + ["hot"] * 300
     d = docs(spark, texts)
