@@ -12,7 +12,8 @@ The items are cut into blocks of bounded size; each block is shared with all tas
 all documents once, so no document is shuffled and a passage that everyone shares costs nothing extra.
 
 Defined cases: null counts as empty; texts and items without words match nothing; items that repeat
-an id are searched one by one and the best containment is kept; repeated document rows give repeated
+an id are searched one by one and the best containment is kept (ties: the larger item); an item without
+an id is one of its own, and its rows have a null item id; repeated document rows give repeated
 results; empty tables give an empty result; other columns are ignored.
 """
 
@@ -136,6 +137,17 @@ def matches(block: ItemBlock, hits: np.ndarray, containment: float) -> list[tupl
     return found
 
 
+def best_of_each(block: ItemBlock, found: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Of matches whose items share an id the one with the best containment; items without an id stay apart."""
+    best: dict[object, tuple[int, int]] = {}
+    for i, shared in found:
+        name = ("id", block.ids[i]) if block.ids[i] is not None else ("row", i)
+        have = best.get(name)
+        if have is None or (shared / len(block.sets[i]), shared) > (have[1] / len(block.sets[have[0]]), have[1]):
+            best[name] = (i, shared)
+    return list(best.values())
+
+
 def _search(shared, containment: float, k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         block: ItemBlock = shared.value
@@ -169,7 +181,7 @@ def _search(shared, containment: float, k: int):
                         if len(memo) > 10_000:
                             memo.clear()
                         memo[name] = matches(block, hits, containment)
-                    out += [(int(r[lo]), i, s) for i, s in memo[name]]
+                    out += [(int(r[lo]), i, s) for i, s in best_of_each(block, memo[name])]
                 if out:
                     rows, items, counts = zip(*out, strict=True)
                     sizes = np.array([len(block.sets[i]) for i in items], dtype=np.int64)
@@ -191,8 +203,10 @@ def find_items(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", text_c
     blocks = max(1, -(-chars // block_chars))
     found = None
     for b in range(blocks):
-        mine = wanted if blocks == 1 else wanted.where(F.pmod(F.xxhash64("item", "text"), F.lit(blocks)) == b)
-        got = sorted((r.item if r.item is not None else -1, r.text) for r in mine.collect())  # one block: about block_chars
+        # Texts of one id share a block, so that the best of them is known.
+        spread = F.when(F.col("item").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("item"))
+        mine = wanted if blocks == 1 else wanted.where(F.pmod(spread, F.lit(blocks)) == b)
+        got = sorted(((r.item, r.text) for r in mine.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1]))  # one block: about block_chars
         shared = spark.sparkContext.broadcast(index_items([i for i, _ in got], [t for _, t in got], k))
         part = rows.mapInArrow(_search(shared, containment, k), "id long, item_id long, item_shingles long, shared long, containment double")
         found = part if found is None else found.unionByName(part)

@@ -17,8 +17,8 @@ the components of the links.
 
 Defined cases: null counts as empty; texts without words are near only to identical texts (white
 space counts); fewer than five words make one shingle; repeated rows and rows that repeat an id are
-members of one class; rows with null ids are dropped; the smallest id names the class; an empty
-table gives an empty result; other columns are ignored.
+members of one class; rows without an id are classes of their own and stay; the smallest id names the
+class; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -281,4 +281,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     for path in (groups_path, members_path, units_path, shared_path, links_path, reps_path):
         drop_path(spark, path)
     out = attach_by_group(signed.select("id", "k1", "k2"), of_rep, ["k1", "k2"], "n", total)
-    return out.select(F.col("id").alias(id_col), "class_id", "class_size", F.col("rep").alias("rep_id"), (F.col("id") == F.col("class_id")).alias("kept"))
+    out = out.select(F.col("id").alias(id_col), "class_id", "class_size", F.col("rep").alias("rep_id"), (F.col("id") == F.col("class_id")).alias("kept"))
+    none = F.lit(None).cast(dict(out.dtypes)["class_id"])
+    nameless = pick(docs, id_col).where(F.col(id_col).isNull()).select(id_col, none.alias("class_id"), F.lit(1).cast("long").alias("class_size"), none.alias("rep_id"), F.lit(True).alias("kept"))
+    return out.unionByName(nameless)

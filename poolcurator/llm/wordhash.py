@@ -74,12 +74,12 @@ def release() -> None:
 
 
 def slices(batch: pa.RecordBatch, column: str, most: int = SLICE) -> Iterator[pa.RecordBatch]:
-    """The batch in runs of rows whose texts have about `most` bytes together."""
+    """The batch in runs of rows, 65,536 at most, whose texts have about `most` bytes together."""
     _, off = utf8(batch.column(batch.schema.get_field_index(column)))
     i = 0
     while i < batch.num_rows:
         j = int(np.searchsorted(off, off[i] + most, "right")) - 1
-        j = min(max(j, i + 1), batch.num_rows)
+        j = min(max(j, i + 1), batch.num_rows, i + (1 << 16))
         yield batch.slice(i, j - i)
         i = j
     release()

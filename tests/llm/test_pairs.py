@@ -224,6 +224,31 @@ def test_contained_items(spark):
     assert kept == set(range(len(texts))) - {i for i, _ in want}
 
 
+def test_items_that_repeat_or_lack_an_id(spark):
+    a, b = "one two three four five six seven eight nine ten", "red blue green gold grey pink teal plum rust sand"
+    near = "one two three four five six seven eight nine eleven"
+    its = spark.createDataFrame([(7, a), (7, near), (7, b), (None, a), (None, b), (8, b)], "item_id long, text string")
+    for block in (8_000_000, 40):
+        got = decontamination.find_items(docs(spark, [a, b, "x", f"{a} {b}"]), its, block_chars=block).collect()
+        assert sorted((r.doc_id, r.item_id, r.containment) for r in got if r.item_id is not None) == [(0, 7, 1.0), (1, 7, 1.0), (1, 8, 1.0), (3, 7, 1.0), (3, 8, 1.0)]
+        assert sorted(r.doc_id for r in got if r.item_id is None) == [0, 1, 3, 3]
+
+
+def test_rows_without_an_id_stay(spark):
+    text = "one two three four five six seven eight nine ten"
+    rows = spark.createDataFrame([(1, text), (None, text), (2, text), (None, None)], "doc_id long, text string")
+    near = sorted(((r.doc_id, r.class_id, r.class_size, r.kept) for r in near_dedup.near_duplicates(rows).collect()), key=str)
+    assert near == sorted([(1, 1, 2, True), (2, 1, 2, False), (None, None, 1, True), (None, None, 1, True)], key=str)
+    exact = [(r.doc_id, r.keep_id, r.group_size, r.kept) for r in exact_dedup.exact_duplicates(rows).collect()]
+    assert sorted(exact, key=str) == sorted([(1, 1, 3, True), (2, 1, 3, False), (None, 1, 3, False), (None, None, 1, True)], key=str)
+
+
+def test_components_that_do_not_settle_raise(spark):
+    edges = spark.createDataFrame([(i, i + 1) for i in range(40)], "a long, b long")
+    with pytest.raises(RuntimeError):
+        components.connected_components(edges, max_rounds=1)
+
+
 def test_tables_are_written_to_the_shared_folder(spark):
     df, path = write_table(spark.range(3).toDF("id"), "t")
     assert path.startswith(spark.conf.get("spark.checkpoint.dir")) and df.count() == 3

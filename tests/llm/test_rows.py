@@ -185,7 +185,7 @@ def test_mix_meets_targets(spark):
         target[source[r.doc_id]], size[source[r.doc_id]] = r.target, r.source_size
     order = ["s0", "s1", "s2", "s3", None]
     assert [target[s] for s in order] == pytest.approx(mixing.water_fill([size[s] for s in order], [1, 2, 3, 1, 2], sum(size.values()), 3))
-    assert all(abs(taken[s] - target[s]) <= 5 for s in order)
+    assert all(abs(taken[s] - target[s]) <= 1 for s in order)  # documents of one word are left
     again = mixing.mix(d.repartition(5)).collect()
     assert sorted((r.doc_id, r.taken) for r in again) == sorted((r.doc_id, r.taken) for r in got)
     assert mixing.mix(d.limit(0)).count() == 0
@@ -337,6 +337,21 @@ def test_secret_scan(spark):
     assert secret_scan.scan_secrets(docs(spark, []), model).count() == 0
 
 
+def test_secrets_by_findings_that_were_held_out(spark):
+    model = secret_scan.train_forest(secret_scan.made_up_findings(spark, 4000))
+    other = secret_scan.made_up_findings(spark, 2000, seed=7)
+    precision, recall = secret_scan.held_out_rates(model, other)
+    assert precision > 0.97 and recall > 0.97
+
+
+def test_transitions_tell_keys_from_words(spark):
+    odds = secret_scan.transition_odds(secret_scan.made_up_findings(spark, 4000))
+    mean = lambda v: spark.createDataFrame([(v,)], "value string").select(F.aggregate(secret_scan.character_pairs(F.col("value")), F.lit(0.0), lambda a, x: a + F.element_at(F.create_map(*[F.lit(y) for k in odds.items() for y in k]), x))).first()[0] / len(v)
+    assert mean("conventionment-remotion") < 0 < mean("q7Xf9ZbK2mW8xJ4vRp6T")
+    line = spark.createDataFrame([("aB1é",)], "value string").select(secret_scan.character_pairs(F.col("value"))).first()[0]
+    assert line == ["a^", "^b", "b1", "1-"]
+
+
 def test_quality_tells_letters_of_one_class_apart(spark):
     names = ["LONDON", "PARIS", "BERLIN", "MADRID", "VIENNA"]
     good = [" ".join(names[(i + j * (i % 4 + 1)) % 5] for j in range(30)) for i in range(60)]
