@@ -52,7 +52,7 @@ class CostLedger:
         return {"calls": sum(x[3] for x in t), "tokens_in": sum(x[4] for x in t), "tokens_out": sum(x[5] for x in t), "retries": sum(x[6] for x in t), "failures": sum(x[7] for x in t), "usd": sum((x[8] for x in t), Decimal(0))}
 
 
-STAGE_OF = {"inspect": 2, "mode": 1, "label": 1, "match": 1, "policy": 2, "weights": 3, "rubric": 4, "judge": 4}
+STAGE_OF = {"plan": 0, "inspect": 2, "mode": 1, "label": 1, "match": 1, "policy": 2, "weights": 3, "rubric": 4, "judge": 4}
 
 
 def ask(backbone: Backbone, kind: str, slots: Mapping[str, Any], parse: Callable[[Any], Any], max_retries: int = 3, ledger: CostLedger | None = None, stage: int | None = None) -> Any:

@@ -100,6 +100,11 @@ class RuleBackbone:
             policy["min_out_len"], policy["out_inst_ratio_min"] = 0, 0.0  # no sample has an answer to measure
         return json.dumps(policy)
 
+    def _plan(self, s) -> str:
+        asked = s["request"].lower()
+        tidy = any(c in asked for c in ("clean", "tidy", "junk"))
+        return json.dumps({"max_noise": 0.02 if tidy else 0.1, "min_output": 15, "variety": 1.0, "clean": 2.0 if tidy else 1.0, "length": 1.0 if "step" in asked or "non-trivial" in asked else 0.5})
+
     def _weights(self, s) -> str:
         asked = s["request"].lower()
         raw = {m: 1 + 2 * sum(c in asked for c in cues) for m, cues in WEIGHT_CUES.items()}

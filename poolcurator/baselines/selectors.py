@@ -5,9 +5,24 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from poolcurator.backbone.core import Backbone, CostLedger, ask
+from poolcurator.config import ConfigRejected, SelectionRequest
 from poolcurator.functions import text as X
+from poolcurator.operators.embed import bigram_buckets
 from poolcurator.operators.relational import running_total
 from poolcurator.operators.topk import gumbel, rehydrate, top_k
+from poolcurator.sources.files import durable
+
+#: Reference vectors that every task may hold.
+REFERENCES = 100_000
+
+
+def held_by_all(rows: DataFrame, what: str, most: int = REFERENCES) -> DataFrame:
+    """rows marked for broadcast; an error beyond `most` of them, as the method is meant for a bounded set of examples."""
+    n = rows.count()
+    if n > most:
+        raise ValueError(f"{n} {what}; at most {most} can be sent to every task")
+    return F.broadcast(rows)
 
 
 def full_pool(df: DataFrame) -> DataFrame:
@@ -36,10 +51,24 @@ def centroid_similarity(vectors: DataFrame, reference: DataFrame, key: str = "sa
 
 def reference_similarity(vectors: DataFrame, reference: DataFrame, how: str = "max", key: str = "sample_id", vector: str = "embedding") -> DataFrame:
     """(key, similarity): highest or mean cosine to the reference vectors, a bounded target set that every task holds."""
-    refs = reference.groupBy().agg(F.collect_list(vector).alias("refs"))
-    sims = F.transform("refs", lambda r: X.cosine(F.col(vector), r))
-    value = F.array_max(sims) if how == "max" else F.aggregate(sims, F.lit(0.0), lambda a, x: a + x) / F.size("refs")
-    return vectors.crossJoin(F.broadcast(refs)).select(key, value.alias("similarity"))
+    refs = held_by_all(reference.select(F.col(vector).alias("_ref")), "reference vectors")
+    best = F.max if how == "max" else F.avg
+    return vectors.crossJoin(refs).groupBy(key).agg(best(X.cosine(vector, "_ref")).alias("similarity"))
+
+
+def text_similarity(samples: DataFrame, reference: DataFrame, key: str = "sample_id", reference_key: str = "item_id", text: str = "text") -> DataFrame:
+    """(key, similarity): cosine of a text's character-bigram vector to the mean of the reference texts' unit vectors; 0 for texts without bigrams.
+
+    The reference is one row per bucket, 256 at most, so only it is broadcast; a text's buckets are added up once.
+    """
+    ref = bigram_buckets(reference, reference_key, text)
+    size = ref.groupBy(reference_key).agg(F.sqrt(F.sum(F.col("n") * F.col("n")).cast("double")).alias("norm"))
+    mean = ref.join(size, reference_key).groupBy("bucket").agg(F.sum(F.col("n") / F.col("norm")).alias("m"))
+    length = mean.agg(F.sqrt(F.sum(F.col("m") * F.col("m"))).alias("length"))  # one row
+    centre = mean.crossJoin(F.broadcast(length)).select("bucket", (F.col("m") / F.col("length")).alias("m"))
+    mine = bigram_buckets(samples, key, text).join(F.broadcast(centre), "bucket", "left")
+    near = mine.groupBy(key).agg((F.sum(F.col("n") * F.coalesce("m", F.lit(0.0))) / F.sqrt(F.sum(F.col("n") * F.col("n")).cast("double"))).alias("similarity"))
+    return samples.select(key).join(near, key, "left").select(key, F.coalesce("similarity", F.lit(0.0)).alias("similarity"))
 
 
 def sim_then_ifd(samples: DataFrame, similarity: DataFrame, proxy, candidates: int, k: int, key: str = "sample_id") -> DataFrame:
@@ -215,6 +244,19 @@ def deft_score(df: DataFrame, key: str = "sample_id") -> DataFrame:
     return s.select(key, (F.col("complexity") * F.col("quality") + F.col("quality") * F.col("knowledge")).alias("score"))
 
 
+def deft(samples: DataFrame, model, rankers: DataFrame, k: int, mode: str = "single", tau: float = 0.9, key: str = "sample_id") -> list[int]:
+    """Ids by complexity x quality + quality x knowledge with a diversity walk over the texts' own vectors.
+
+    rankers: (key, complexity, quality). The score knows no target, so a pool of several fields is refused.
+    """
+    from poolcurator.operators.embed import embed
+
+    if mode != "single":
+        raise ConfigRejected("this score is for pools of one field")
+    score = deft_score(rankers.join(model.min_k(samples, key=key), key), key).withColumn("score", F.round("score", 6))
+    return greedy_diverse(durable(embed(samples.select(key, "text")).select(key, "embedding").join(score, key), "scored-vectors"), k, tau, key=key)
+
+
 def fit_ranker(rows: DataFrame, features: tuple[str, ...], label: str = "label"):
     """A logistic ranker from labelled rows; adds column p."""
     from pyspark.ml.classification import LogisticRegression
@@ -229,7 +271,8 @@ def fit_ranker(rows: DataFrame, features: tuple[str, ...], label: str = "label")
 def greedy_diverse(df: DataFrame, k: int, tau: float = 0.9, block: int = 512, key: str = "sample_id", vector: str = "embedding") -> list[int]:
     """Ids in falling score order, each kept if its highest cosine to those kept is below tau, until k.
 
-    Exact: blocks come in score order, the kept vectors (k at most) are compared in one matrix product.
+    Exact: blocks come in score order, each twice as long as the one before, so the table is read a logarithmic
+    number of times; the kept vectors (k at most) are compared in one matrix product.
     """
     import numpy as np
 
@@ -241,6 +284,7 @@ def greedy_diverse(df: DataFrame, k: int, tau: float = 0.9, block: int = 512, ke
         rows = rest.orderBy(F.desc("score"), key).limit(block).select(key, "score", vector).collect()
         if not rows:
             break
+        block = min(2 * block, 65_536)
         last = (rows[-1]["score"], rows[-1][key])
         for r in rows:
             v = np.array(r[vector], dtype=np.float64)
@@ -292,12 +336,25 @@ def knn(queries: DataFrame, candidates: DataFrame, neighbours: int = 10) -> Data
     The bounded target set is held by every task; each candidate row meets each query once, and a task
     keeps `neighbours` rows a query before the shuffle.
     """
-    q = F.broadcast(queries.select(F.col("vec_id").alias("query"), F.col("embedding").alias("q")))
+    q = held_by_all(queries.select(F.col("vec_id").alias("query"), F.col("embedding").alias("q")), "target vectors")
     rows = candidates.crossJoin(q).select("query", "vec_id", F.round(X.cosine("embedding", "q"), 6).alias("similarity"))
     rank = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("similarity"), "vec_id"))
     return rows.withColumn("rn", rank).where(F.col("rn") <= neighbours).drop("rn")
 
 
+def aligned(near: DataFrame, alpha: float = 0.5, scale: float = 1.0) -> DataFrame:
+    """near, cut where a wider neighbourhood would cost more alignment than it brings diversity.
+
+    alpha weighs the transport cost (cosine distance over `scale`) against the regulariser that spreads a query's
+    mass. The j-th neighbour stays while the j - 1 nearer ones together are at most (1 - alpha) / alpha * scale closer
+    than it: alpha near 1 keeps the nearest only, alpha near 0 all that were found.
+    """
+    w = Window.partitionBy("query").orderBy(F.desc("similarity"), "vec_id")
+    d = 1 - F.col("similarity")
+    closer = F.row_number().over(w) * d - F.sum(d).over(w.rowsBetween(Window.unboundedPreceding, 0))
+    return near.withColumn("_closer", F.round(closer, 9)).where(F.col("_closer") <= (1 - alpha) / alpha * scale).drop("_closer")
+
+
 def kde_mass(near: DataFrame, candidates: DataFrame, bandwidth: float = 0.5, kde: bool = True) -> DataFrame:
     """(query, vec_id, mass): each query's unit mass over its neighbours, less where candidates crowd (or even)."""
     if not kde:
@@ -313,22 +370,37 @@ def kde_mass(near: DataFrame, candidates: DataFrame, bandwidth: float = 0.5, kde
 
 def categorical_draw(mass: DataFrame, k: int, seed: int = 42) -> DataFrame:
     """(draw, vec_id): k draws with replacement, each to the row whose running mass covers its seeded uniform."""
-    total = mass.groupBy("vec_id").agg(F.round(F.sum("mass"), 6).alias("m"))
-    whole = total.agg(F.sum("m")).first()[0] or 1.0
-    cells = running_total(total, "m", "vec_id").select("vec_id", F.round((F.col("total") - F.col("m")) / whole, 9).alias("lo"), F.round(F.col("total") / whole, 9).alias("hi"))
-    draws = mass.sparkSession.range(k).select(F.col("id").alias("draw")).withColumn("u", X.seeded_uniform("draw", f"draw{seed}"))
-    # Cells and draws meet in tenths of a hundredth, an equi-join key for the range condition.
-    bins = cells.select("vec_id", "lo", "hi", F.explode(F.sequence(F.floor(F.col("lo") * 1000), F.floor(F.col("hi") * 1000))).alias("bin"))
-    return draws.withColumn("bin", F.floor(F.col("u") * 1000)).join(bins, "bin").where("u >= lo AND u < hi").select("draw", "vec_id")
+    total = mass.groupBy("vec_id").agg(F.sum("mass").alias("m"))
+    cells = durable(running_total(total, "m", "vec_id"), "cells")
+    whole, n = cells.agg(F.max("total"), F.count(F.lit(1))).first()
+    draws = mass.sparkSession.range(k).select(F.col("id").alias("draw")).withColumn("u", X.fine_uniform("draw", f"draw{seed}") * F.lit(float(whole or 1.0)))
+    # Cells and draws meet in as many bins as there are cells, an equi-join key for the range condition: a bin has a
+    # cell or two, and a large cell as many bins as its share.
+    width = (whole or 1.0) / max(1, n)
+    lo = F.col("total") - F.col("m")
+    bins = cells.select("vec_id", lo.alias("lo"), F.col("total").alias("hi"), F.explode(F.sequence(F.greatest(F.floor(lo / width) - 1, F.lit(0)), F.floor(F.col("total") / width) + 1)).alias("bin"))
+    return draws.withColumn("bin", F.floor(F.col("u") / width)).join(bins, "bin").where("u >= lo AND u < hi").select("draw", "vec_id")
 
 
 # ---- single pass ---------------------------------------------------------------------------------
 
 
-def single_pass(samples: DataFrame, k: int, max_noise: float = 0.02, key: str = "sample_id") -> DataFrame:
-    """(key, score): one cheap pass, one filter and one order expression."""
-    f = samples.select(key, F.round(X.share_of("text", X.noise_class()), 6).alias("noise"), F.round(X.unique_share("text"), 6).alias("variety"), F.length("output").alias("n"))
-    ok = f.where((F.col("noise") <= max_noise) & (F.col("n") >= 15))
-    return top_k(ok.select(key, F.round(F.col("variety") - F.col("noise") + F.least(F.col("n") / 2000, F.lit(1.0)), 6).alias("score")), "score", k, key)
+def single_pass_plan(request: SelectionRequest, backbone: Backbone, ledger: CostLedger | None = None) -> dict[str, float]:
+    """What one call makes of the request: a noise limit, a least answer length, and weights of variety, cleanness and length."""
+
+    def parse(reply) -> dict[str, float]:
+        plan = {n: float(reply[n]) for n in ("max_noise", "min_output", "variety", "clean", "length")}
+        if set(reply) != set(plan) or not 0 <= plan["max_noise"] <= 1 or min(plan.values()) < 0:
+            raise ConfigRejected(f"not a plan: {reply}")
+        return plan
 
+    return ask(backbone, "plan", {"request": request.text}, parse, ledger=ledger)
 
+
+def single_pass(samples: DataFrame, k: int, request: SelectionRequest, backbone: Backbone, key: str = "sample_id", ledger: CostLedger | None = None) -> DataFrame:
+    """(key, score): the same request and budget, one call, one scan with one filter and one order expression."""
+    plan = single_pass_plan(request, backbone, ledger)
+    f = samples.select(key, F.round(X.share_of("text", X.noise_class()), 6).alias("noise"), F.round(X.unique_share("text"), 6).alias("variety"), F.length("output").alias("n"))
+    ok = f.where((F.col("noise") <= plan["max_noise"]) & (F.col("n") >= plan["min_output"]))
+    score = plan["variety"] * F.col("variety") + plan["clean"] * (1 - F.col("noise")) + plan["length"] * F.least(F.col("n") / 2000, F.lit(1.0))
+    return top_k(ok.select(key, F.round(score, 6).alias("score")), "score", k, key)

@@ -95,7 +95,7 @@ def compare(spark: SparkSession, sf_dir: str, pool_name: str, request_name: str,
 
     add("random", random_k(pool, k))
     add("ifd", B.ifd_top_k(pool, proxy, k))
-    add("single_pass", B.single_pass(pool, k))
+    add("single_pass", B.single_pass(pool, k, request(request_name), RuleBackbone()))
     tokens = B.rating_probabilities(pool).select("sample_id", "prompt_id", "model", B.selectit_token().alias("token"))
     add("selectit", B.selectit_model(B.selectit_sentence(tokens), {"7B": 7.0, "13B": 13.0}).orderBy(F.desc("score"), "sample_id").limit(k))
     add("cascade", cascade(spark, sf_dir, pool_name, request_name, target, stages=(2, 3, 4)).selected)

@@ -52,7 +52,7 @@ def pass_at_1(results: DataFrame) -> DataFrame:
 
 
 def setting_mean(scores: DataFrame) -> DataFrame:
-    return scores.groupBy("model", "pool", "method").agg(F.round(F.avg("score"), 2).alias("score"))
+    return scores.groupBy("model", "pool", "method").agg(F.round(F.round(F.avg("score"), 9), 2).alias("score"))
 
 
 def rank_methods(scores: DataFrame, by: tuple[str, ...] = ("model", "pool"), exclude: tuple[str, ...] = (CONTROL,)) -> DataFrame:

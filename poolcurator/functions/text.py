@@ -44,6 +44,11 @@ def seeded_uniform(c: str | Column, salt: str = "42") -> Column:
     return F.conv(F.substring(F.md5(F.concat(F.lit(f"{salt}:"), col(c).cast("string"))), 1, 8), 16, 10).cast("double") / 4294967296.0
 
 
+def fine_uniform(c: str | Column, salt: str = "42") -> Column:
+    """As seeded_uniform, with 52 bits instead of 32, for draws over more than a billion rows."""
+    return F.conv(F.substring(F.md5(F.concat(F.lit(f"{salt}:"), col(c).cast("string"))), 1, 13), 16, 10).cast("double") / float(1 << 52)
+
+
 def noise_class(*fields: str, unicode_word: bool = True) -> str:
     """The regular expression of characters that count as noise, with the fields' signs allowed."""
     word = r"\p{L}\p{M}\p{N}_" if unicode_word else r"\w"

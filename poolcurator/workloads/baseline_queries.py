@@ -2,14 +2,19 @@
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import functions as F
 
+from poolcurator.backbone.rules import RuleBackbone
 from poolcurator.baselines import selectors as B
+from poolcurator.config import SelectionRequest
+from poolcurator.evaluate.runner import REQUESTS
 from poolcurator.functions import text as X
 from poolcurator.operators.embed import embed
 from poolcurator.operators.topk import random_k, top_k
 from poolcurator.registry import query
-from poolcurator.workloads.common import FDOC, LM, NOISE_SQL, key_sql, r6, read_spread, read_table, samples, share_sql, spread_samples, tokens_sql, uniform_sql, unique_sql
+from poolcurator.workloads.common import BUCKETS_SQL, FDOC, LM, NOISE_SQL, key_sql, pool_of, r6, read_spread, read_table, samples, share_sql, spread_samples, tokens_sql, uniform_sql, unique_sql
 from poolcurator.workloads.stage_queries import bigram
 
 
@@ -51,29 +56,40 @@ def base_tag_ifd(spark, d):
 
 
 SIM = """vecs AS (SELECT vec_id, embedding::double[] AS e FROM embeddings),
-centre AS (SELECT list(m ORDER BY i) AS c FROM (SELECT i, avg(x) AS m FROM (SELECT unnest(range(64)) AS i, unnest(e) AS x FROM vecs WHERE vec_id % 50 = 0) GROUP BY i)),
+centre AS (SELECT list(m ORDER BY i) AS c FROM (SELECT i, avg(x) AS m FROM (SELECT unnest(range(64)) AS i, unnest(e) AS x FROM vecs WHERE vec_id % 100 = 0) GROUP BY i)),
 sim AS (SELECT vec_id AS sample_id, round(list_inner_product(e, c) / sqrt(list_inner_product(e, e) * list_inner_product(c, c)), 6) AS similarity FROM vecs, centre)"""
 
 
-@query("base_sim_ifd", f"WITH {IFD}, {SIM}, near AS (SELECT sample_id FROM sim JOIN ifd USING (sample_id) ORDER BY similarity DESC, sample_id LIMIT 100) SELECT sample_id, ifd FROM ifd JOIN near USING (sample_id) ORDER BY ifd DESC, sample_id LIMIT 30")
+TEXT_SIM = f"""rb AS ({BUCKETS_SQL.format(id='item_id', c='text', t='benchmark')}), rn AS (SELECT id, sqrt(sum(n * n)::double) AS norm FROM rb GROUP BY id),
+rm AS (SELECT bucket, sum(n / norm) AS m FROM rb JOIN rn USING (id) GROUP BY bucket), rl AS (SELECT sqrt(sum(m * m)) AS len FROM rm),
+mb AS ({BUCKETS_SQL.format(id='sample_id', c='text', t='fdoc')}),
+ts AS (SELECT id, sum(n * coalesce(m, 0) / len) / sqrt(sum(n * n)::double) AS similarity FROM mb LEFT JOIN rm USING (bucket), rl GROUP BY id),
+tsim AS (SELECT sample_id, round(coalesce(similarity, 0), 6) AS similarity FROM fdoc LEFT JOIN ts ON id = sample_id)"""
+
+
+@query("sim_text", f"WITH {FDOC}, {TEXT_SIM} SELECT * FROM tsim")
+def sim_text(spark, d):
+    """Documents against the mean vector of the benchmark's items, the target examples."""
+    s = B.text_similarity(spread_samples(spark, d), read_table(spark, d, "benchmark"))
+    return s.select("sample_id", r6("similarity").alias("similarity"))
+
+
+@query("base_sim_ifd", f"WITH {IFD}, {TEXT_SIM}, near AS (SELECT sample_id FROM tsim ORDER BY similarity DESC, sample_id LIMIT 300) SELECT sample_id, ifd FROM ifd JOIN near USING (sample_id) ORDER BY ifd DESC, sample_id LIMIT 30")
 def base_sim_ifd(spark, d):
-    model, rest = bigram(spark, d)
-    v = read_table(spark, d, "embeddings")
-    sim = B.centroid_similarity(v, v.where("vec_id % 50 = 0"), "vec_id").withColumnRenamed("vec_id", "sample_id")
-    scored = rest.where(F.size(X.tokens("output")) > 0)
-    return B.sim_then_ifd(scored, sim.join(scored.select("sample_id"), "sample_id", "left_semi"), model, 100, 30)
+    model, pool = bigram(spark, d)
+    return B.sim_then_ifd(pool, B.text_similarity(pool, read_table(spark, d, "benchmark")), model, 300, 30)
 
 
 @query("sim_centroid", f"WITH {SIM} SELECT * FROM sim")
 def sim_centroid(spark, d):
     v = read_table(spark, d, "embeddings")
-    return B.centroid_similarity(v, v.where("vec_id % 50 = 0"), "vec_id").select(F.col("vec_id").alias("sample_id"), r6("similarity").alias("similarity"))
+    return B.centroid_similarity(v, v.where("vec_id % 100 = 0"), "vec_id").select(F.col("vec_id").alias("sample_id"), r6("similarity").alias("similarity"))
 
 
-@query("sim_max", "SELECT a.vec_id, round(max(list_inner_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_inner_product(a.embedding::double[], a.embedding::double[]) * list_inner_product(b.embedding::double[], b.embedding::double[]))), 6) AS similarity FROM embeddings a, embeddings b WHERE b.vec_id % 50 = 0 GROUP BY a.vec_id")
+@query("sim_max", "SELECT a.vec_id, round(max(list_inner_product(a.embedding::double[], b.embedding::double[]) / sqrt(list_inner_product(a.embedding::double[], a.embedding::double[]) * list_inner_product(b.embedding::double[], b.embedding::double[]))), 6) AS similarity FROM embeddings a, embeddings b WHERE b.vec_id % 100 = 0 GROUP BY a.vec_id")
 def sim_max(spark, d):
     v = read_table(spark, d, "embeddings")
-    return B.reference_similarity(v, v.where("vec_id % 50 = 0"), "max", "vec_id").select("vec_id", r6("similarity").alias("similarity"))
+    return B.reference_similarity(v, v.where("vec_id % 100 = 0"), "max", "vec_id").select("vec_id", r6("similarity").alias("similarity"))
 
 
 RATED = f"""rp AS (SELECT doc_id AS sample_id, p AS prompt_id, m AS model FROM documents, (SELECT unnest(range(1, 6)) AS p), (SELECT unnest(['7B', '13B']) AS m)),
@@ -130,10 +146,10 @@ def mig_first_pick(spark, d):
     return top_k(B.mig_first_gains(t, B.tag_edges(t)).select("sample_id", r6("gain").alias("gain")), "gain", 20)
 
 
-@query("mig_information", f"WITH {TAGGED}, ma AS (SELECT b, sum(quality * weight) AS m FROM tg JOIN ed ON tag = a WHERE sample_id % 10 = 0 GROUP BY b) SELECT round(sum(pow(m, 0.8)), 6) AS information FROM ma")
+@query("mig_information", f"WITH {TAGGED}, ma AS (SELECT b, sum(quality * weight) AS m FROM tg JOIN ed ON tag = a GROUP BY b) SELECT round(sum(pow(m, 0.8)), 6) AS information FROM ma")
 def mig_information(spark, d):
     t = language_source_tags(spark, d)
-    e = B.mig_information(t, B.tag_edges(t), t.where("sample_id % 10 = 0").select("sample_id").distinct())
+    e = B.mig_information(t, B.tag_edges(t), t.select("sample_id").distinct())
     return spark.createDataFrame([(round(e, 6),)], "information double")
 
 
@@ -178,11 +194,14 @@ def trace_effective_len(spark, d):
 
 @query(
     "base_joint_rank",
-    f"""WITH {FDOC}, r AS (SELECT sample_id, rank() OVER (ORDER BY round({uniform_sql('sample_id', 'difficulty')}, 2) DESC) AS rd, rank() OVER (ORDER BY {EFF_SQL} DESC) AS rl FROM fdoc)
+    f"""WITH {FDOC}, {ROLL}, di AS (SELECT sample_id, 1 - avg(correct::int) AS difficulty FROM ro GROUP BY sample_id),
+    r AS (SELECT sample_id, rank() OVER (ORDER BY difficulty DESC) AS rd, rank() OVER (ORDER BY {EFF_SQL} DESC) AS rl FROM fdoc JOIN di USING (sample_id))
     SELECT sample_id, round(0.25 * rd + 0.75 * rl, 6) AS score FROM r ORDER BY score, sample_id LIMIT 100""",
 )
 def base_joint_rank(spark, d):
-    rows = samples(spark, d).select("sample_id", F.round(X.seeded_uniform("sample_id", "difficulty"), 2).alias("difficulty"), B.effective_length().alias("length"))
+    """Difficulty is the share of failed rollouts; length that of the trace without repeated steps."""
+    difficulty = B.solve_rate(rollouts(spark, d)).select("sample_id", (1 - F.col("rate")).alias("difficulty"))
+    rows = samples(spark, d).select("sample_id", B.effective_length().alias("length")).join(difficulty, "sample_id")
     return B.joint_rank(rows, 100)
 
 
@@ -218,12 +237,17 @@ def deft_score(spark, d):
     return B.deft_score(deft_terms(spark, d)).select("sample_id", r6("score").alias("score"))
 
 
+def rankers(spark, d):
+    """(sample_id, complexity, quality): difficulty spread from half of the rollouts, and quality learnt from the labels."""
+    complexity = fit_difficulty(spark, d).select("sample_id", F.col("difficulty").alias("complexity"))
+    return complexity.join(fit_ranker(spark, d).select("sample_id", F.col("p").alias("quality")), "sample_id")
+
+
 @query("base_deft")
 def base_deft(spark, d):
-    """Diversity walk over character-bigram vectors in score order."""
-    v = read_table(spark, d, "embeddings").select(F.col("vec_id").alias("sample_id"), "embedding")
-    rows = deft_score(spark, d).join(v, "sample_id")
-    ids = B.greedy_diverse(rows, 50, 0.3)
+    """Both rankers and the bigram model's knowledge in the score; a walk over the documents' own vectors."""
+    model, pool = bigram(spark, d)
+    ids = B.deft(pool, model, rankers(spark, d), 50)
     return spark.createDataFrame([(i, n) for n, i in enumerate(ids)], "sample_id long, place int")
 
 
@@ -262,7 +286,7 @@ def base_dsir(spark, d):
 
 
 KNN = """vs AS (SELECT vec_id, embedding::double[] AS e FROM embeddings),
-kn AS (SELECT q.vec_id AS query, c.vec_id, round(list_inner_product(q.e, c.e) / sqrt(list_inner_product(q.e, q.e) * list_inner_product(c.e, c.e)), 6) AS similarity FROM vs q, vs c WHERE q.vec_id % 50 = 0 AND c.vec_id % 50 <> 0
+kn AS (SELECT q.vec_id AS query, c.vec_id, round(list_inner_product(q.e, c.e) / sqrt(list_inner_product(q.e, q.e) * list_inner_product(c.e, c.e)), 6) AS similarity FROM vs q, vs c WHERE q.vec_id % 100 = 0
   QUALIFY row_number() OVER (PARTITION BY q.vec_id ORDER BY similarity DESC, c.vec_id) <= 10)"""
 MASS = KNN + """, kv AS (SELECT query, vec_id, e FROM kn JOIN vs USING (vec_id)),
 de AS (SELECT a.query, a.vec_id, sum(exp(-list_sum(list_transform(range(1, 65), lambda i: (a.e[i] - b.e[i]) * (a.e[i] - b.e[i]))) / (2 * 0.5 * 0.5))) AS density FROM kv a JOIN kv b ON a.query = b.query GROUP BY ALL),
@@ -271,7 +295,7 @@ ma AS (SELECT query, vec_id, (1 / density) / sum(1 / density) OVER (PARTITION BY
 
 def neighbours(spark, d):
     v = read_table(spark, d, "embeddings")
-    return B.knn(v.where("vec_id % 50 = 0"), v.where("vec_id % 50 <> 0")), v
+    return B.knn(v.where("vec_id % 100 = 0"), v), v
 
 
 @query("tsds_knn", f"WITH {KNN} SELECT query, vec_id, similarity FROM kn")
@@ -289,23 +313,39 @@ def tsds_uniform(spark, d):
     return B.kde_mass(*neighbours(spark, d), kde=False).select("query", "vec_id", r6("mass").alias("mass"))
 
 
+ALIGNED = """al AS (SELECT query, vec_id, similarity FROM (SELECT *, round(row_number() OVER w * (1 - similarity) - sum(1 - similarity) OVER (w ROWS UNBOUNDED PRECEDING), 9) AS closer
+  FROM kn WINDOW w AS (PARTITION BY query ORDER BY similarity DESC, vec_id)) WHERE closer <= (1 - 0.6) / 0.6 * 1.0)"""
+
+
+@query("tsds_aligned", f"WITH {KNN}, {ALIGNED} SELECT * FROM al")
+def tsds_aligned(spark, d):
+    """Neighbourhoods as wide as the trade between alignment and diversity allows."""
+    return B.aligned(neighbours(spark, d)[0], 0.6).select("query", "vec_id", "similarity")
+
+
 @query(
     "base_tsds",
-    f"""WITH {MASS}, tm AS (SELECT vec_id, round(sum(mass), 6) AS m FROM ma GROUP BY vec_id),
-    ce AS (SELECT vec_id, round((sum(m) OVER (ORDER BY vec_id) - m) / sum(m) OVER (), 9) AS lo, round(sum(m) OVER (ORDER BY vec_id) / sum(m) OVER (), 9) AS hi FROM tm),
-    dr AS (SELECT i AS draw, {uniform_sql('i', 'draw42')} AS u FROM (SELECT unnest(range(100)) AS i)) SELECT draw, vec_id FROM dr JOIN ce ON u >= lo AND u < hi""",
+    f"""WITH {KNN}, {ALIGNED}, {MASS[len(KNN) + 2:].replace("FROM kn JOIN", "FROM al JOIN")}, tm AS (SELECT vec_id, sum(mass) AS m FROM ma GROUP BY vec_id),
+    ce AS (SELECT vec_id, sum(m) OVER (ORDER BY vec_id) - m AS lo, sum(m) OVER (ORDER BY vec_id) AS hi, sum(m) OVER () AS whole FROM tm),
+    dr AS (SELECT i AS draw, ('0x' || substr(md5('draw42:' || i::varchar), 1, 13))::bigint / 4503599627370496.0::double AS u FROM (SELECT unnest(range(100)) AS i)) SELECT draw, vec_id FROM dr JOIN ce ON u * whole >= lo AND u * whole < hi""",
 )
 def base_tsds(spark, d):
-    return B.categorical_draw(B.kde_mass(*neighbours(spark, d)), 100)
+    near, v = neighbours(spark, d)
+    return B.categorical_draw(B.kde_mass(B.aligned(near, 0.6), v), 100)
+
+
+SP = json.loads(RuleBackbone().complete("plan", "", {"request": REQUESTS["R-en"]}))
 
 
 @query(
     "base_single_pass",
-    f"""WITH {FDOC}, f AS (SELECT sample_id, round({share_sql('text', NOISE_SQL)}, 6) AS noise, round({unique_sql('text')}, 6) AS variety, length(output) AS n FROM fdoc)
-    SELECT sample_id, round(variety - noise + least(n / 2000, 1.0), 6) AS score FROM f WHERE noise <= 0.02 AND n >= 15 ORDER BY score DESC, sample_id LIMIT 100""",
+    f"""WITH {FDOC}, f AS (SELECT sample_id, round({share_sql('text', NOISE_SQL)}, 6) AS noise, round({unique_sql('text')}, 6) AS variety, length(output) AS n FROM fdoc WHERE lang = 'en')
+    SELECT sample_id, round({SP['variety']} * variety + {SP['clean']} * (1 - noise) + {SP['length']} * least(n / 2000, 1.0), 6) AS score
+    FROM f WHERE noise <= {SP['max_noise']} AND n >= {SP['min_output']} ORDER BY score DESC, sample_id LIMIT 100""",
 )
 def base_single_pass(spark, d):
-    return B.single_pass(spread_samples(spark, d), 100)
+    """One call for the request on the English pool, one scan."""
+    return B.single_pass(pool_of(spark, d, "SD-1"), 100, SelectionRequest("R-en", REQUESTS["R-en"]), RuleBackbone())
 
 
 @query("embed_arrow")

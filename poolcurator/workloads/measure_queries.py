@@ -87,7 +87,7 @@ def measure_shared_lr(spark, d):
     return S.pick_shared_lr(S.final_epoch(grid(spark, d)))
 
 
-@query("measure_setting_mean", f"WITH {GRID} SELECT setting AS model, lr::varchar AS pool, method, round(avg(score), 2) AS score FROM fin GROUP BY ALL")
+@query("measure_setting_mean", f"WITH {GRID} SELECT setting AS model, lr::varchar AS pool, method, round(round(avg(score), 9), 2) AS score FROM fin GROUP BY ALL")
 def measure_setting_mean(spark, d):
     g = S.final_epoch(grid(spark, d)).select(F.col("setting").alias("model"), F.col("lr").cast("string").alias("pool"), "benchmark", "method", "score")
     return S.setting_mean(g)
@@ -167,7 +167,7 @@ def eval_overlap(spark, d):
     return standin.subset_overlap(random_k(s, 300, 42), random_k(s, 300, 43))
 
 
-@query("eval_diversity", "WITH e AS (SELECT embedding::double[] AS e FROM embeddings), u AS (SELECT i, sum(x / n) AS s FROM (SELECT unnest(range(64)) AS i, unnest(e) AS x, sqrt(list_inner_product(e, e)) AS n FROM e) GROUP BY i) SELECT round((sum(s * s) - 100) / (100 * 99), 6) AS mean_cosine FROM u")
+@query("eval_diversity", "WITH e AS (SELECT embedding::double[] AS e FROM embeddings), u AS (SELECT i, sum(x / n) AS s FROM (SELECT unnest(range(64)) AS i, unnest(e) AS x, sqrt(list_inner_product(e, e)) AS n FROM e) GROUP BY i) SELECT round((sum(s * s) - any_value(n)) / (any_value(n) * (any_value(n) - 1)), 6) AS mean_cosine FROM u, (SELECT count(*) AS n FROM embeddings)")
 def eval_diversity(spark, d):
     return standin.mean_cosine(read_table(spark, d, "embeddings"))
 

@@ -125,10 +125,10 @@ def join_right_outer(spark, d):
     return o.join(customer(spark, d).select("c_custkey"), F.col("o_custkey") == F.col("c_custkey"), "right").select("c_custkey", F.coalesce("n", F.lit(0)).alias("n"))
 
 
-@query("join_full_outer", "SELECT d.doc_id AS a, l.doc_id AS b FROM (SELECT doc_id FROM documents WHERE doc_id % 2 = 0) d FULL JOIN (SELECT doc_id FROM labels WHERE doc_id % 3 = 0) l ON d.doc_id = l.doc_id")
+@query("join_full_outer", "SELECT d.doc_id AS a, l.doc_id AS b FROM (SELECT doc_id FROM documents WHERE lang = 'en') d FULL JOIN (SELECT doc_id FROM labels WHERE quality = 1) l ON d.doc_id = l.doc_id")
 def join_full_outer(spark, d):
-    a = documents(spark, d).where("doc_id % 2 = 0").select(F.col("doc_id").alias("a"))
-    b = labels(spark, d).where("doc_id % 3 = 0").select(F.col("doc_id").alias("b"))
+    a = documents(spark, d).where("lang = 'en'").select(F.col("doc_id").alias("a"))
+    b = labels(spark, d).where("quality = 1").select(F.col("doc_id").alias("b"))
     return a.join(b, F.col("a") == F.col("b"), "full")
 
 
@@ -156,10 +156,10 @@ def join_star(spark, d):
     return j.groupBy("r_name", "n_name").agg(F.round(F.sum("v"), 2).alias("revenue"))
 
 
-@query("join_lateral", r"SELECT doc_id, token, count(*) AS n FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[\p{L}\p{N}]+')[1:50]) AS token FROM documents) GROUP BY ALL")
+@query("join_lateral", r"SELECT doc_id, token, count(*) AS n FROM (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[\p{L}\p{N}]+')) AS token FROM documents) GROUP BY ALL")
 def join_lateral(spark, d):
     documents(spark, d).createOrReplaceTempView("pc_documents")
-    return spark.sql(r"SELECT doc_id, token, count(*) AS n FROM pc_documents, LATERAL explode(slice(regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+', 0), 1, 50)) AS t(token) GROUP BY doc_id, token")
+    return spark.sql(r"SELECT doc_id, token, count(*) AS n FROM pc_documents, LATERAL explode(regexp_extract_all(lower(text), '[\\p{L}\\p{N}]+', 0)) AS t(token) GROUP BY doc_id, token")
 
 
 # ---- aggregation ---------------------------------------------------------------------------------
@@ -403,12 +403,13 @@ def sample_bernoulli(spark, d):
 
 # ---- sets ----------------------------------------------------------------------------------------
 
-A, B = "(SELECT lang, source FROM documents WHERE doc_id % 2 = 0)", "(SELECT lang, source FROM documents WHERE doc_id % 3 = 0)"
+A, B = "(SELECT lang, source FROM documents)", "(SELECT lang, source FROM documents JOIN labels USING (doc_id) WHERE quality = 0)"
 
 
 def halves(spark, d):
+    """All documents, and those labelled as poor."""
     x = documents(spark, d)
-    return x.where("doc_id % 2 = 0").select("lang", "source"), x.where("doc_id % 3 = 0").select("lang", "source")
+    return x.select("lang", "source"), x.join(labels(spark, d).where("quality = 0"), "doc_id").select("lang", "source")
 
 
 def setq(name: str, sql: str, f):
@@ -425,9 +426,9 @@ setq("set_except", "EXCEPT", lambda a, b: a.subtract(b))
 setq("set_except_all", "EXCEPT ALL", lambda a, b: a.exceptAll(b))
 
 
-@query("set_union_by_name", "SELECT doc_id, lang, NULL AS quality FROM documents WHERE doc_id < 50 UNION ALL SELECT doc_id, NULL, quality FROM labels WHERE doc_id < 50")
+@query("set_union_by_name", "SELECT doc_id, lang, NULL AS quality FROM documents UNION ALL SELECT doc_id, NULL, quality FROM labels")
 def set_union_by_name(spark, d):
-    return documents(spark, d).where("doc_id < 50").select("doc_id", "lang").unionByName(labels(spark, d).where("doc_id < 50").select("quality", "doc_id"), allowMissingColumns=True)
+    return documents(spark, d).select("doc_id", "lang").unionByName(labels(spark, d).select("quality", "doc_id"), allowMissingColumns=True)
 
 
 # ---- subqueries ----------------------------------------------------------------------------------

@@ -12,7 +12,7 @@ from pyspark.sql.functions import udtf
 
 from poolcurator.functions import text as X
 from poolcurator.registry import query
-from poolcurator.workloads.common import NOISE_SQL, r6, read_table, share_sql, tokens_sql
+from poolcurator.workloads.common import FDOC, NOISE_SQL, r6, read_table, share_sql, tokens_sql
 
 
 def docs(spark, d):
@@ -30,14 +30,14 @@ def str_split_join(spark, d):
     return read_table(spark, d, "part").select("p_partkey", F.split_part("p_name", F.lit(" "), F.lit(1)).alias("first"), F.array_join(parts, "-").alias("joined"), F.size(parts).alias("n"))
 
 
-@query("str_regex", "SELECT doc_id, regexp_extract(text, '([A-Za-z]+)', 1) AS word, regexp_replace(substr(text, 1, 40), '[aeiou]', '_', 'g') AS masked, len(regexp_extract_all(text, '[0-9]+')) AS numbers FROM documents")
+@query("str_regex", "SELECT doc_id, regexp_extract(text, '([A-Za-z]+)', 1) AS word, md5(regexp_replace(text, '[aeiou]', '_', 'g')) AS masked, len(regexp_extract_all(text, '[0-9]+')) AS numbers FROM documents")
 def str_regex(spark, d):
-    return docs(spark, d).select("doc_id", F.regexp_extract("text", "([A-Za-z]+)", 1).alias("word"), F.regexp_replace(F.substring("text", 1, 40), "[aeiou]", "_").alias("masked"), F.regexp_count("text", F.lit("[0-9]+")).cast("long").alias("numbers"))
+    return docs(spark, d).select("doc_id", F.regexp_extract("text", "([A-Za-z]+)", 1).alias("word"), F.md5(F.regexp_replace("text", "[aeiou]", "_")).alias("masked"), F.regexp_count("text", F.lit("[0-9]+")).cast("long").alias("numbers"))
 
 
-@query("str_hash", "SELECT doc_id, md5(text) AS m, sha256(text) AS s, to_base64(encode(substr(text, 1, 6))) AS b FROM documents")
+@query("str_hash", "SELECT doc_id, md5(text) AS m, sha256(text) AS s, md5(to_base64(encode(text))) AS b FROM documents")
 def str_hash(spark, d):
-    return docs(spark, d).select("doc_id", F.md5("text").alias("m"), F.sha2("text", 256).alias("s"), F.base64(F.encode(F.substring("text", 1, 6), "UTF-8")).alias("b"))
+    return docs(spark, d).select("doc_id", F.md5("text").alias("m"), F.sha2("text", 256).alias("s"), F.md5(F.translate(F.base64(F.encode("text", "UTF-8")), "\r\n", "")).alias("b"))
 
 
 @query("str_distance", "SELECT n_nationkey, levenshtein(n_name, 'FRANCE')::int AS d FROM nation")
@@ -86,12 +86,12 @@ def arr_hof(spark, d):
     return read_table(spark, d, "embeddings").select("vec_id", F.size(F.filter(e, lambda x: x > 0)).alias("positive"), r6(X.dot(e, e)).alias("energy"), F.exists(e, lambda x: x > 0.3).alias("large"))
 
 
-TWO = f"two AS (SELECT doc_id, list_distinct({tokens_sql('substr(text, 1, 80)')}) AS a, list_distinct({tokens_sql('substr(text, 60, 80)')}) AS b FROM documents)"
+TWO = f"{FDOC}, two AS (SELECT sample_id AS doc_id, list_distinct({tokens_sql('instruction')}) AS a, list_distinct({tokens_sql('output')}) AS b FROM fdoc)"
 
 
 @query("arr_sets", f"WITH {TWO} SELECT doc_id, list_sort(list_intersect(a, b)) AS i, list_sort(list_filter(a, lambda x: NOT list_contains(b, x))) AS e, len(list_distinct(list_concat(a, b)))::int AS u, list_has_any(a, b) AS o FROM two")
 def arr_sets(spark, d):
-    t = docs(spark, d).select("doc_id", F.array_distinct(X.tokens(F.substring("text", 1, 80))).alias("a"), F.array_distinct(X.tokens(F.substring("text", 60, 80))).alias("b"))
+    t = docs(spark, d).select("doc_id", F.array_distinct(X.tokens(X.lead_line("text"))).alias("a"), F.array_distinct(X.tokens(X.rest_lines("text"))).alias("b"))
     return t.select("doc_id", F.sort_array(F.array_intersect("a", "b")).alias("i"), F.sort_array(F.array_except("a", "b")).alias("e"), F.size(F.array_union("a", "b")).alias("u"), F.arrays_overlap("a", "b").alias("o"))
 
 
