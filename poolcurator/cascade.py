@@ -25,6 +25,7 @@ class CascadeResult:
     survivors: dict[int, DataFrame]
     configs: dict[str, object] = field(default_factory=dict)
     ledger: CostLedger = field(default_factory=CostLedger)
+    scores: dict[int, DataFrame] = field(default_factory=dict)
     tables: list[DataFrame] = field(default_factory=list)
 
     def funnel(self) -> list[tuple[int, int]]:
@@ -47,12 +48,14 @@ def run_cascade(
     key: str = "sample_id",
     optimizer: str = "adamw",
     ledger: CostLedger | None = None,
+    labelled: domain.Labelled | None = None,
 ) -> CascadeResult:
     """The best k samples for the request; stages may be any sub-sequence, also in another order.
 
     What a stage keeps is written to the shared folder before the next one looks at it, so no plan is longer
     than a stage, texts are filtered once, and the next stage reads only the columns it needs. `judge` makes the
-    judge for a rubric; without one the offline judge scores natively and costs nothing.
+    judge for a rubric; without one the offline judge scores natively and costs nothing. `labelled` are clusters of
+    the pool that an earlier run has named.
     """
     backbone = backbone or RuleBackbone(temperature=cfg.temperature)
     ledger = ledger or CostLedger()
@@ -62,12 +65,12 @@ def run_cascade(
         tables.append(durable(df, name))
         return tables[-1]
 
-    now, survivors, configs = pool, {0: pool}, {}
+    now, survivors, configs, scored = pool, {0: pool}, {}, {}
     scores: DataFrame | None = None
     ranked = False
     for stage in stages:
         if stage == 1:
-            now = domain.select_domain(now, request, backbone, cfg, key, ledger)
+            now = domain.select_domain(now, request, backbone, cfg, key, ledger, labelled)
             if now is not pool:
                 now = keep(now, "domain")
         elif stage == 2:
@@ -100,12 +103,14 @@ def run_cascade(
             scores = keep(best.select(key, F.col("q").alias("score")), "best")
             now, ranked = rehydrate(now, scores, key), True
         survivors[stage] = now
+        if stage > 2:
+            scored[stage] = scores
     if not ranked:
         now = random_k(now, cfg.k, cfg.seed, key)
         scores = now.select(key, F.lit(None).cast("double").alias("score"))
     best = with_rank(top_k(scores, "score", cfg.k, key), "score", cfg.k, key)
     selected = keep(best.select(F.col(key), F.lit(stages[-1]).alias("stage"), "score", "rank"), "selected")
-    return CascadeResult(selected, survivors, configs, ledger, tables)
+    return CascadeResult(selected, survivors, configs, ledger, scored, tables)
 
 
 def select_subset(pool: DataFrame, request: SelectionRequest, target, cfg: CascadeConfig = CascadeConfig(), backbone: Backbone | None = None) -> CascadeResult:

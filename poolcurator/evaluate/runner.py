@@ -2,15 +2,24 @@
 
 from __future__ import annotations
 
+from decimal import Decimal
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from poolcurator.backbone.core import CostLedger
+from poolcurator.backbone.rules import RuleBackbone
 from poolcurator.baselines import selectors as B
 from poolcurator.cascade import run_cascade
 from poolcurator.config import CascadeConfig, SelectionRequest, budget_for
-from poolcurator.operators.topk import random_k, rehydrate
-from poolcurator.sources.adapters import pool_of
-from poolcurator.stages.domain import select_domain
+from poolcurator.functions import text as X
+from poolcurator.operators.embed import embed
+from poolcurator.operators.topk import random_k, top_k
+from poolcurator.sources.adapters import pool_of, read_table
+from poolcurator.sources.files import durable
+from poolcurator.stages import quality
+from poolcurator.stages.domain import labelled_clusters, select_domain
 from poolcurator.target.ngram import BigramTarget, PromptCacheTarget, UnigramTarget
 
 #: Requests in our own words, by id.
@@ -26,6 +35,9 @@ REQUESTS = {
 SINGLE = (("SD-1", "R-en"), ("SD-2", "R-en"), ("SD-3", "R-fr"), ("SD-4", "R-fr"), ("SD-5", "R-chat"), ("SD-6", "R-chat"))
 MULTI = (("MD-1", "R-mix-en"), ("MD-1", "R-mix-de"), ("MD-1", "R-mix-es"), ("MD-2", "R-mix-en"), ("MD-2", "R-mix-de"))
 TARGETS = ("unigram", "bigram", "cache")
+DEPTHS = (("SD-1", "R-en"), ("SD-2", "R-en"), ("SD-3", "R-fr"), ("SD-5", "R-chat"))
+#: Target examples of a multi-domain comparator.
+EXAMPLES = 100
 
 #: Licences by source, as a table to filter on.
 LICENCES = {f"src{i}": ("apache-2.0", "mit", "cc-by-4.0", "cc-by-nc-4.0", "unknown")[i % 5] for i in range(20)}
@@ -58,76 +70,152 @@ def config(pool: DataFrame, **changes) -> CascadeConfig:
     return CascadeConfig(k=budget_for(pool.count()), **changes)
 
 
-def cascade(spark: SparkSession, sf_dir: str, pool_name: str, request_name: str, target: str = "bigram", stages=(1, 2, 3, 4), **changes):
+def cascade(spark: SparkSession, sf_dir: str, pool_name: str, request_name: str, target: str = "bigram", stages=(1, 2, 3, 4), judge=None, ledger=None, **changes):
     pool = pool_of(spark, sf_dir, pool_name)
-    return run_cascade(pool, request(request_name), target_for(spark, sf_dir, target), config(pool, **changes), stages=stages)
+    return run_cascade(pool, request(request_name), target_for(spark, sf_dir, target), config(pool, **changes), stages=stages, judge=judge, ledger=ledger)
 
 
-def depths(spark: SparkSession, sf_dir: str, pool_name: str = "SD-1", request_name: str = "R-en") -> DataFrame:
-    """(depth, sample_id): the subsets after stages 2, 2-3 and 2-4."""
-    out = None
-    for stages in ((2,), (2, 3), (2, 3, 4)):
-        s = cascade(spark, sf_dir, pool_name, request_name, stages=stages).selected.select(F.lit("+".join(map(str, stages))).alias("depth"), "sample_id")
-        out = s if out is None else out.unionByName(s)
-    return out
+def methods(rows: list[tuple[str, DataFrame]]) -> DataFrame:
+    """(method, sample_id) of named subsets."""
+    return reduce(DataFrame.unionByName, [df.select(F.lit(name).alias("method"), "sample_id") for name, df in rows])
 
 
-def stage1_then_ifd(spark: SparkSession, sf_dir: str, pool_name: str = "MD-1", request_name: str = "R-mix-en") -> DataFrame:
-    """The difficulty score on the first stage's output."""
-    from poolcurator.backbone.rules import RuleBackbone
+def picked(spark: SparkSession, ids: list[int]) -> DataFrame:
+    return spark.createDataFrame([(i,) for i in ids], "sample_id long")
 
+
+def depths(spark: SparkSession, sf_dir: str, pool_name: str = "SD-1", request_name: str = "R-en", target: str = "bigram") -> DataFrame:
+    """(method, sample_id): what the cascade would select if it ended after stage 2, 3 or 4; one run knows all three."""
     pool = pool_of(spark, sf_dir, pool_name)
     cfg = config(pool)
-    kept = select_domain(pool, request(request_name), RuleBackbone(), cfg)
-    return B.ifd_top_k(kept, proxy_for(spark, sf_dir), cfg.k)
+    r = run_cascade(pool, request(request_name), target_for(spark, sf_dir, target), cfg, stages=(2, 3, 4))
+    return methods([("2", random_k(r.survivors[2], cfg.k, cfg.seed)), ("2+3", top_k(r.scores[3], "score", cfg.k)), ("2+3+4", r.selected)])
 
 
-def compare(spark: SparkSession, sf_dir: str, pool_name: str, request_name: str, target: str = "bigram") -> DataFrame:
-    """(method, sample_id): every comparator's subset at the same budget, single-domain."""
-    pool = pool_of(spark, sf_dir, pool_name).persist()
+def stage1_then_ifd(spark: SparkSession, sf_dir: str, pool_name: str = "MD-1", request_name: str = "R-mix-en", labelled=None) -> DataFrame:
+    """The difficulty score on the first stage's output."""
+    pool = pool_of(spark, sf_dir, pool_name)
     cfg = config(pool)
-    k, proxy = cfg.k, proxy_for(spark, sf_dir)
-    out = pool.select(F.lit("full_pool").alias("method"), "sample_id")
+    kept = select_domain(pool, request(request_name), RuleBackbone(), cfg, labelled=labelled)
+    return B.ifd_top_k(kept, proxy_for(spark, sf_dir), cfg.k)
 
-    def add(name: str, df: DataFrame) -> None:
-        nonlocal out
-        out = out.unionByName(df.select(F.lit(name).alias("method"), "sample_id"))
 
-    add("random", random_k(pool, k))
-    add("ifd", B.ifd_top_k(pool, proxy, k))
-    add("single_pass", B.single_pass(pool, k, request(request_name), RuleBackbone()))
-    tokens = B.rating_probabilities(pool).select("sample_id", "prompt_id", "model", B.selectit_token().alias("token"))
-    add("selectit", B.selectit_model(B.selectit_sentence(tokens), {"7B": 7.0, "13B": 13.0}).orderBy(F.desc("score"), "sample_id").limit(k))
-    add("cascade", cascade(spark, sf_dir, pool_name, request_name, target, stages=(2, 3, 4)).selected)
-    return out
+def tags_of(pool: DataFrame) -> DataFrame:
+    """(sample_id, tag, quality): language and source as tags, with a seeded stand-in for the tagger's quality."""
+    tags = F.array_compact(F.array("lang", "source"))
+    return pool.select("sample_id", F.explode(F.when(F.size(tags) > 0, tags).otherwise(F.array("pool"))).alias("tag"), X.seeded_uniform("sample_id", "tagq").alias("quality"))
 
 
-def label_report(subsets: DataFrame, labels: DataFrame) -> DataFrame:
-    """(method, n, labelled, quality, toxic) of every subset."""
-    j = subsets.join(labels.select(F.col("doc_id").alias("sample_id"), "quality", "toxic"), "sample_id", "left")
-    return j.groupBy("method").agg(F.count(F.lit(1)).alias("n"), F.count("quality").alias("labelled"), F.round(F.avg("quality"), 4).alias("quality"), F.round(F.avg("toxic"), 4).alias("toxic"))
+def text_rankers(pool: DataFrame, labels: DataFrame) -> DataFrame:
+    """(sample_id, complexity, quality) of the two distilled rankers: difficulty from rollouts of half the pool, quality from labels.
+
+    A pool without labels of its own, such as chats, takes its cleanness for quality.
+    """
+    u = X.seeded_uniform(F.concat_ws("|", F.col("sample_id").cast("string"), F.col("t").cast("string")), "rollout")
+    f = durable(pool.select("sample_id", F.length("text").alias("n"), F.log1p(F.length("text")).alias("size"), X.unique_share("text").alias("variety"), X.share_of("text", X.noise_class()).alias("noise"), X.share_of("text", "[A-Z]").alias("upper")), "ranker-features")
+    solved = f.select("sample_id", "n", F.explode(F.sequence(F.lit(0), F.lit(7))).alias("t")).select("sample_id", (u < 1.0 / (1 + F.col("n") / 2000.0)).alias("correct"))
+    half = F.pmod(F.xxhash64("sample_id"), F.lit(2)) == 0  # the rest gets its difficulty from the fit
+    known = B.solve_rate(solved).where(half).select("sample_id", (1 - F.col("rate")).alias("difficulty"))
+    rows = f.join(known, "sample_id", "left").join(labels.select(F.col("doc_id").alias("sample_id"), F.col("quality").cast("double").alias("label")), "sample_id", "left")
+    spread = B.fit_difficulty(rows, ("size", "variety"))(rows).withColumnRenamed("prediction", "complexity")
+    if rows.where("label IS NOT NULL").select(F.count_distinct("label")).first()[0] < 2:
+        return spread.select("sample_id", "complexity", (1 - F.col("noise")).alias("quality"))
+    rank = B.fit_ranker(spread.where("label IS NOT NULL"), ("variety", "noise", "upper"))
+    return rank(spread).select("sample_id", "complexity", F.col("p").alias("quality"))
+
+
+def pool_labels(spark: SparkSession, sf_dir: str, pool_name: str) -> DataFrame:
+    """Labels of the pool's samples; chats have none, and their ids are no document's."""
+    labels = read_table(spark, sf_dir, "labels")
+    return labels.limit(0) if pool_name in ("SD-5", "SD-6") else labels
+
 
+def compare(spark: SparkSession, sf_dir: str, pool_name: str, request_name: str, targets: tuple[str, ...] = ("bigram",)) -> DataFrame:
+    """(target, method, sample_id): every single-domain comparator's subset and the cascade's at the same budget.
 
-def stage1_ablation(spark: SparkSession, sf_dir: str, request_name: str = "R-mix-de", lang: str = "de") -> DataFrame:
-    """(method, n, precision): language precision of a tag prefilter, the first stage + IFD, and the whole cascade."""
-    pool = pool_of(spark, sf_dir, "MD-1").persist()
+    Comparators that ask no target are run once and stand in every target's rows.
+    """
+    pool = durable(pool_of(spark, sf_dir, pool_name), "pool")
     cfg = config(pool)
-    proxy = proxy_for(spark, sf_dir)
-    sets = {
-        "tag": B.tag_then_ifd(pool, proxy, [lang], cfg.k).select("sample_id"),
-        "stage1_ifd": stage1_then_ifd(spark, sf_dir, "MD-1", request_name).select("sample_id"),
-        "cascade": cascade(spark, sf_dir, "MD-1", request_name).selected.select("sample_id"),
-    }
-    out = None
-    for name, ids in sets.items():
-        row = rehydrate(pool, ids).agg(F.lit(name).alias("method"), F.count(F.lit(1)).alias("n"), F.round(F.avg((F.col("lang") == lang).cast("double")), 4).alias("precision"))
-        out = row if out is None else out.unionByName(row)
+    k, proxy, tags = cfg.k, proxy_for(spark, sf_dir), tags_of(pool)
+    tokens = B.rating_probabilities(pool).select("sample_id", "prompt_id", "model", B.selectit_token().alias("token"))
+    rated = B.selectit_model(B.selectit_sentence(tokens), {"7B": 7.0, "13B": 13.0}).withColumn("score", F.round("score", 6))
+    ranks = durable(text_rankers(pool, pool_labels(spark, sf_dir, pool_name)), "rankers")
+    joint = pool.select("sample_id", B.effective_length().alias("length")).join(ranks.select("sample_id", F.round("complexity", 6).alias("difficulty")), "sample_id")
+    common = durable(
+        methods(
+            [
+                ("full_pool", B.full_pool(pool)),
+                ("random", random_k(pool, k)),
+                ("ifd", B.ifd_top_k(pool, proxy, k)),
+                ("rating", top_k(rated, "score", k)),
+                ("tag_gain", picked(spark, [i for i, _ in B.mig_greedy(tags, B.tag_edges(tags), k)])),
+                ("joint_rank", B.joint_rank(joint, k)),
+                ("single_pass", B.single_pass(pool, k, request(request_name), RuleBackbone())),
+            ]
+        ),
+        "common",
+    )
+    out = []
+    for name in targets:
+        target = target_for(spark, sf_dir, name)
+        own = [("diverse_score", picked(spark, B.deft(pool, target, ranks, k))), ("cascade", run_cascade(pool, request(request_name), target, cfg).selected)]
+        out.append(common.unionByName(methods(own)).select(F.lit(name).alias("target"), "method", "sample_id"))
+    return reduce(DataFrame.unionByName, out)
+
+
+def compare_multi(spark: SparkSession, sf_dir: str, pool_name: str, requests: tuple[str, ...], target: str = "bigram") -> DataFrame:
+    """(request, method, sample_id): the multi-domain comparators and the cascade for each request; clusters are named once."""
+    pool = durable(pool_of(spark, sf_dir, pool_name), "pool")
+    cfg, model, proxy = config(pool), target_for(spark, sf_dir, target), proxy_for(spark, sf_dir)
+    k, labelled = cfg.k, labelled_clusters(pool, RuleBackbone(), cfg)
+    vectors = durable(embed(pool.select(F.col("sample_id").alias("vec_id"), "text")).select("vec_id", "embedding"), "vectors")
+    out = []
+    for name in requests:
+        lang = RuleBackbone.wanted(REQUESTS[name])[0]
+        # The target examples: a seeded draw of the benchmark's size from the wanted language.
+        examples = durable(random_k(pool.where(F.col("lang") == lang), EXAMPLES), "examples")
+        near = B.aligned(B.knn(vectors.join(examples.select(F.col("sample_id").alias("vec_id")), "vec_id", "left_semi"), vectors), 0.6)
+        drawn = B.categorical_draw(B.kde_mass(near, vectors), k).select(F.col("vec_id").alias("sample_id"))
+        kept = select_domain(pool, request(name), RuleBackbone(), cfg, labelled=labelled)
+        sets = [
+            ("tag_ifd", B.tag_then_ifd(pool, proxy, [lang], k)),
+            ("sim_ifd", B.sim_then_ifd(pool, B.text_similarity(pool, examples, reference_key="sample_id"), proxy, cfg.k_star, k)),
+            ("resampling", B.dsir(pool, examples, k, target_key="sample_id")),
+            ("transport", drawn),
+            ("single_pass", B.single_pass(pool, k, request(name), RuleBackbone())),
+            ("stage1_ifd", B.ifd_top_k(kept, proxy, k)),
+            ("cascade", run_cascade(pool, request(name), model, cfg, labelled=labelled).selected),
+        ]
+        out.append(durable(methods(sets).select(F.lit(name).alias("request"), "method", "sample_id"), "subsets"))
+    return reduce(DataFrame.unionByName, out)
+
+
+def precision_report(subsets: DataFrame, pool: DataFrame) -> DataFrame:
+    """(request, method, n, precision): the share of each subset in the wanted language; repeated draws count."""
+    wanted = F.create_map(*[F.lit(x) for name in REQUESTS for x in (name, (RuleBackbone.wanted(REQUESTS[name]) or [""])[0])])
+    j = subsets.join(pool.select("sample_id", "lang"), "sample_id")
+    return j.groupBy("request", "method").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg((F.col("lang").eqNullSafe(wanted[F.col("request")])).cast("double")), 4).alias("precision"))
+
+
+def label_report(subsets: DataFrame, labels: DataFrame, by: tuple[str, ...] = ("method",)) -> DataFrame:
+    """(*by, n, labelled, quality, toxic) of every subset."""
+    j = subsets.join(labels.select(F.col("doc_id").alias("sample_id"), "quality", "toxic"), "sample_id", "left")
+    return j.groupBy(*by).agg(F.count(F.lit(1)).alias("n"), F.count("quality").alias("labelled"), F.round(F.avg("quality"), 4).alias("quality"), F.round(F.avg("toxic"), 4).alias("toxic"))
+
+
+def costs(spark: SparkSession, sf_dir: str, price_in: Decimal = Decimal(5), price_out: Decimal = Decimal(25)) -> list[tuple]:
+    """Ledger rows of a single-domain and a multi-domain run whose judge is a callable that is paid by the token; prices are dollars per million."""
+    out = []
+    for run, pool_name, request_name in (("single", "SD-1", "R-en"), ("multi", "MD-1", "R-mix-en")):
+        ledger = CostLedger(run, price_in, price_out)
+        cascade(spark, sf_dir, pool_name, request_name, judge=lambda rubric: quality.rule_judge(list(rubric.weights)), ledger=ledger)
+        out += ledger.table()
     return out
 
 
 def weight_allocations(spark: SparkSession) -> DataFrame:
     """(request, loss, entropy, drift, mean_diff) of the rule backbone for every request."""
-    from poolcurator.backbone.rules import RuleBackbone
     from poolcurator.stages.informativeness import propose_weights
 
     rows = [(name, *propose_weights(request(name), {}, RuleBackbone()).to_dict().values()) for name in REQUESTS]

@@ -10,6 +10,7 @@ from poolcurator.config import CascadeConfig, ConfigRejected, SelectionRequest
 from poolcurator.operators import cluster
 from poolcurator.operators.embed import embed
 from poolcurator.operators.topk import per_group
+from poolcurator.sources.files import durable
 
 CUES = {"single": ("single-domain", "is all"), "multi": ("multi-domain", "mixes", "mixed")}
 
@@ -34,7 +35,7 @@ def decide_mode(request: SelectionRequest, backbone: Backbone | None = None, cue
 def cluster_pool(pool: DataFrame, cfg: CascadeConfig = CascadeConfig(), key: str = "sample_id") -> DataFrame:
     """(key, cluster_id) by the clusterer that fits the pool's size."""
     vectors = pool if "embedding" in pool.columns else embed(pool.select(key, "text"))
-    vectors = vectors.select(key, "embedding").persist()
+    vectors = durable(vectors.select(key, "embedding"), "vectors")
     if cluster.choose_clusterer(vectors.count(), cfg.n_c) == "hdbscan":
         return cluster.hdbscan(vectors, cfg.min_cluster_size, cfg.min_samples, cfg.noise_policy, key)
     return cluster.kmeans(vectors, cfg.k_c, cfg.n_init, cfg.max_iter, cfg.seed, key).select(key, "cluster_id")
@@ -73,10 +74,18 @@ def keep_clusters(pool: DataFrame, assigned: DataFrame, ids: list[int], key: str
     return pool.join(assigned.where(F.col("cluster_id").isin(ids)).select(key), key, "left_semi")
 
 
-def select_domain(pool: DataFrame, request: SelectionRequest, backbone: Backbone, cfg: CascadeConfig = CascadeConfig(), key: str = "sample_id", ledger: CostLedger | None = None) -> DataFrame:
+Labelled = tuple[DataFrame, list[tuple[int, list[str]]]]
+
+
+def labelled_clusters(pool: DataFrame, backbone: Backbone, cfg: CascadeConfig = CascadeConfig(), key: str = "sample_id", ledger: CostLedger | None = None) -> Labelled:
+    """The pool's clusters and their names, which know no request and so serve all of them."""
+    assigned = durable(cluster_pool(pool, cfg, key), "clusters")
+    return assigned, label_clusters(assigned, pool, backbone, cfg, key, ledger)
+
+
+def select_domain(pool: DataFrame, request: SelectionRequest, backbone: Backbone, cfg: CascadeConfig = CascadeConfig(), key: str = "sample_id", ledger: CostLedger | None = None, labelled: Labelled | None = None) -> DataFrame:
     """The pool itself when it holds one field; else the union of the clusters that match."""
     if decide_mode(request, backbone, ledger=ledger) == "single":
         return pool
-    assigned = cluster_pool(pool, cfg, key).persist()
-    labels = label_clusters(assigned, pool, backbone, cfg, key, ledger)
+    assigned, labels = labelled or labelled_clusters(pool, backbone, cfg, key, ledger)
     return keep_clusters(pool, assigned, match_clusters(request, labels, backbone, cfg, ledger), key)

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from poolcurator.evaluate import runner as R
 from poolcurator.registry import query
 from poolcurator.workloads.cascade_sql import cascade_sql, funnel_sql
-from poolcurator.workloads.common import read_table
+from poolcurator.workloads.common import pool_of, read_table
 
 
 EN = "SELECT * FROM fdoc WHERE lang = 'en'"
@@ -16,11 +16,11 @@ CHAT = """SELECT conv_id * 1000 + turn AS sample_id, text AS instruction, said A
   FROM (SELECT *, lead(role) OVER w AS next_role, lead(text) OVER w AS said FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND next_role = 'assistant'"""
 
 
-def cascade_query(name: str, pool: str, request: str, stages=(1, 2, 3, 4), target: str = "bigram", rows: str | None = None):
+def cascade_query(name: str, pool: str, request: str, stages=(1, 2, 3, 4), target: str = "bigram", rows: str | None = None, **changes):
     """Registers a run; with the pool's rows in SQL also its twin."""
 
     def run(spark, d):
-        out = R.cascade(spark, d, pool, request, target, stages).selected
+        out = R.cascade(spark, d, pool, request, target, stages, **changes).selected
         return out.select("sample_id", "stage", F.round("score", 4).alias("score"), "rank")
 
     query(name, cascade_sql(rows, R.REQUESTS[request], stages, target) if rows else None)(run)
@@ -31,6 +31,7 @@ cascade_query("cascade_depth2", "SD-1", "R-en", (2,), rows=EN)
 cascade_query("cascade_depth23", "SD-1", "R-en", (2, 3), rows=EN)
 cascade_query("cascade_depth234", "SD-1", "R-en", (2, 3, 4), rows=EN)
 cascade_query("cascade_multi", "MD-1", "R-mix-de")
+cascade_query("cascade_multi_kmeans", "MD-1", "R-mix-de", n_c=500)
 cascade_query("cascade_chat", "SD-5", "R-chat", rows=CHAT)
 cascade_query("cascade_unigram", "SD-3", "R-fr", (2, 3, 4), "unigram", FR)
 cascade_query("cascade_bigram_fr", "SD-3", "R-fr", (2, 3, 4), "bigram", FR)
@@ -49,20 +50,39 @@ def ifd_stage1(spark, d):
     return R.stage1_then_ifd(spark, d)
 
 
-@query("experiment_compare")
-def experiment_compare(spark, d):
-    """Quality and toxic labels of every comparator's subset of one pool."""
-    return R.label_report(R.compare(spark, d, "SD-1", "R-en"), read_table(spark, d, "labels"))
+def single_grid(pool: str, request: str):
+    """Registers the comparison on one pool for all three targets: a third of the pool's share of the 18 settings each."""
 
+    @query(f"experiment_{pool.lower().replace('-', '')}")
+    def run(spark, d):
+        return R.label_report(R.compare(spark, d, pool, request, R.TARGETS), R.pool_labels(spark, d, pool), ("target", "method"))
 
-@query("experiment_depths")
-def experiment_depths(spark, d):
-    return R.label_report(R.depths(spark, d).withColumnRenamed("depth", "method"), read_table(spark, d, "labels"))
 
+for _pool, _request in R.SINGLE:
+    single_grid(_pool, _request)
+
+
+def multi_grid(pool: str):
+    """Registers the multi-domain comparison on one pool, a row per request and method; its rows are the stage-1 ablation too."""
+
+    @query(f"experiment_{pool.lower().replace('-', '')}")
+    def run(spark, d):
+        requests = tuple(r for p, r in R.MULTI if p == pool)
+        return R.precision_report(R.compare_multi(spark, d, pool, requests), pool_of(spark, d, pool))
+
+
+for _pool in dict.fromkeys(p for p, _ in R.MULTI):
+    multi_grid(_pool)
 
-@query("experiment_stage1")
-def experiment_stage1(spark, d):
-    return R.stage1_ablation(spark, d)
+
+@query("experiment_depths")
+def experiment_depths(spark, d):
+    """Quality and toxic labels of the subsets after stages 2, 2-3 and 2-4 on four pools."""
+    out = None
+    for pool, name in R.DEPTHS:
+        r = R.label_report(R.depths(spark, d, pool, name), R.pool_labels(spark, d, pool)).withColumn("pool", F.lit(pool))
+        out = r if out is None else out.unionByName(r)
+    return out
 
 
 @query("experiment_weights")
@@ -79,8 +99,7 @@ def experiment_licences(spark, d):
 
 @query("cost_ledger")
 def cost_ledger(spark, d):
-    """Calls and tokens of one multi-domain run."""
+    """Calls, tokens and dollars of a single-domain and a multi-domain run, the judge's calls included."""
     from poolcurator import schema
 
-    ledger = R.cascade(spark, d, "MD-1", "R-mix-en").ledger
-    return spark.createDataFrame(ledger.table(), schema.LEDGER)
+    return spark.createDataFrame(R.costs(spark, d), schema.LEDGER)
