@@ -1,6 +1,6 @@
 """DuckDB SQL for the queries that SQL can express."""
 
-from poolcurator.llm import licenses
+from poolcurator.llm import licenses, url_filter
 
 OP2 = r"""
 WITH d AS (SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS body FROM documents)
@@ -51,5 +51,38 @@ FROM d LEFT JOIN spans USING (key) GROUP BY key, doc_id
 """
 
 
+def op6() -> str:
+    """Rules, labels and posteriors level by level; rules, words and suffixes are the operator's own lists."""
+    order = sorted(url_filter.RULES, key=lambda r: (len(r[0]) + len(r[1]), r), reverse=True)
+    fits = [(f"(host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}')", h + p, v) for h, p, v in order]
+    case = lambda n: "CASE " + " ".join(f"WHEN {f[0]} THEN '{f[n]}'" for f in fits) + " END"
+    lower = f"translate({{}}, '{url_filter.UPPER}', '{url_filter.LOWER}')"
+    words = "|".join(url_filter.BAD_WORDS)
+    long = "array_to_string(l[-2:], '.') IN (" + ", ".join(f"'{x}'" for x in url_filter.LONG_SUFFIXES) + ")"
+
+    def strength(table: str, n: str, bad: str, m: str) -> str:
+        v, b = f"sum({n} * ({bad} / {n} - {m}) * ({bad} / {n} - {m}))", f"sum({n} * {m} * (1 - {m}))"
+        return f"(SELECT CASE WHEN coalesce({v}, 0) = 0 THEN {url_filter.STRONGEST} ELSE greatest({url_filter.WEAKEST}, least({url_filter.STRONGEST}, {b} / {v} - 1)) END AS s FROM {table} WHERE {n} > 0)"
+
+    return f"""
+WITH a AS (SELECT page_id, coalesce(url, '') AS u, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+b AS (SELECT *, regexp_extract(rest, '^[^/?#]*') AS h FROM a),
+c AS (SELECT page_id, u, {lower.format("h")} AS host, CASE WHEN substr(rest, length(h) + 1, 1) = '/' THEN regexp_extract(substr(rest, length(h) + 1), '^[^?#]*') ELSE '' END AS path FROM b),
+r AS (SELECT *, {case(1)} AS rule, {case(2)} AS ruled, regexp_matches({lower.format("u")}, '(?:^|[^a-z0-9])(?:{words})(?:[^a-z0-9]|$)') AS named FROM c),
+o AS (SELECT host, string_split(host, '.') AS l, count(*) AS n, count(*) FILTER (named OR coalesce(ruled = 'block', false)) AS bad FROM r GROUP BY host),
+hs AS (SELECT host, n, bad, array_to_string(CASE WHEN {long} THEN l[-3:] ELSE l[-2:] END, '.') AS domain, array_to_string(CASE WHEN {long} THEN l[-2:] ELSE l[-1:] END, '.') AS suffix FROM o),
+ds AS (SELECT suffix, domain, sum(n) AS n, sum(bad) AS bad FROM hs GROUP BY ALL),
+ss AS (SELECT suffix, sum(n) AS n, sum(bad) AS bad, (SELECT sum(bad) / sum(n) FROM ds) AS m FROM ds GROUP BY suffix),
+sp AS (SELECT suffix, (bad + s * m) / (n + s) AS m FROM ss, {strength("ss", "n", "bad", "m")}),
+dm AS (SELECT ds.*, m FROM ds JOIN sp USING (suffix)),
+dp AS (SELECT suffix, domain, (bad + s * m) / (n + s) AS m FROM dm, {strength("dm", "n", "bad", "m")}),
+hm AS (SELECT hs.*, m FROM hs JOIN dp USING (suffix, domain)),
+hp AS (SELECT host, (bad + s * m) / (n + s) AS p, n + s + 1 AS w FROM hm, {strength("hm", "n", "bad", "m")}),
+q AS (SELECT host, p, greatest(0.0, p - {url_filter.Z} * sqrt(p * (1 - p) / w)) AS bound FROM hp)
+SELECT page_id, host, path, rule, coalesce(ruled, CASE WHEN bound > {url_filter.BLOCK_ABOVE} THEN 'block' ELSE 'allow' END) AS verdict, round(p, 6) AS reputation, round(bound, 6) AS lower_bound
+FROM r JOIN q USING (host)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_exact_dedup": OP2, "op3_licenses": op3(), "op10_decontamination": OP10}
+    return {"op2_exact_dedup": OP2, "op3_licenses": op3(), "op6_url_filter": op6(), "op10_decontamination": OP10}
