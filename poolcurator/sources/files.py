@@ -40,8 +40,18 @@ def drop_durable(df: DataFrame) -> None:
     shared = shared_folder(spark).split("://")[-1]
     for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
         if shared in folder:  # never a table of the caller's
-            target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
-            target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+            drop_folder(spark, folder)
+
+
+def drop_folder(spark: SparkSession, path: str) -> None:
+    target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+
+
+def write_bucketed(df: DataFrame, table: str, key: str, buckets: int) -> DataFrame:
+    """df as a table bucketed and sorted by key: joins and aggregates of such tables on the key need no shuffle."""
+    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+    return df.sparkSession.table(table)
 
 
 def round_trip(df: DataFrame, fmt: str) -> DataFrame:

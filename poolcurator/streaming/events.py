@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming import StreamingQuery
 
 from poolcurator.config import METRICS, Policy, Weights
 from poolcurator.sources.adapters import from_documents
-from poolcurator.sources.files import scratch
+from poolcurator.sources.files import drop_folder, scratch
 from poolcurator.stages import characteristic
 from poolcurator.stages.informativeness import composite, minmax, orient
 
@@ -61,14 +62,23 @@ def running_top_k(stream: DataFrame, path: str, k: int, score: str = "score", ke
         if number:
             rows = batch.unionByName(spark.read.schema(batch.schema).parquet(last))
         rows.orderBy(F.desc(score), key).limit(k).write.mode("overwrite").parquet(f"{path}/{number}")
+        if number > 1:  # a batch that runs again needs the one before it, and no older one
+            drop_folder(spark, f"{path}/{number - 2}")
 
     return stream.writeStream.foreachBatch(merge)
 
 
-def pass_rate_alarm(samples: DataFrame, policy: Policy, frozen: float, tolerance: float = 0.05) -> DataFrame:
-    """Share of passing rows per source, and whether it left the frozen rate."""
+def pass_rate_alarm(samples: DataFrame, policy: Policy, frozen: float, tolerance: float = 0.05, length: str | None = None, late: str | None = None) -> DataFrame:
+    """Share of passing rows per source, and per window of ts where a length is given, and whether it left the frozen rate."""
     ok = F.avg(F.coalesce(characteristic.compile_policy(policy), F.lit(False)).cast("double"))
-    return samples.groupBy("source").agg(F.round(ok, 6).alias("rate")).withColumn("alarm", F.abs(F.col("rate") - frozen) > tolerance)
+    rows = samples.withWatermark("ts", late) if late else samples
+    by = [F.window("ts", length), F.col("source")] if length else [F.col("source")]
+    return rows.groupBy(*by).agg(F.round(ok, 6).alias("rate"), F.count(F.lit(1)).alias("n")).withColumn("alarm", F.abs(F.col("rate") - frozen) > tolerance)
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that the query's stateful operators dropped because they came after the watermark had passed."""
+    return sum(s.numRowsDroppedByWatermark for p in query.recentProgress for s in p.stateOperators)
 
 
 #: A frozen configuration for replays.

@@ -348,9 +348,9 @@ def base_single_pass(spark, d):
     return B.single_pass(pool_of(spark, d, "SD-1"), 100, SelectionRequest("R-en", REQUESTS["R-en"]), RuleBackbone())
 
 
-@query("embed_arrow")
+@query("embed_arrow", "SELECT doc_id AS sample_id, CASE WHEN length(text) >= 2 THEN 1.0 ELSE 0.0 END AS norm FROM documents")
 def embed_arrow(spark, d):
     """Vectors by the Arrow encoder: one row per document with its norm."""
-    return embed(samples(spark, d).select("sample_id", "text")).select("sample_id", r6(X.norm("embedding")).alias("norm"))
+    return embed(samples(spark, d).select("sample_id", "text")).select("sample_id", F.round(X.norm("embedding"), 4).alias("norm"))
 
 

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from poolcurator.evaluate import runner as R
 from poolcurator.registry import query
-from poolcurator.workloads.cascade_sql import cascade_sql, funnel_sql
+from poolcurator.workloads.cascade_sql import cascade_sql, funnel_sql, written
 from poolcurator.workloads.common import pool_of, read_table
 
 
@@ -85,7 +85,10 @@ def experiment_depths(spark, d):
     return out
 
 
-@query("experiment_weights")
+@query(
+    "experiment_weights",
+    "SELECT * FROM (VALUES " + ", ".join(f"('{n}', {', '.join(f'{w}::double' for w in written('weights', t).values())})" for n, t in R.REQUESTS.items()) + ") t(request, loss, entropy, drift, mean_diff)",
+)
 def experiment_weights(spark, d):
     return R.weight_allocations(spark)
 

@@ -220,6 +220,41 @@ def udtf_shingles(spark, d):
     return spark.sql("SELECT item_id, pos, shingle FROM pc_benchmark, LATERAL pc_shingles(text, 5)")
 
 
+@udtf(returnType=T.StructType().add("conv_id", T.LongType()).add("turn", T.LongType()).add("prompt", T.StringType()).add("answer", T.StringType()))
+class ChatPairs:
+    """User turns and the assistant turns that follow them, of a table partitioned by conversation and ordered by turn."""
+
+    def __init__(self):
+        self.last = None
+
+    def eval(self, row) -> Iterator[tuple]:
+        if row["role"] == "assistant" and self.last is not None:
+            yield row["conv_id"], self.last["turn"], self.last["text"], row["text"]
+        self.last = row if row["role"] == "user" else None
+
+
+@query("udtf_chat_pairs", """SELECT conv_id, turn, text AS prompt, said AS answer FROM (SELECT *, lead(role) OVER w AS next_role, lead(text) OVER w AS said FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn))
+  WHERE role = 'user' AND next_role = 'assistant'""")
+def udtf_chat_pairs(spark, d):
+    """A table function with a partitioned table argument: state lives within a conversation."""
+    spark.udtf.register("pc_chat_pairs", ChatPairs)
+    read_table(spark, d, "conversations").createOrReplaceTempView("pc_conversations")
+    return spark.sql("SELECT conv_id, turn, prompt, answer FROM pc_chat_pairs(TABLE(SELECT conv_id, turn, role, text FROM pc_conversations) PARTITION BY conv_id ORDER BY turn)")
+
+
+@query("udf_cogrouped", "SELECT coalesce(c.k, s.k) AS nation, coalesce(c.n, 0) AS customers, coalesce(s.n, 0) AS suppliers FROM (SELECT c_nationkey AS k, count(*) AS n FROM customer GROUP BY ALL) c FULL JOIN (SELECT s_nationkey AS k, count(*) AS n FROM supplier GROUP BY ALL) s ON c.k = s.k")
+def udf_cogrouped(spark, d):
+    """Two tables' counts by nation and segment meet in a cogrouped map; raw rows are added up before it."""
+    c = read_table(spark, d, "customer").groupBy(F.col("c_nationkey").alias("k")).agg(F.count(F.lit(1)).alias("n"))
+    s = read_table(spark, d, "supplier").groupBy(F.col("s_nationkey").alias("k")).agg(F.count(F.lit(1)).alias("n"))
+
+    def both(key: tuple, a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"nation": [key[0]], "customers": [int(a["n"].sum())], "suppliers": [int(b["n"].sum())]})
+
+    kind = dict(c.dtypes)["k"]
+    return c.groupBy("k").cogroup(s.groupBy("k")).applyInPandas(both, f"nation {kind}, customers long, suppliers long")
+
+
 @query("udtf_steps", "SELECT item_id, count(*) AS steps FROM (SELECT item_id, unnest(string_split(text, chr(10))) AS line FROM benchmark) WHERE trim(line) <> '' GROUP BY item_id")
 def udtf_steps(spark, d):
     spark.udtf.register("pc_steps", SplitSteps)

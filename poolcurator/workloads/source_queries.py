@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import functions as F
 
+from poolcurator.config import Policy
 from poolcurator.registry import query
 from poolcurator.sources import adapters as A
 from poolcurator.sources import files
 from poolcurator.streaming import events as S
-from poolcurator.workloads.common import FDOC, read_table
+from poolcurator.workloads.cascade_sql import policy_sql
+from poolcurator.workloads.common import FDOC, read_table, uniform_sql
 
 
 @query("scan_parquet", "SELECT doc_id, n_chars FROM documents WHERE n_chars BETWEEN 100 AND 500")
@@ -49,6 +53,19 @@ def sink_partitioned(spark, d):
     return spark.read.schema("doc_id long, lang string").parquet(path).where("lang IN ('de', 'fr')").groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
 
 
+def bucketed_join(spark, d):
+    """Documents and labels in the same buckets by id, joined without a shuffle."""
+    name = f"pc_{uuid.uuid4().hex[:12]}"
+    a = files.write_bucketed(read_table(spark, d, "documents").select("doc_id", "lang"), f"{name}_documents", "doc_id", 8)
+    b = files.write_bucketed(read_table(spark, d, "labels").select("doc_id", "quality"), f"{name}_labels", "doc_id", 8)
+    return a.hint("merge").join(b, "doc_id")
+
+
+@query("sink_bucketed", "SELECT lang, count(*) AS n, sum(quality) AS good FROM documents JOIN labels USING (doc_id) GROUP BY lang")
+def sink_bucketed(spark, d):
+    return bucketed_join(spark, d).groupBy("lang").agg(F.count(F.lit(1)).alias("n"), F.sum("quality").alias("good"))
+
+
 ENT = "replace(replace(replace(replace(replace({}, '&nbsp;', ' '), '&lt;', '<'), '&gt;', '>'), '&quot;', '\"'), '&amp;', '&')"
 BODY = "trim(regexp_replace(" + ENT.format("regexp_replace(regexp_replace(regexp_replace(html, '(?is)^.*?</head>', ' '), '(?is)<(script|style)\\b[^>]*>.*?</(script|style)>', ' ', 'g'), '(?s)<[^>]*>', ' ', 'g')") + ", '[ \\t\\r\\n]+', ' ', 'g'))"
 
@@ -113,7 +130,10 @@ def events_stream_join(spark, d):
     return S.with_static(read_table(spark, d, "events"), read_table(spark, d, "customer")).groupBy("c_mktsegment", "event_type").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("stream_replay_scored")
+REPLAYED = " + ".join(f"{w} * " + (f"(1 - {uniform_sql('sample_id', m)})" if m == "mean_diff" else uniform_sql("sample_id", m)) for m, w in S.WEIGHTS.to_dict().items())
+
+
+@query("stream_replay_scored", f"WITH {FDOC}, s AS (SELECT sample_id, {REPLAYED} AS score FROM fdoc WHERE {policy_sql(Policy())}) SELECT sample_id, round(score, 6) AS score FROM s WHERE score >= {S.FLOOR}")
 def stream_replay_scored(spark, d):
     """Documents replayed by a file stream through the frozen policy and score, all available rows in one run."""
     return S.replay_documents(spark, d)

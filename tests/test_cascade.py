@@ -11,6 +11,7 @@ from poolcurator import inspect as I
 from poolcurator import registry, schema
 from poolcurator.backbone.core import CostLedger, ReplayBackbone, ask
 from poolcurator.backbone.rules import RuleBackbone, TaxonomyMatcher
+from poolcurator.baselines import selectors as B
 from poolcurator.cascade import explain_cascade, run_cascade
 from poolcurator.config import CascadeConfig, ConfigRejected, Policy, Rubric, SelectionRequest, Weights
 from poolcurator.evaluate import runner
@@ -281,6 +282,97 @@ def test_running_top_k(spark, small, tmp_path):
     assert got == {r.sample_id for r in docs.orderBy(F.desc("score"), "sample_id").limit(7).collect()}
 
 
+def test_late_rows_are_counted_and_not_merged(spark, tmp_path):
+    folder = str(tmp_path / "in")
+    row = lambda t, n: spark.createDataFrame([(f"2024-01-01 {t}:00", "click", float(n))], "ts string, event_type string, value double").select(F.to_timestamp("ts").alias("ts"), "event_type", "value")
+    first = row("10:00", 1)
+    first.write.parquet(folder)
+    q = E.tumbling(spark.readStream.schema(first.schema).parquet(folder), "10 minutes", "5 minutes").writeStream.format("memory").queryName("s_late").outputMode("append").start()
+    q.processAllAvailable()
+    for t, n in (("11:00", 2), ("10:01", 4), ("12:00", 8)):  # the third comes after the watermark
+        row(t, n).write.mode("append").parquet(folder)
+        q.processAllAvailable()
+    assert E.late_rows(q) == 1
+    q.stop()
+    assert {(r.window.start.hour, r.total) for r in spark.table("s_late").collect()} == {(10, 1.0), (11, 2.0)}
+
+
+def test_windowed_pass_rate(spark):
+    rows = [(i, "x" * 10, "", "y" * (100 if i % 4 else 3), "x" * 10 + "y" * 100, "s", f"2024-01-01 1{i % 2}:00:00") for i in range(40)]
+    df = spark.createDataFrame(rows, "sample_id long, instruction string, input string, output string, text string, source string, ts string").withColumn("ts", F.to_timestamp("ts"))
+    got = {r.window.start.hour: (r.rate, r.n, r.alarm) for r in E.pass_rate_alarm(df, Policy(), 1.0, 0.1, "1 hour").collect()}
+    assert got == {10: (0.5, 20, True), 11: (1.0, 20, False)}
+
+
+def test_a_restarted_stream_goes_on_from_its_checkpoint(spark, small, tmp_path):
+    docs = read_table(spark, small, "documents")
+    a, b = docs.where("doc_id < 120"), docs.where("doc_id >= 120")
+    folder, out, mark = (str(tmp_path / n) for n in ("in", "out", "mark"))
+    for part in (a, b):
+        part.write.mode("append").parquet(folder)
+        s = from_documents(spark.readStream.schema(docs.schema).parquet(folder))
+        rows = E.scored(s, Policy(), E.WEIGHTS, E.BOUNDS, E.seeded_metrics, E.FLOOR).select("sample_id", "score")
+        rows.writeStream.format("parquet").option("path", out).option("checkpointLocation", mark).trigger(availableNow=True).start().awaitTermination()
+    got = [r.sample_id for r in spark.read.schema(rows.schema).parquet(out).collect()]
+    want = E.scored(from_documents(docs), Policy(), E.WEIGHTS, E.BOUNDS, E.seeded_metrics, E.FLOOR)
+    assert len(got) == len(set(got)) and set(got) == {r.sample_id for r in want.collect()}
+
+
+def test_buckets_join_without_a_shuffle(spark, small):
+    from poolcurator.plans import shapes
+    from poolcurator.workloads.source_queries import bucketed_join
+
+    joined = bucketed_join(spark, small)
+    assert shapes.operators(joined)["SortMergeJoin"] == 1 and shapes.operators(joined)["Exchange"] == 0
+
+
+def test_plans_of_comparators(spark, small):
+    from poolcurator.plans import shapes
+
+    q = registry.queries()
+    assert not shapes.uses_python(q["sim_text"](spark, small)) and not shapes.uses_python(q["dsir_logratio"](spark, small))
+    plan = q["metric_nll"](spark, small)
+    assert shapes.operators(plan)["BroadcastHashJoin"] == 2 and shapes.operators(plan)["SortMergeJoin"] == 0  # counted and small
+    assert any("lang" in f for f in shapes.pushed_filters(runner.pool_of(spark, small, "SD-1").select("sample_id")))
+
+
+def test_wide_neighbourhoods_cost_alignment(spark):
+    near = spark.createDataFrame([(0, i, 1 - d) for i, d in enumerate((0.0, 0.1, 0.2, 0.8))], "query int, vec_id long, similarity double")
+    width = lambda a: B.aligned(near, a).count()
+    assert [width(a) for a in (0.999, 0.8, 0.5, 0.3)] == [1, 2, 3, 4] and width(0.9) == 2
+
+
+def test_light_rows_can_be_drawn(spark):
+    mass = spark.range(40_000).select(F.lit(0).alias("query"), F.col("id").alias("vec_id"), F.lit(2e-8).alias("mass"))
+    got = B.categorical_draw(mass, 2_000).collect()
+    assert len(got) == 2_000 and len({r.vec_id for r in got}) > 1_900
+    heavy = spark.createDataFrame([(0, 1, 0.75), (0, 2, 0.25), (0, 3, 0.0)], "query int, vec_id long, mass double")
+    drawn = [r.vec_id for r in B.categorical_draw(heavy, 4_000).collect()]
+    assert len(drawn) == 4_000 and abs(drawn.count(1) - 3_000) < 150 and 3 not in drawn
+
+
+def test_comparators_keep_to_their_terms(spark, small):
+    pool = runner.pool_of(spark, small, "SD-1")
+    with pytest.raises(ConfigRejected):
+        B.deft(pool, None, None, 5, mode="multi")
+    canned = ReplayBackbone({"plan": ['{"max_noise": 2}', json.dumps({"max_noise": 1.0, "min_output": 0, "variety": 0, "clean": 0, "length": 1})]})
+    ledger = CostLedger()
+    best = B.single_pass(pool, 3, runner.request("R-en"), canned, ledger=ledger).collect()
+    assert len(best) == 3 and ledger.summary()["calls"] == 2 and ledger.summary()["retries"] == 1
+    ids = runner.pool_of(spark, small, "MD-2").select("sample_id")
+    assert ids.count() == ids.distinct().count()
+    with pytest.raises(ValueError):
+        B.held_by_all(spark.range(5), "rows", 4)
+
+
+def test_paid_judge_is_in_the_ledger(spark, small):
+    pool = runner.pool_of(spark, small, "SD-1")
+    ledger = CostLedger("r", Decimal(5), Decimal(25))
+    r = run_cascade(pool, runner.request("R-en"), runner.target_for(spark, small, "unigram"), CascadeConfig(k=10), stages=(2, 3, 4), judge=lambda rubric: quality.rule_judge(list(rubric.weights)), ledger=ledger)
+    calls = {(row[1], row[2]): row[3] for row in ledger.table()}
+    assert calls[4, "judge"] == 3 and r.selected.count() == 10 and ledger.summary()["usd"] > 0
+
+
 def test_idempotent_sink_and_replay_source(spark, tmp_path):
     path = str(tmp_path / "stage")
     for _ in range(2):
