@@ -220,9 +220,32 @@ def test_toxicity_learns_and_ignores_mentions(spark):
     texts = ["muslims word1 word2", "word1 word2", "this is vile word3", None, ""]
     score = {r.doc_id: r.score for r in toxicity.score(docs(spark, texts), fair).collect()}
     assert abs(score[0] - score[1]) < 0.05 and score[2] > 0.3 > score[0] and score[3] == score[4]
-    plain = toxicity.train_on_labels(d, l, fairness=0.0)
-    z = lambda m: float(m.logits(*__import__("poolcurator.llm.wordhash", fromlist=["x"]).utf8(pa.array(["muslims word1"])))[0] - m.bias)
-    assert abs(z(fair)) < abs(z(plain)) or abs(z(plain)) < 0.05
+
+
+def test_counterfactual_pairs_lower_false_positives_on_neutral_mentions(spark):
+    rng = random.Random(8)
+    words = [f"w{i}" for i in range(60)]
+
+    def text(toxic: bool, mention: str | None) -> str:
+        line = rng.sample(words, 8) + (["vile"] if toxic and rng.random() < 0.8 else []) + ([mention] if mention else [])
+        rng.shuffle(line)
+        return " ".join(line)
+
+    # Labelled sentences mention one group mostly where they are toxic.
+    rows = [(i, text(y, "muslims" if rng.random() < (0.8 if y else 0.05) else None), int(y)) for i, y in enumerate(rng.random() < 0.3 for _ in range(900))]
+    d = spark.createDataFrame([(i, t) for i, t, _ in rows], "doc_id long, text string")
+    l = spark.createDataFrame([(i, y) for i, _, y in rows], "doc_id long, toxic int")
+    neutral = [text(False, "muslims") for _ in range(60)]
+    bare = [t.replace("muslims", "").strip() for t in neutral]
+    hits, gap, caught = {}, {}, {}
+    for fairness in (0.0, 50.0):
+        model = toxicity.train_on_labels(d, l, fairness=fairness)
+        score = {r.doc_id: r.score for r in toxicity.score(docs(spark, neutral + bare + [text(True, None) + " vile" for _ in range(60)]), model).collect()}
+        hits[fairness] = sum(score[i] >= 0.3 for i in range(60))
+        gap[fairness] = sum(score[i] - score[60 + i] for i in range(60)) / 60
+        caught[fairness] = sum(score[i] >= 0.3 for i in range(120, 180))
+    assert hits[0.0] >= 40 and hits[50.0] <= 5
+    assert gap[50.0] < 0.25 * gap[0.0] and caught[50.0] >= 55
 
 
 def test_toxicity_without_labels(spark):
