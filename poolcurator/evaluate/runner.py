@@ -36,6 +36,8 @@ SINGLE = (("SD-1", "R-en"), ("SD-2", "R-en"), ("SD-3", "R-fr"), ("SD-4", "R-fr")
 MULTI = (("MD-1", "R-mix-en"), ("MD-1", "R-mix-de"), ("MD-1", "R-mix-es"), ("MD-2", "R-mix-en"), ("MD-2", "R-mix-de"))
 TARGETS = ("unigram", "bigram", "cache")
 DEPTHS = (("SD-1", "R-en"), ("SD-2", "R-en"), ("SD-3", "R-fr"), ("SD-5", "R-chat"))
+#: Cosine between character-bigram vectors above which the diverse score skips a sample; texts of one language are all alike there.
+TAU = 0.985
 #: Target examples of a multi-domain comparator.
 EXAMPLES = 100
 
@@ -159,7 +161,7 @@ def compare(spark: SparkSession, sf_dir: str, pool_name: str, request_name: str,
     out = []
     for name in targets:
         target = target_for(spark, sf_dir, name)
-        own = [("diverse_score", picked(spark, B.deft(pool, target, ranks, k))), ("cascade", run_cascade(pool, request(request_name), target, cfg).selected)]
+        own = [("diverse_score", picked(spark, B.deft(pool, target, ranks, k, tau=TAU))), ("cascade", run_cascade(pool, request(request_name), target, cfg).selected)]
         out.append(common.unionByName(methods(own)).select(F.lit(name).alias("target"), "method", "sample_id"))
     return reduce(DataFrame.unionByName, out)
 
