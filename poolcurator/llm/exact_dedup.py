@@ -26,7 +26,8 @@ from pyspark.sql import functions as F
 
 from poolcurator.llm.store import attach_by_group, drop_path, new_path, pick, write_table
 
-SPACE_RUN = r"[\x20\x09-\x0D]+"
+#: Single characters, which Java looks up in a table; ranges it asks one after another.
+SPACE_RUN = r"[\x20\x09\x0A\x0B\x0C\x0D]+"
 #: Entries that a bucket holds before it is split.
 BUCKET_ENTRIES = 100_000
 #: Prefix bits at which splitting ends; a bucket of one hash cannot be split further.
