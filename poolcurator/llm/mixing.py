@@ -54,7 +54,7 @@ def water_fill(sizes: Sequence[float], weights: Sequence[float], budget: float,
 def mix(docs: DataFrame, weights: Sequence[float] = (1, 2, 3), max_epochs: float = 3, share: float = 1.0, seed: int = 42, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", keep: Sequence[str] = ()) -> DataFrame:
     """One row per row of docs: (id, size, source_size, target, repeats, taken) and the columns in keep."""
     spark = docs.sparkSession
-    words = F.coalesce(F.regexp_count(F.col(text_col), F.lit(r"[^\x20\x09-\x0D]+")), F.lit(0)).cast("long")
+    words = F.coalesce(F.regexp_count(F.col(text_col), F.lit(r"[^\x20\x09\x0A\x0B\x0C\x0D]+")), F.lit(0)).cast("long")
     u = F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.col("id")), 12)  # 52 bits
     whole_rows = docs.select(F.col(id_col).alias("id"), F.col(source_col).alias("source"), words.alias("size"), *[F.col(f"`{c}`").alias(f"k_{c}") for c in keep])
     whole_rows = whole_rows.withColumn("u", u).withColumn("bin", F.shiftrightunsigned("u", 40).cast("int"))
