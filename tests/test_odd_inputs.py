@@ -29,3 +29,17 @@ def test_window_of_seconds_rounds_as_its_sql(spark, tables):
     at = "[0.0, 0.5, 0.6, 1.5, 3600.4, 3600.5, 3600.6, 3601.5, 3602.5, 7201.49]"
     d = tables("events", f"SELECT i AS event_id, make_timestamp((1704067200 * 1000000::bigint + round(x * 1e6))::bigint) AS ts, i % 2 AS user_id, 'view' AS event_type, 1.0::double AS value, '' AS props FROM (SELECT unnest({at}) AS x, unnest(range(10)) AS i)")
     assert against_sql(spark, d, "win_range_interval", "events") == ""
+
+
+def test_quotes_are_found_by_characters(spark, tables):
+    """Shared runs of words do not make a quote; a quote may start within a word, be short, or have no words."""
+    tables("benchmark", "SELECT i AS item_id, t AS text FROM (SELECT unnest(range(7)) AS i, unnest(['One two three four five six seven eight nine ten.', 'ab cd', '?!', 'a b c d', 'the long ΣΟΦΟΣ one', NULL, 'ab cd']) AS t)")
+    texts = """['so One two three four five six seven eight nine', 'xOne two three four five six seven eight nine ten.', 'one two three four five six seven eight nine ten.', 'crab cdrom', 'what?!', 'aa b c dd', 'a b  c d',
+      'the long ΣΟΦΟΣ oneX', NULL, '', 'One two three four five six seven eight nine ten. One two three four five six seven eight nine ten.']"""
+    d = tables("documents", f"SELECT i AS doc_id, t AS text, 'en' AS lang, 'src1' AS source, length(t) AS n_chars FROM (SELECT unnest(range(11)) AS i, unnest({texts}) AS t)")
+    assert against_sql(spark, d, "decontam_ngram", "documents", "benchmark") == ""
+    from poolcurator.evaluate.standin import quoting
+    from poolcurator.sources.adapters import read_table
+
+    pair = read_table(spark, d, "documents"), read_table(spark, d, "benchmark")
+    assert sorted(quoting(*pair, most=0).collect()) == sorted(quoting(*pair).collect())
