@@ -4,7 +4,12 @@ import duckdb
 import pytest
 
 from poolcurator import registry
-from tests.parity import difference
+from poolcurator.plans.shapes import operators
+from poolcurator.sources.adapters import from_documents, read_table
+from poolcurator.sources.files import durable
+from poolcurator.stages import informativeness, quality
+from poolcurator.target import ngram
+from tests.parity import connect, difference
 
 
 @pytest.fixture
@@ -39,7 +44,19 @@ def test_quotes_are_found_by_characters(spark, tables):
     d = tables("documents", f"SELECT i AS doc_id, t AS text, 'en' AS lang, 'src1' AS source, length(t) AS n_chars FROM (SELECT unnest(range(11)) AS i, unnest({texts}) AS t)")
     assert against_sql(spark, d, "decontam_ngram", "documents", "benchmark") == ""
     from poolcurator.evaluate.standin import quoting
-    from poolcurator.sources.adapters import read_table
 
     pair = read_table(spark, d, "documents"), read_table(spark, d, "benchmark")
     assert sorted(quoting(*pair, most=0).collect()) == sorted(quoting(*pair).collect())
+
+
+def test_batches_by_ranges_are_those_of_the_whole(spark):
+    ids = spark.range(2_345).withColumnRenamed("id", "sample_id")
+    for seed in (42, 7):
+        whole = {r.sample_id: r.batch_id for r in quality.assign_batches(ids, 10, seed).collect()}
+        assert {r.sample_id: r.batch_id for r in quality.assign_batches(ids, 10, seed, ranges=23).collect()} == whole
+
+
+@pytest.mark.parametrize("name", ["cascade_depth234", "cascade_full"])
+def test_cascade_with_batches_by_ranges(spark, small, name, monkeypatch):
+    monkeypatch.setattr(quality, "batch_ranges", lambda n, b=10: 5)
+    assert difference(registry.queries()[name](spark, small), connect(small), registry.oracle_sql()[name]) == ""
