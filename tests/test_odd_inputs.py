@@ -60,3 +60,21 @@ def test_batches_by_ranges_are_those_of_the_whole(spark):
 def test_cascade_with_batches_by_ranges(spark, small, name, monkeypatch):
     monkeypatch.setattr(quality, "batch_ranges", lambda n, b=10: 5)
     assert difference(registry.queries()[name](spark, small), connect(small), registry.oracle_sql()[name]) == ""
+
+
+def test_drift_of_dealt_samples_joined_by_shuffles(spark, small):
+    """Both texts of samples that are already dealt by their id; the sides' partitions must not add up."""
+    docs = from_documents(read_table(spark, small, "documents"))
+    want = {r.sample_id: r.drift for r in informativeness.drift(docs, "instruction").collect()}
+    keys = {"spark.sql.autoBroadcastJoinThreshold": "-1", "spark.sql.adaptive.autoBroadcastJoinThreshold": "-1", "spark.sql.adaptive.coalescePartitions.enabled": "false"}
+    for k, v in keys.items():
+        spark.conf.set(k, v)
+    try:
+        dealt = docs.repartition(4, "sample_id")
+        target = ngram.UnigramTarget.fit(docs)
+        assert durable(informativeness.measure(dealt, target), "measured").count() == len(want)
+        assert not operators(informativeness.drift(dealt, "instruction"))["Union"]
+        assert {r.sample_id: r.drift for r in durable(informativeness.drift(dealt, "instruction"), "drift").collect()} == want
+    finally:
+        for k in keys:
+            spark.conf.unset(k)
