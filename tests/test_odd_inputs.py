@@ -1,9 +1,11 @@
 """Queries against their SQL on made-up tables with what the given ones lack: fractions of seconds, inner runs, many rows."""
 
 import duckdb
+import numpy as np
 import pytest
 
 from poolcurator import registry
+from poolcurator.baselines import selectors
 from poolcurator.plans.shapes import operators
 from poolcurator.sources.adapters import from_documents, read_table
 from poolcurator.sources.files import durable
@@ -78,3 +80,19 @@ def test_drift_of_dealt_samples_joined_by_shuffles(spark, small):
     finally:
         for k in keys:
             spark.conf.unset(k)
+
+
+@pytest.mark.parametrize("k", [40, 1_000])
+def test_diversity_walk_in_rounds(spark, k, monkeypatch):
+    """Against a plain loop, over more rounds than one, with ties and rows without a score, which come last."""
+    monkeypatch.setattr(selectors, "WALK_ROWS", 32)
+    draw = np.random.default_rng(5)
+    v = draw.normal(size=(400, 3)).astype(np.float32)
+    rows = [(i, None if i % 7 == 0 else float(i % 50), v[i].tolist()) for i in range(400)]
+    unit = v.astype(np.float64) / np.linalg.norm(v.astype(np.float64), axis=1, keepdims=True)
+    want = []
+    for i, s, _ in sorted(rows, key=lambda r: (r[1] is None, -(r[1] or 0), r[0])):
+        if len(want) < k and (not want or (unit[want] @ unit[i]).max() < 0.97):
+            want.append(i)
+    df = spark.createDataFrame(rows, "sample_id long, score double, embedding array<float>")
+    assert selectors.greedy_diverse(df, k, 0.97, block=16) == want
