@@ -96,3 +96,9 @@ def test_diversity_walk_in_rounds(spark, k, monkeypatch):
             want.append(i)
     df = spark.createDataFrame(rows, "sample_id long, score double, embedding array<float>")
     assert selectors.greedy_diverse(df, k, 0.97, block=16) == want
+
+
+@pytest.mark.parametrize("name", ["experiment_weights"])
+def test_weights_read_a_given_table(spark, small, name):
+    out = registry.queries()[name](spark, small)
+    assert out.inputFiles() and difference(out, connect(small), registry.oracle_sql()[name]) == ""
