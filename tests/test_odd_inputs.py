@@ -98,7 +98,7 @@ def test_diversity_walk_in_rounds(spark, k, monkeypatch):
     assert selectors.greedy_diverse(df, k, 0.97, block=16) == want
 
 
-@pytest.mark.parametrize("name", ["experiment_weights"])
+@pytest.mark.parametrize("name", ["experiment_weights", "weights_sum"])
 def test_weights_read_a_given_table(spark, small, name):
     out = registry.queries()[name](spark, small)
     assert out.inputFiles() and difference(out, connect(small), registry.oracle_sql()[name]) == ""
