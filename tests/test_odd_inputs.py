@@ -6,6 +6,7 @@ import pytest
 
 from poolcurator import registry
 from poolcurator.baselines import selectors
+from poolcurator.evaluate import runner
 from poolcurator.plans.shapes import operators
 from poolcurator.sources.adapters import from_documents, read_table
 from poolcurator.sources.files import durable
@@ -102,3 +103,10 @@ def test_diversity_walk_in_rounds(spark, k, monkeypatch):
 def test_weights_read_a_given_table(spark, small, name):
     out = registry.queries()[name](spark, small)
     assert out.inputFiles() and difference(out, connect(small), registry.oracle_sql()[name]) == ""
+
+
+def test_ledger_runs_share_one_fit(spark, small, monkeypatch):
+    seen = []
+    monkeypatch.setattr(runner, "run_cascade", lambda pool, request, target, *a, **k: seen.append(target))
+    runner.costs(spark, small)
+    assert len(seen) == 2 and seen[0] is seen[1]
