@@ -110,3 +110,11 @@ def test_ledger_runs_share_one_fit(spark, small, monkeypatch):
     monkeypatch.setattr(runner, "run_cascade", lambda pool, request, target, *a, **k: seen.append(target))
     runner.costs(spark, small)
     assert len(seen) == 2 and seen[0] is seen[1]
+
+
+def test_depths_share_one_fit(spark, small, monkeypatch):
+    seen = []
+    monkeypatch.setattr(runner, "label_report", lambda *a: spark.range(1))
+    monkeypatch.setattr(runner, "depths", lambda spark, d, pool, name, model=None: seen.append(model))
+    registry.queries()["experiment_depths"](spark, small)
+    assert len(seen) == len(runner.DEPTHS) and seen[0] is not None and all(m is seen[0] for m in seen)
