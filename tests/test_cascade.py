@@ -160,6 +160,46 @@ def test_generation_walks_and_doubles_alike(spark, small, monkeypatch):
     assert walked == {(r.sample_id, r.generated) for r in target.generate(pool).collect()} and len(walked) == 200
 
 
+def test_generation_by_the_tokens_met_from_the_second_step_on(spark, small, monkeypatch):
+    pool = runner.pool_of(spark, small, "SD-5")
+    target = runner.target_for(spark, small, "bigram")
+    walked = {(r.sample_id, r.generated) for r in target.generate(pool).collect()}
+    n, inner = target.contexts.count(), target.best().select("last").distinct().count()
+    monkeypatch.setattr(ngram, "BROADCAST_ROWS", inner)
+    assert inner < n and not target._chains
+    target._best = None
+    assert walked == {(r.sample_id, r.generated) for r in target.generate(pool).collect()} and walked
+    assert not target._chains  # chains of all contexts were built before
+
+
+@pytest.mark.parametrize("most", [500_000, 100, 0])
+def test_cache_generation_ends_when_a_token_comes_back(spark, small, most, monkeypatch):
+    docs = runner.pool_of(spark, small, "SD-3").select("sample_id", "instruction", "output").limit(30)
+    rows = docs.unionByName(spark.createDataFrame([(-1, "", "a"), (-2, "unknown0 unknown1", "b"), (-3, None, "c")], docs.schema))
+    base = ngram.BigramTarget.fit(runner.pool_of(spark, small, "SD-3"))
+    pairs, total, best = {(r.h, r.w): r.n for r in base.pairs.collect()}, {r.h: r.total for r in base.contexts.collect()}, {r.h: r.last for r in base.best().collect()}
+    p = lambda h, w: (pairs.get((h, w), 0) + 0.1) / (total.get(h, 0) + 0.1 * base.v)
+    plain = {}
+    for r in rows.withColumn("t", X.tokens("instruction")).collect():
+        said, words = [], r.t or []
+        h = words[-1] if words else ngram.BOS
+        for _ in range(20):
+            options = [(round(0.8 * p(h, w) + 0.2 * words.count(w) / len(words), 12), w) for w in set(words)]
+            options += [(round(0.8 * p(h, best[h]), 12), best[h])] if h in best else []
+            if not options:
+                break
+            h = max(options)[1]
+            said.append(h)
+        plain[r.sample_id] = " ".join(said)
+    rounds = []
+    keep = ngram.durable
+    monkeypatch.setattr(ngram, "durable", lambda df, name: (rounds.append(name), keep(df, name))[1])
+    monkeypatch.setattr(ngram, "BROADCAST_ROWS", most)
+    got = {r.sample_id: r.generated for r in ngram.PromptCacheTarget(base).generate(rows).collect()}
+    assert got == plain and len(got) == rows.count()
+    assert rounds.count("said") < 21  # one a token before
+
+
 def test_metrics_do_not_depend_on_the_order_of_samples(spark, small):
     pool = runner.pool_of(spark, small, "SD-3")
     target = runner.target_for(spark, small, "bigram")

@@ -112,6 +112,19 @@ def test_ledger_runs_share_one_fit(spark, small, monkeypatch):
     assert len(seen) == 2 and seen[0] is seen[1]
 
 
+def test_grid_shares_one_count_of_tokens(spark, small, monkeypatch):
+    counted, keep = [], ngram.durable
+    monkeypatch.setattr(ngram, "durable", lambda df, name: (counted.append(name), keep(df, name))[1])
+    proxy, models = runner.models_for(spark, small, runner.TARGETS)
+    assert sorted(counted) == ["bigram-contexts", "bigram-pairs", "unigram"]  # four fits before
+    docs = runner.pool_of(spark, small, "MD-1")
+    rows = lambda df: sorted((r[0], *(round(x, 6) if isinstance(x, float) else x for x in r[1:])) for r in df.collect())
+    for one, two in ((proxy, runner.proxy_for(spark, small)), (models["bigram"], runner.target_for(spark, small, "bigram")), (models["cache"].base, runner.target_for(spark, small, "bigram"))):
+        assert (one.v, one.smoothing) == (two.v, two.smoothing) and rows(one.contexts) == rows(two.contexts)
+    alone = ngram.UnigramTarget.fit(docs)
+    assert (models["unigram"].total, models["unigram"].v, rows(models["unigram"].counts)) == (alone.total, alone.v, rows(alone.counts))
+
+
 def test_depths_share_one_fit(spark, small, monkeypatch):
     seen = []
     monkeypatch.setattr(runner, "label_report", lambda *a: spark.range(1))

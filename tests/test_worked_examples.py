@@ -133,6 +133,40 @@ def test_greedy_information_matches_plain_loop(spark):
     assert [i for i, _ in B.mig_greedy(tags, edges, 10, pool=12)] == plain
 
 
+def test_greedy_information_of_samples_that_share_their_tags(spark):
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    rows = [(i, t, q) for i, q in enumerate(rng.random(20_000).round(4).tolist()) for t in ("en", f"s{i % 2}")]
+    tags = spark.createDataFrame(rows, "sample_id long, tag string, quality double")
+    edges = B.tag_edges(tags)
+    links = {}
+    for r in edges.collect():
+        links.setdefault(r.a, []).append((r.b, r.weight))
+    state, plain, at = {}, [], [0, 0]
+    q = {i: x for i, _, x in rows}
+    line = [sorted((i for i in q if i % 2 == s), key=lambda i: (-q[i], i)) for s in (0, 1)]
+    for _ in range(2_000):
+        best = []
+        for s in (0, 1):
+            i, mass = line[s][at[s]], {}
+            for t in ("en", f"s{s}"):
+                for b, w in links[t]:
+                    mass[b] = mass.get(b, 0) + q[i] * w
+            best.append((-sum((state.get(b, 0) + x) ** 0.8 - state.get(b, 0) ** 0.8 for b, x in mass.items()), i, s, mass))
+        _, i, s, mass = min(best, key=lambda c: c[:2])
+        plain.append(i)
+        at[s] += 1
+        for b, x in mass.items():
+            state[b] = state.get(b, 0) + x
+    tracemalloc.start()
+    try:
+        assert [i for i, _ in B.mig_greedy(tags, edges, 2_000)] == plain
+        assert tracemalloc.get_traced_memory()[1] < 4e6  # the driver held rows and masses of all samples before
+    finally:
+        tracemalloc.stop()
+
+
 def test_joint_rank_and_terms(spark):
     d = spark.createDataFrame([(1, 0.9, 100), (2, 0.5, 300), (3, 0.7, 200)], "sample_id long, difficulty double, length int")
     assert [(r.sample_id, r.score) for r in B.joint_rank(d, 3).collect()] == [(2, 1.5), (3, 2.0), (1, 2.5)]
