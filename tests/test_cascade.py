@@ -198,6 +198,8 @@ def test_cache_generation_ends_when_a_token_comes_back(spark, small, most, monke
     got = {r.sample_id: r.generated for r in ngram.PromptCacheTarget(base).generate(rows).collect()}
     assert got == plain and len(got) == rows.count()
     assert rounds.count("said") < 21  # one a token before
+    base.generate(rows).count()
+    assert rounds.count("best") == 1  # one for each of the two targets before
 
 
 def test_metrics_do_not_depend_on_the_order_of_samples(spark, small):
