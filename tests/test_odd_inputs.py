@@ -1,10 +1,12 @@
 """Queries against their SQL on made-up tables with what the given ones lack: fractions of seconds, inner runs, many rows."""
 
+import math
+
 import duckdb
 import numpy as np
 import pytest
 
-from poolcurator import registry
+from poolcurator import cascade, registry
 from poolcurator.baselines import selectors
 from poolcurator.evaluate import runner
 from poolcurator.plans.shapes import operators
@@ -125,6 +127,74 @@ def test_grid_shares_one_count_of_tokens(spark, small, monkeypatch):
     assert (models["unigram"].total, models["unigram"].v, rows(models["unigram"].counts)) == (alone.total, alone.v, rows(alone.counts))
 
 
+def test_token_rows_of_a_pool_serve_all_models(spark, small):
+    pool = durable(runner.pool_of(spark, small, "SD-3"), "pool")
+    part = pool.where("sample_id % 3 = 0")
+    plain, known = runner.models_for(spark, small, runner.TARGETS), runner.models_for(spark, small, runner.TARGETS, pool)
+    rows = lambda df: {r[0]: pytest.approx(tuple(r[1:]), abs=1e-9) for r in df.collect()}
+    for one, two in zip([plain[0], *plain[1].values()], [known[0], *known[1].values()], strict=True):
+        for some in (pool, part):
+            for ask in (lambda m: m.metrics(some), lambda m: m.min_k(some), lambda m: m.ifd(some)):  # noqa: B023
+                got = {r[0]: tuple(r[1:]) for r in ask(two).collect()}
+                assert got and got == rows(ask(one))
+    met = lambda df: {f.split("/")[-2].rsplit("-", 1)[0] for f in df.inputFiles()}
+    for m in (known[0], known[1]["unigram"], known[1]["bigram"]):  # each met the count tables before
+        assert met(m.min_k(pool)) == {"known-tokens"} and not met(m.ifd(pool)) & {"bigram-pairs", "bigram-contexts"}
+
+
+def test_cascades_share_what_comes_before_the_target(spark, small, monkeypatch):
+    pool = durable(runner.pool_of(spark, small, "SD-3"), "pool")
+    models = runner.models_for(spark, small, ("unigram", "bigram"), pool)[1]
+    cfg, ask = runner.config(pool), runner.request("R-fr")
+    alone = {n: sorted(map(tuple, cascade.run_cascade(pool, ask, m, cfg).selected.collect())) for n, m in models.items()}
+    looked, look = [], cascade.inspect_pool
+    monkeypatch.setattr(cascade, "inspect_pool", lambda now, stage, *a: (looked.append(stage), look(now, stage, *a))[1])
+    front = {}
+    runs = {n: cascade.run_cascade(pool, ask, m, cfg, front=front) for n, m in models.items()}
+    assert {n: sorted(map(tuple, r.selected.collect())) for n, r in runs.items()} == alone
+    assert looked == [2, 3, 4, 4] and runs["bigram"].configs.keys() == {"policy", "weights", "rubric"}  # 2, 3, 4, 2, 3, 4 before
+
+
+@pytest.mark.parametrize("length", [1, 2, 3, 20])
+def test_chains_of_likeliest_tokens(spark, length):
+    rows = spark.createDataFrame([(1, "x a", "", "b c d"), (2, "nothing known", "", "b c e e"), (3, None, "", "q r"), (4, "e", "", ""), (5, "d", "", "b")], "sample_id long, instruction string, input string, output string")
+    base = ngram.BigramTarget.fit(rows)
+    best = {r.h: r.last for r in base.best().collect()}
+    want = {}
+    for i, last in ((1, "a"), (2, "known"), (3, None), (4, "e"), (5, "d")):
+        h, said = last if last in best else ngram.BOS, []
+        while h in best and len(said) < length:
+            h = best[h]
+            said.append(h)
+        want[i] = " ".join(said)
+    got = base.generate(rows, length)
+    assert {r.sample_id: r.generated for r in got.collect()} == want
+    assert got._jdf.queryExecution().optimizedPlan().toString().count("Join ") <= 3  # one for each token before
+
+
+def test_entropy_with_a_prompt_is_that_of_the_whole_vocabulary(spark, monkeypatch):
+    rows = spark.createDataFrame([(1, "a b b", "", "b c b c a"), (2, "", "", "a b"), (3, "z c", "", "b b c")], "sample_id long, instruction string, input string, output string")
+    base = ngram.BigramTarget.fit(rows)
+    pairs, total = {(r.h, r.w): r.n for r in base.pairs.collect()}, {r.h: r.total for r in base.contexts.collect()}
+    words = {w for _, w in pairs}
+    p = lambda h, w: (pairs.get((h, w), 0) + 0.1) / (total.get(h, 0) + 0.1 * base.v)
+    want = {}
+    for i, x, y in ((1, "a b b".split(), "b c b c a".split()), (2, [], "a b".split()), (3, "z c".split(), "b b c".split())):
+        beta, spots = 0.2 if x else 0.0, [(x[-1] if x else ngram.BOS, y[0]), *zip(y, y[1:], strict=False)]
+        m = lambda h, w: (1 - beta) * p(h, w) + beta * x.count(w) / max(1, len(x))  # noqa: E731, B023
+        # One token of the vocabulary is unknown; in the third prompt it is z.
+        line = lambda h: [m(h, w) for w in words | set(x)] + [(1 - beta) * p(h, "?")] * (base.v - len(words | set(x)))  # noqa: E731, B023
+        want[i] = pytest.approx((sum(-math.log(m(*s)) for s in spots) / len(spots), sum(-sum(q * math.log(q) for q in line(h)) for h, _ in spots) / len(spots)))
+    made, keep = [], ngram.durable
+    monkeypatch.setattr(ngram, "durable", lambda df, name: (made.append((name, df)), keep(df, name))[1])
+    target = ngram.PromptCacheTarget(base)
+    assert {r[0]: (r.loss, r.entropy) for r in target.metrics(rows).collect()} == want
+    # The sample's tokens before, each once; all its places were met with the prompt's words before.
+    assert {n: df.count() for n, df in made}["prompt-heads"] == 6
+    target.generate(rows).count()
+    assert [n for n, _ in made].count("prompt-words") == 1
+
+
 def test_depths_share_one_fit(spark, small, monkeypatch):
     seen = []
     monkeypatch.setattr(runner, "label_report", lambda *a: spark.range(1))
