@@ -5,12 +5,13 @@ import math
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from poolcurator import cascade, registry
 from poolcurator.baselines import selectors
 from poolcurator.evaluate import runner
 from poolcurator.plans.shapes import operators
-from poolcurator.sources.adapters import from_documents, read_table
+from poolcurator.sources.adapters import from_documents, pool_of, read_table
 from poolcurator.sources.files import durable
 from poolcurator.stages import informativeness, quality
 from poolcurator.target import ngram
@@ -201,3 +202,19 @@ def test_depths_share_one_fit(spark, small, monkeypatch):
     monkeypatch.setattr(runner, "depths", lambda spark, d, pool, name, model=None: seen.append(model))
     registry.queries()["experiment_depths"](spark, small)
     assert len(seen) == len(runner.DEPTHS) and seen[0] is not None and all(m is seen[0] for m in seen)
+
+
+def test_prompt_cache_entropies_meet_only_counted_pairs(spark, small, monkeypatch):
+    """A sample's heads times its prompt's tokens are not looked up one by one, and the entropies are those of the plain sum."""
+    pool = durable(pool_of(spark, small, "SD-4"), "pool")
+    target = runner.models_for(spark, small, ("cache",), pool)[1]["cache"]
+    rows = target.scored(pool, "sample_id")
+    b, beta = target.base, target.beta
+    heads = rows.select("sample_id", "h", "h_entropy", "has")
+    met = b.scored(heads.select("sample_id", "h").distinct().join(target.cache(pool, "sample_id"), "sample_id")).withColumn("own", (1 - beta) * F.col("p"))
+    fix = met.withColumn("m", F.col("own") + beta * F.col("q")).groupBy("sample_id", "h").agg(F.sum(F.expr("own * ln(own) - m * ln(m)")).alias("fix"))
+    mixed = F.when(F.col("has"), (1 - beta) * F.col("h_entropy") - (1 - beta) * float(np.log(1 - beta)) + F.col("fix")).otherwise(F.col("h_entropy"))
+    want = {r[0]: r[1] for r in heads.join(fix, ["sample_id", "h"], "left").groupBy("sample_id").agg(F.avg(mixed)).collect()}
+    monkeypatch.setattr(ngram.BigramTarget, "scored", lambda *a, **k: pytest.fail("looked up one by one"))
+    got = {r.sample_id: r.entropy for r in target.metrics(pool).collect()}
+    assert len(want) > 5 and got == pytest.approx(want, abs=1e-9)
